@@ -6,8 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pushwave.llm import line_dedup, simhash
+from pushwave.llm import language, licenses, line_dedup, packing, quality, simhash, token_store
 from pushwave.llm.common import documents
+from pushwave.llm.wordpieces import vocabulary_path
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -17,12 +18,33 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", simhash.hex_of("fp").alias("fingerprint"), "component_id")
 
 
+def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    store = token_store.write_store(documents(spark, sf_dir), vocabulary_path(), end_id=1)
+    return token_store.read_store(store, spark)
+
+
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.line_digest(documents(spark, sf_dir))
 
 
+def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.language_predictions(documents(spark, sf_dir, "doc_id", "text", "lang"))
+
+
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.quality_scores(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(documents(spark, sf_dir)).drop("findings")
+
+
+def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(documents(spark, sf_dir), vocabulary_path(), end_id=2)
+
+
 def queries() -> dict[str, Query]:
-    own = (op3_simhash, op5_line_dedup)
+    own = (op3_simhash, op4_token_store, op5_line_dedup, op6_language_id, op7_quality, op9_license_scan, op10_packing)
     return {f.__name__: f for f in own}
 
 
