@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pushwave.llm import language, licenses, line_dedup, order_minhash, packing, quality, simhash, token_store
+from pushwave.llm import language, licenses, line_dedup, maxent_lm, order_minhash, packing, quality, simhash, token_store
 from pushwave.llm.common import documents
 from pushwave.llm.wordpieces import vocabulary_path
 
@@ -39,6 +39,10 @@ def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality_scores(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
+def op8_maxent_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return maxent_lm.score_documents(documents(spark, sf_dir))
+
+
 def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan(documents(spark, sf_dir)).drop("findings")
 
@@ -48,7 +52,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    own = (op1_order_minhash, op3_simhash, op4_token_store, op5_line_dedup, op6_language_id, op7_quality, op9_license_scan, op10_packing)
+    own = (op1_order_minhash, op3_simhash, op4_token_store, op5_line_dedup, op6_language_id, op7_quality, op8_maxent_lm, op9_license_scan, op10_packing)
     return {f.__name__: f for f in own}
 
 
