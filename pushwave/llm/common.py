@@ -14,6 +14,8 @@ UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
 #: Rows in an Arrow batch: whole texts are long, so batches are kept short.
 BATCH_ROWS = 2048
+#: Translates UTF-8 so that words are digits, lower-cased letters and all beyond ASCII; the rest are blanks.
+WORD_BYTES = bytes(b + 32 if 0x41 <= b <= 0x5A else b if 0x30 <= b <= 0x39 or 0x61 <= b <= 0x7A or b >= 0x80 else 0x20 for b in range(256))
 
 
 def prepare(spark: SparkSession) -> SparkSession:

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pushwave.llm.common import Batches, raw, table
+from pushwave.llm.common import WORD_BYTES, Batches, raw, table
 
 #: Phrases of the base count and their labels.
 BASE = (("under the mit license", "mit"), ("apache license version 2", "apache-2"), ("cc by nc", "cc-by-nc"))
@@ -63,9 +63,6 @@ SINGLE = (
     (35, 0.6, "proprietary", r"(?:strictly )?confidential and proprietary", "proprietary"), (20, 0.3, "notice", r"copyright (?:c )?(?:19|20)\d\d", "copyright"), (20, 0.3, "notice", r"see (?:the )?(?:file )?(?:licen[cs]e|copying)(?: file)? for", "see"),
 )
 
-_WORD_BYTES = bytes(b + 32 if 0x41 <= b <= 0x5A else b if 0x30 <= b <= 0x39 or 0x61 <= b <= 0x7A or b >= 0x80 else 0x20 for b in range(256))
-
-
 @dataclass(frozen=True)
 class Rule:
     priority: int
@@ -105,7 +102,7 @@ class Finding:
 
 def words_line(text: bytes | None) -> bytes:
     """The words, each between single spaces; of no words: one space."""
-    words = (text or b"").translate(_WORD_BYTES).split()
+    words = (text or b"").translate(WORD_BYTES).split()
     return b" " + b"".join(w + b" " for w in words)
 
 

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pushwave.llm import language, licenses, line_dedup, maxent_lm, order_minhash, packing, quality, simhash, token_store
+from pushwave.llm import decontaminate, language, licenses, line_dedup, maxent_lm, order_minhash, packing, quality, simhash, token_store
 from pushwave.llm.common import documents
 from pushwave.llm.wordpieces import vocabulary_path
 
@@ -17,6 +17,10 @@ def op1_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return order_minhash.edit_report(documents(spark, sf_dir))
 
 
+def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find_leaks(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicate_classes(documents(spark, sf_dir))
     return found.select("doc_id", simhash.hex_of("fp").alias("fingerprint"), "component_id")
@@ -52,7 +56,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    own = (op1_order_minhash, op3_simhash, op4_token_store, op5_line_dedup, op6_language_id, op7_quality, op8_maxent_lm, op9_license_scan, op10_packing)
+    own = (op1_order_minhash, op2_decontaminate, op3_simhash, op4_token_store, op5_line_dedup, op6_language_id, op7_quality, op8_maxent_lm, op9_license_scan, op10_packing)
     return {f.__name__: f for f in own}
 
 
