@@ -16,12 +16,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from pushwave.llm.common import Batches, crc_mod, raw
-from pushwave.llm.subwords import Buffer, by_word
+from pushwave.llm.subwords import Buffer, by_word, in_parts
 
 #: Documents of known language that are fitted on at most, and the longest text among them.
-SAMPLE_DOCS, SAMPLE_CHARS = 2400, 20_000
+SAMPLE_DOCS, SAMPLE_CHARS = 1600, 12_000
 BITS, STEPS, SEQUENCES, LENGTH, RATE = 17, 500, 64, 32, 0.25
 #: Words of one chain; longer texts are several chains side by side.
 CHAIN = 64
@@ -190,7 +191,7 @@ def train(texts: list[bytes], langs: list[str], seed: int = 11) -> LanguageModel
     if not filled:
         return LanguageModel(names, weights.astype(np.float32), transition, start)
     flat = [np.asarray(s, np.int64) for s in streams]
-    bucket, first = _features(list(vocab))
+    bucket, first = in_parts(_features, list(vocab))
     size = np.diff(np.append(first, len(bucket)))
     rng = np.random.default_rng(seed)
     square, t_square, s_square = np.full(2**BITS, 1e-2), np.full((k, k), 1.0), np.full(k, 1.0)
@@ -249,7 +250,7 @@ def predict(docs: DataFrame, model: LanguageModel) -> DataFrame:
             more = [pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())]
             yield pa.RecordBatch.from_arrays([*(b.column(n) for n in names), *more], names=[*names, "lang_pred", "score"])
 
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema), "lang_pred string", "score double"])
+    schema = T.StructType([*docs.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
     return docs.mapInArrow(run, schema)
 
 

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pushwave.llm.common import LOWER, UPPER, Batches, raw, table
+from pushwave.llm.common import LOWER, UPPER, Batches, fresh, raw, table
 from pushwave.plans.durable import cut
 
 #: Stripped from both ends of a line.
@@ -161,12 +161,13 @@ def unpack(keep: bytes | None, n_lines: int) -> np.ndarray:
     return out
 
 
-def with_bitmaps(docs: DataFrame, min_chars: int = 40, min_docs: int = 5) -> DataFrame:
-    """Each row of docs with its bitmap (null: every line stays); other columns pass through."""
-    maps = keep_bitmaps(docs, min_chars, min_docs).select(F.col("doc_id").alias("_d"), F.col("tid").alias("_t"), F.col("n_dropped").alias("_n"), F.col("keep").alias("_keep"))
-    text = F.coalesce(F.col("text"), F.lit(""))
-    keyed = docs.withColumns({"_doc": F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)), "_tid": F.xxhash64(text)})
-    return keyed.join(maps, (F.col("_doc") == F.col("_d")) & (F.col("_tid") == F.col("_t")), "left").drop("_doc", "_tid", "_d", "_t")
+def with_bitmaps(docs: DataFrame, min_chars: int = 40, min_docs: int = 5) -> tuple[DataFrame, str, str]:
+    """Each row of docs with its number of dropped lines and its bitmap (null: every line stays), and
+    the names of these two columns; other columns pass through."""
+    doc, tid, d, t, n, keep = fresh(docs, "_doc", "_tid", "_d", "_t", "_n", "_keep")
+    maps = keep_bitmaps(docs, min_chars, min_docs).toDF(d, t, n, keep)
+    keyed = docs.withColumns({doc: F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)), tid: F.xxhash64(F.coalesce(F.col("text"), F.lit("")))})
+    return keyed.join(maps, (F.col(doc) == F.col(d)) & (F.col(tid) == F.col(t)), "left").drop(doc, tid, d, t), n, keep
 
 
 def _cut_text(text: bytes | None, keep: bytes | None) -> bytes | None:
@@ -185,14 +186,14 @@ def drop_repeated_lines(docs: DataFrame, min_chars: int = 40, min_docs: int = 5)
     Null text stays null and counts as one empty line. A null doc_id is below all others. Rows with
     the same doc_id and text are one document when counting; with the same doc_id and other texts
     they are several. Ties for the largest doc_id keep their lines in all of its rows. An empty
-    table gives an empty table. Further columns, of any name not starting with an underscore, pass through.
+    table gives an empty table. Further columns, of any name, pass through.
     """
     names, has_chars = docs.columns, "n_chars" in docs.columns
-    joined = with_bitmaps(docs, min_chars, min_docs).drop("_n")
+    joined, _, keep = with_bitmaps(docs, min_chars, min_docs)
 
     def apply(batches: Batches) -> Batches:
         for b in batches:
-            texts = [_cut_text(x, k) for x, k in zip(raw(b, "text"), b.column("_keep").to_pylist(), strict=True)]
+            texts = [_cut_text(x, k) for x, k in zip(raw(b, "text"), b.column(keep).to_pylist(), strict=True)]
             cols = [pa.array(texts, pa.binary()).cast(pa.string()) if n == "text" else b.column(n) for n in names]
             yield pa.RecordBatch.from_arrays(cols, names=names)
 
@@ -202,17 +203,17 @@ def drop_repeated_lines(docs: DataFrame, min_chars: int = 40, min_docs: int = 5)
 
 def line_digest(docs: DataFrame, min_chars: int = 40, min_docs: int = 5) -> DataFrame:
     """(doc_id, n_lines, n_dropped, kept_sha256) of each row."""
-    joined = with_bitmaps(docs.select("doc_id", "text"), min_chars, min_docs)
+    joined, dropped, keep = with_bitmaps(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), min_chars, min_docs)
 
     def digest(batches: Batches) -> Batches:
         schema = pa.schema([("doc_id", pa.int64()), ("n_lines", pa.int64()), ("n_dropped", pa.int64()), ("kept_sha256", pa.string())])
         for b in batches:
             n, sums = [], []
-            for x, k in zip(raw(b, "text"), b.column("_keep").to_pylist(), strict=True):
+            for x, k in zip(raw(b, "text"), b.column(keep).to_pylist(), strict=True):
                 x = x or b""
                 n.append(x.count(b"\n") + 1)
                 sums.append(hashlib.sha256(_cut_text(x, k)).hexdigest())
-            yield table(schema, b.column("doc_id").to_pylist(), n, [v or 0 for v in b.column("_n").to_pylist()], sums)
+            yield table(schema, b.column("doc_id").to_pylist(), n, [v or 0 for v in b.column(dropped).to_pylist()], sums)
 
     return joined.mapInArrow(digest, "doc_id long, n_lines long, n_dropped long, kept_sha256 string")
 

@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pushwave.llm.common import Batches, raw, table
+from pushwave.llm.common import Batches, fresh, raw, table
 from pushwave.llm.components import components
 from pushwave.plans.durable import cut
 
@@ -60,12 +60,15 @@ def masks(radius: int) -> list[int]:
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
+    """(doc_id, tid, fp): the id, the hash of the text, and the fingerprint of each row."""
+
     def run(batches: Batches) -> Batches:
-        schema = pa.schema([("doc_id", pa.int64()), ("fp", pa.int64())])
+        schema = pa.schema([("doc_id", pa.int64()), ("tid", pa.int64()), ("fp", pa.int64())])
         for b in batches:
-            yield table(schema, b.column("doc_id").to_pylist(), [_signed(fingerprint(x)) for x in raw(b, "text")])
+            yield table(schema, b.column("doc_id").to_pylist(), b.column("tid").to_pylist(), [_signed(fingerprint(x)) for x in raw(b, "text")])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, fp long")
+    text = F.coalesce("text", F.lit(""))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("tid"), text.alias("text")).mapInArrow(run, "doc_id long, tid long, fp long")
 
 
 LINK_SCHEMA = "kind int, t int, a long, b long"
@@ -190,23 +193,50 @@ def links(different: DataFrame, radius: int = 2) -> DataFrame:
     return told.filter(F.col("kind") == LINK).select("a", "b").unionByName(second.filter(F.col("kind") == LINK).select("a", "b")).unionByName(third)
 
 
+def _classes(docs: DataFrame, radius: int) -> tuple[DataFrame, DataFrame]:
+    """Fingerprint rows, and (f, root) of the fingerprints that are linked to another one."""
+    fps = cut(fingerprints(docs), "fingerprints")
+    found = components(links(fps.select("fp").distinct(), radius))
+    return fps, cut(found.select(F.col("node").alias("f"), "root"), "components")
+
+
 def near_duplicate_classes(docs: DataFrame, radius: int = 2) -> DataFrame:
     """(doc_id, fp, component_id) of each row of docs; component_id: least doc_id reachable.
 
     Words are runs without blanks, A-Z lower-cased; fewer than three are one shingle, none (null,
     empty or blank text) give fingerprint zero, which links like any other. Rows with the same
-    doc_id stay rows. A null doc_id is never a component's id unless the component has no other.
-    An empty table gives an empty table; further columns of docs are not read.
+    doc_id stay rows. A null doc_id is a component's id only if the component has no other. An
+    empty table gives an empty table; further columns of docs are not read.
     """
-    fps = cut(fingerprints(docs), "fingerprints")
-    reps = cut(fps.groupBy("fp").agg(F.min("doc_id").alias("least")), "classes")
-    found = cut(components(links(reps.select("fp"), radius)), "components")
-    joined = reps.join(found, reps["fp"] == found["node"]).select("fp", "least", "root")
-    heads = joined.groupBy("root").agg(F.min("least").alias("component_id"))
-    renamed = joined.join(heads, "root").select("fp", "component_id")
-    return fps.join(renamed.select(F.col("fp").alias("f"), F.col("component_id").alias("c")), F.col("fp") == F.col("f"), "left").join(
-        reps.select(F.col("fp").alias("g"), "least"), F.col("fp") == F.col("g")
-    ).select("doc_id", "fp", F.coalesce("c", "least").alias("component_id"))
+    fps, linked = _classes(docs, radius)
+    reps = fps.groupBy("fp").agg(F.min("doc_id").alias("least"))  # copies are folded before any join
+    classed = cut(reps.join(linked, F.col("fp") == F.col("f"), "left").select("fp", "least", F.coalesce("root", "fp").alias("root")), "classes")
+    heads = classed.groupBy("root").agg(F.min("least").alias("component_id"))
+    of = classed.join(heads, "root").select(F.col("fp").alias("g"), "component_id")
+    return fps.join(of, F.col("fp") == F.col("g")).select("doc_id", "fp", "component_id")
+
+
+def keep_one(docs: DataFrame, radius: int = 2) -> DataFrame:
+    """docs with one row of each class of near duplicates: the least doc_id, ties by the text's hash.
+
+    Null ids are the greatest. Of wholly repeated (doc_id, text) rows one stays. Other columns pass
+    through; an empty table gives an empty table.
+    """
+    fps, linked = _classes(docs, radius)
+    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tid")
+    first = fps.groupBy("fp").agg(F.min(order).alias("first"), F.count(F.lit(1)).alias("n"))
+    classed = cut(first.join(linked, F.col("fp") == F.col("f"), "left").select("fp", "first", F.coalesce("root", "fp").alias("root")), "classes")
+    best = classed.groupBy("root").agg(F.min("first").alias("first"))
+    stays = best.select("root", F.col("first.doc_id").alias("d"), F.col("first.tid").alias("t"))
+    of = classed.select(F.col("fp").alias("g"), "root").join(stays, "root")
+    marked = fps.join(of, F.col("fp") == F.col("g")).select("doc_id", "tid", (F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("tid") == F.col("t"))).alias("stays"))
+    keys = cut(marked.groupBy("doc_id", "tid").agg(F.max("stays").alias("stays"), F.count(F.lit(1)).alias("n")).filter("not stays or n > 1"), "dropped")
+    tid, d, t = fresh(docs, "_tid", "_d", "_t")
+    keyed = docs.withColumn(tid, F.xxhash64(F.coalesce("text", F.lit(""))))
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col(d)) & (F.col(tid) == F.col(t))
+    single = keyed.join(keys.select(F.col("doc_id").alias(d), F.col("tid").alias(t)), same, "left_anti")
+    repeated = keyed.join(keys.filter("stays").select(F.col("doc_id").alias(d), F.col("tid").alias(t)), same, "left_semi").dropDuplicates(["doc_id", tid])
+    return single.unionByName(repeated).drop(tid)
 
 
 def hex_of(column: str):

@@ -68,3 +68,14 @@ def by_word(parts: list[tuple[np.ndarray, np.ndarray]], n_words: int) -> tuple[n
     bucket = np.concatenate([p[1] for p in parts])
     order = np.argsort(word, kind="stable")
     return bucket[order], np.searchsorted(word[order], np.arange(n_words))
+
+
+def in_parts(features, words: list[bytes], most: int = 20_000) -> tuple[np.ndarray, np.ndarray]:
+    """features(words) of many words with bounded working memory; buckets as 32-bit numbers."""
+    buckets, firsts, base = [], [], 0
+    for s in range(0, len(words), most):
+        bucket, first = features(words[s : s + most])
+        buckets.append(bucket.astype(np.int32))
+        firsts.append(first + base)
+        base += len(bucket)
+    return np.concatenate(buckets), np.concatenate(firsts)
