@@ -16,12 +16,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from pushwave.llm.common import Batches, crc_mod, raw
-from pushwave.llm.subwords import Buffer, by_word
+from pushwave.llm.common import Batches, crc_mod, fresh, raw
+from pushwave.llm.subwords import Buffer, by_word, in_parts
 
 #: Labelled documents the classifier is fitted on at most, and the longest text among them.
-SAMPLE_DOCS, SAMPLE_CHARS = 6000, 20_000
+SAMPLE_DOCS, SAMPLE_CHARS = 3000, 12_000
 BITS, DIM, EPOCHS, BATCH, RATE = 16, 8, 6, 16, 0.35
 #: Training documents a word must be in to be known; weight of unknown words.
 KNOWN_FROM, UNKNOWN = 4, 0.25
@@ -106,10 +107,10 @@ def train(texts: list[bytes | None], labels: list[int], seed: int = 7) -> Qualit
     counts = []
     for words in split:
         ids, n = np.unique(np.fromiter((vocab.setdefault(w, len(vocab)) for w in words), np.int64, len(words)), return_counts=True)
-        counts.append((ids, n))
+        counts.append((ids.astype(np.int32), n.astype(np.int32)))
     df = np.bincount(np.concatenate([c[0] for c in counts]), minlength=len(vocab))
     words = list(vocab)
-    bucket, first = _features(words)
+    bucket, first = in_parts(_features, words)
     size = np.diff(np.append(first, len(bucket)))
     is_known = df >= KNOWN_FROM
     of_one = np.bincount(np.concatenate([c[0] for c, y in zip(counts, labels, strict=True) if y == 1]), minlength=len(vocab))
@@ -133,8 +134,8 @@ def train(texts: list[bytes | None], labels: list[int], seed: int = 7) -> Qualit
         r = np.concatenate([bucket[at], own_row[ids[is_known[ids]]]])
         s = np.concatenate([np.repeat(w * half / per, per), (w * 0.5)[is_known[ids]]]) / total
         u, back = np.unique(r, return_inverse=True)
-        rows.append(u)
-        shares.append(np.bincount(back, s, len(u)))
+        rows.append(u.astype(np.int32))
+        shares.append(np.bincount(back, s, len(u)).astype(np.float32))
     for epoch in range(EPOCHS):
         rate = RATE * (1 - epoch / EPOCHS) + 0.02
         for chunk in np.array_split(rng.permutation(len(split)), max(1, len(split) // BATCH)):
@@ -177,10 +178,16 @@ def score(docs: DataFrame, model: QualityModel, column: str = "score") -> DataFr
             got = own.scores(raw(b, "text"))
             yield pa.RecordBatch.from_arrays([*(b.column(n) for n in names), pa.array(got, pa.float64())], names=[*names, column])
 
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema), f"{column} double"])
+    schema = T.StructType([*docs.schema.fields, T.StructField(column, T.DoubleType())])
     return docs.mapInArrow(run, schema)
 
 
+def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.5) -> DataFrame:
+    """The rows of docs that score least or more, with their columns; the same cases as quality_scores."""
+    (column,) = fresh(docs, "_score")
+    return score(docs, fit(docs, labels), column).filter(F.col(column) >= least).drop(column)
+
+
 def quality_scores(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """(doc_id, held_out, score, predicted) of every row of docs.
 
