@@ -1,17 +1,24 @@
 """Exact, fast use of a public tokenizer.
 
 The tokenizer drops white space and never joins across it, so a text's ids are those of its
-blank-separated chunks in turn. Ids of a chunk are kept, serialized, in a bounded dictionary;
-a chunk of ASCII letters with one final full stop or comma is put together from its letters
-(case is dropped by the tokenizer) and the mark. Everything else goes through the library.
+blank-separated chunks in turn; ids of a chunk are kept, serialized, in a bounded dictionary.
+Where normalizing and splitting a chunk is plain (Latin letters, then perhaps common marks, and
+the tokenizer lower-cases, splits letters from marks and maps bytes), its parts go straight to the
+library's merge model. Every other chunk goes through the whole library.
 """
 
 from __future__ import annotations
 
+import json
+
 import numpy as np
 
-#: Chunks kept by one worker before its dictionary is emptied.
-MOST = 400_000
+#: Chunks in one generation of a worker's dictionary; the generation before stays readable.
+MOST = 300_000
+#: Marks that may follow a word on the short way; no apostrophe, which the tokenizer joins to letters.
+MARKS = ".,!?$%&*#;:)|-"
+#: Letters below this go the short way: they have one lower case and no combining marks.
+LATIN = "\u0250"
 
 
 def vocabulary_path(name: str = "word_bpe_49k.json") -> str:
@@ -20,6 +27,22 @@ def vocabulary_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def _byte_letters() -> dict[int, str]:
+    """The public byte-level alphabet: printable Latin-1 stands for itself, the rest follows from 256 on."""
+    plain = {b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174}
+    rest = iter(range(256, 512))
+    return {b: chr(b) if b in plain else chr(next(rest)) for b in range(256)}
+
+
+def _is_plain(path: str) -> bool:
+    """Whether the tokenizer is of the kind that the short way renders."""
+    with open(path, encoding="utf-8") as f:
+        d = json.load(f)
+    kinds = [n["type"] for n in (d.get("normalizer") or {}).get("normalizers", [])]
+    splits = [p["type"] for p in (d.get("pre_tokenizer") or {}).get("pretokenizers", [])]
+    return kinds == ["NFC", "Replace", "Lowercase"] and splits == ["Split", "ByteLevel"] and d["model"]["type"] == "BPE"
+
+
 class ChunkCodec:
     """Texts to id bytes: little-endian unsigned of 2 bytes if the vocabulary allows, else 4."""
 
@@ -27,34 +50,46 @@ class ChunkCodec:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        self.model = self.tokenizer.model
+        self.plain = _is_plain(path)
+        self.letters = _byte_letters()
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 65536 else "<u4")
         self.known: dict[bytes, bytes] = {}
+        self.before: dict[bytes, bytes] = {}
 
-    def _library(self, chunks: list[bytes]) -> None:
-        got = self.tokenizer.encode_batch([c.decode("utf-8", "replace") for c in chunks], add_special_tokens=False)
-        for c, e in zip(chunks, got, strict=True):
-            self.known[c] = np.asarray(e.ids, self.dtype).tobytes()
+    def _merge(self, part: str) -> bytes:
+        """Ids of one run of letters or of marks, by the library's model alone."""
+        if not part.isascii():
+            part = "".join(map(self.letters.__getitem__, part.encode()))
+        return np.array([t.id for t in self.model.tokenize(part)], self.dtype).tobytes()
 
     def learn(self, chunks: set[bytes]) -> None:
-        known, ask, put = self.known, set(), []
+        known, before, ask = self.known, self.before, []
         for c in chunks:
             if c in known:
                 continue
-            mark = c[-1:] if c[-1:] in (b".", b",") else b""
-            word = c[: len(c) - len(mark)]
-            if word.isalpha() and (mark or word != word.lower()):  # bytes: ASCII letters only
-                low = word.lower()
-                if low not in known:
-                    ask.add(low)
-                if mark and mark not in known:
-                    ask.add(mark)
-                put.append((c, low, mark))
-            else:
-                ask.add(c)
+            if c in before:
+                known[c] = before[c]
+                continue
+            text = c.decode("utf-8", "replace")
+            word = text.rstrip(MARKS)
+            if not self.plain or (word and not (word.isalpha() and max(word) < LATIN and "\u0130" not in word)):
+                ask.append((c, text))
+                continue
+            low, mark = word.lower(), text[len(word) :]
+            out = b""
+            for part in (low, mark):
+                if part:
+                    key = part.encode()
+                    ids = known.get(key) or before.get(key)
+                    if ids is None:
+                        ids = self._merge(part)
+                    known[key] = ids
+                    out += ids
+            known[c] = out
         if ask:
-            self._library(list(ask))
-        for c, low, mark in put:
-            known[c] = known[low] + (known[mark] if mark else b"")
+            for (c, _), e in zip(ask, self.tokenizer.encode_batch([t for _, t in ask], add_special_tokens=False), strict=True):
+                known[c] = np.asarray(e.ids, self.dtype).tobytes()
 
     def encode(self, texts: list[bytes | None]) -> list[bytes]:
         split = [(t or b"").split() for t in texts]
@@ -65,9 +100,8 @@ class ChunkCodec:
                 total += len(split[e])
                 e += 1
             if len(self.known) > MOST:
-                self.known.clear()
-            wanted = set().union(*split[s:e])
-            self.learn(wanted)
+                self.known, self.before = {}, self.known
+            self.learn(set().union(*split[s:e]))
             get = self.known.__getitem__
             out += [b"".join(map(get, x)) for x in split[s:e]]
             s = e
