@@ -50,6 +50,7 @@ def walk_constant(eps: float, delta: float, p_fail: float) -> float:
 
 def push_threshold(m: int, c: float) -> tuple[float, int]:
     """(rho*, case): 1/sqrt(mC) while m <= C, else 1/C because residues never sum to more than 1."""
+    m = max(m, 1)
     return (1 / sqrt(m * c), 1) if m <= c else (1 / c, 2)
 
 

@@ -127,18 +127,18 @@ def emb_knn(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
     rows = e.select(F.col(key).cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("x"))
     blocks = 8
     left = rows.withColumn("a", F.pmod("id", F.lit(blocks)))
-    right = rows.select("id", "x", F.pmod("id", F.lit(blocks)).alias("b"))
+    right = rows.select(F.col("id").alias("other"), F.col("x").alias("y"), F.pmod("id", F.lit(blocks)).alias("b"))
     pairs = left.withColumn("b", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).groupBy("a", "b").cogroup(right.withColumn("a", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).groupBy("a", "b"))
 
     def near(lhs: pd.DataFrame, rhs: pd.DataFrame) -> pd.DataFrame:
         if not len(lhs) or not len(rhs):
             return pd.DataFrame({"src": [], "dst": [], "cos": []})
-        x, y = np.array(lhs["x"].tolist()), np.array(rhs["x"].tolist())
+        x, y = np.array(lhs["x"].tolist()), np.array(rhs["y"].tolist())
         x /= np.linalg.norm(x, axis=1, keepdims=True)
         y /= np.linalg.norm(y, axis=1, keepdims=True)
-        cos = np.where(lhs["id"].to_numpy()[:, None] == rhs["id"].to_numpy()[None, :], -2.0, x @ y.T)
+        cos = np.where(lhs["id"].to_numpy()[:, None] == rhs["other"].to_numpy()[None, :], -2.0, x @ y.T)
         best = np.argsort(-cos, axis=1, kind="stable")[:, :k]
-        out = pd.DataFrame({"src": np.repeat(lhs["id"].to_numpy(), best.shape[1]), "dst": rhs["id"].to_numpy()[best.ravel()], "cos": np.take_along_axis(cos, best, 1).ravel()})
+        out = pd.DataFrame({"src": np.repeat(lhs["id"].to_numpy(), best.shape[1]), "dst": rhs["other"].to_numpy()[best.ravel()], "cos": np.take_along_axis(cos, best, 1).ravel()})
         return out[out["cos"] > -2]
 
     found = pairs.applyInPandas(near, "src long, dst long, cos double")
