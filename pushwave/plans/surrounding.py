@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from pushwave.plans import oracles as O
 from pushwave.sources.graphs import both_ways, read
 from pushwave.workloads import graph, register
 from pushwave.workloads import _truth as truth
@@ -269,3 +270,22 @@ def q_join_range(spark, d):
     return draws.withColumn("cell", F.floor(F.col("u") * n)).join(cells, "cell").filter("u >= low and u < high").groupBy("v").agg(F.count(F.lit(1)).alias("n"))
 
 
+
+
+@register("q_udtf_plan")
+def q_udtf_plan(spark, d):
+    from pushwave.functions.udx import register_sql
+    from pushwave.plans.durable import ship
+
+    ship(spark)
+    register_sql(spark)
+    return spark.sql("SELECT * FROM ppr_plan(2000, 44938, 0.5D, 0.0005D, 0.0005D)")
+
+
+@register("q_udf_small_push", O.query("SELECT query_id, v, round(p, 9) AS score FROM push WHERE p > 0", O.graph_cte("event_user"), O.sources_cte(2), O.push_cte(O.POINT, "0.000987654", 40)))
+def q_udf_small_push(spark, d):
+    from pushwave.functions.udx import small_graph_push
+    from pushwave.workloads import first_sources
+
+    g = graph(spark, d, "event_user")
+    return small_graph_push(g.arcs.select("src", "dst"), first_sources(g, 2), 0.000987654).select("query_id", "v", F.round("score", 9).alias("score"))
