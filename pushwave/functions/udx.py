@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
+from pyspark.sql.types import DoubleType
 
 from pushwave.functions.formulas import expected_costs, push_threshold, walk_constant
 
@@ -55,7 +56,7 @@ def small_graph_push(arcs: DataFrame, sources: DataFrame, rho: float, alpha: flo
     return sources.groupBy("query_id").applyInPandas(push, "query_id long, v long, score double")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def ndcg_of(true: pd.Series, place: pd.Series, ideal: pd.Series) -> float:
     """Grouped measure over rows of an answer: true scores, ranks, and the ideal scores in the same order."""
     discount = np.log2(place + 1)

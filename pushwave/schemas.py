@@ -5,14 +5,22 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-ARCS = T.StructType.fromDDL("src long, dst long")
-OUT_ARCS = T.StructType.fromDDL("src long, pos long, dst long, src_deg long, dst_deg long")
-NODES = T.StructType.fromDDL("v long, out_deg long, in_deg long")
-STATE = T.StructType.fromDDL("query_id long, v long, deg long, p double, r double, touched long")
-ALLOC = T.StructType.fromDDL("query_id long, start long, n_walks long, weight double")
-ENDS = T.StructType.fromDDL("query_id long, v long, weight double, hops long, n long")
-INDEX = T.StructType.fromDDL("start long, walk_no long, endpoint long")
-PPR = T.StructType.fromDDL("query_id long, v long, score double")
+
+_TYPES = {"long": T.LongType(), "double": T.DoubleType()}
+
+
+def _schema(text: str) -> T.StructType:
+    """From 'name type, ...', without a session."""
+    return T.StructType([T.StructField(name, _TYPES[kind]) for name, kind in map(str.split, text.split(", "))])
+
+
+ARCS = _schema("src long, dst long")
+OUT_ARCS = _schema("src long, pos long, dst long, src_deg long, dst_deg long")
+NODES = _schema("v long, out_deg long, in_deg long")
+STATE = _schema("query_id long, v long, deg long, p double, r double, touched long")
+ALLOC = _schema("query_id long, start long, n_walks long, weight double")
+INDEX = _schema("start long, walk_no long, endpoint long")
+PPR = _schema("query_id long, v long, score double")
 
 
 def conform(df: DataFrame, schema: T.StructType) -> DataFrame:
