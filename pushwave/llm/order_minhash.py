@@ -26,6 +26,11 @@ _KEY = ~_PLACE
 GROUP = 256
 
 
+def _let(value: Column, body) -> Column:
+    """body of a value that is computed once: the optimizer would copy an expression into lambdas."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
 def _words(text: Column) -> Column:
     """Hashes of the words between blanks, A-Z lower-cased with all other letters."""
     plain = F.translate(F.lower(text), "\t\n\x0b\x0c\r", "     ")
@@ -43,10 +48,9 @@ def _kmers(words: Column) -> Column:
 
 
 def _runs(items: Column, key) -> Column:
-    """(begin, end) of the runs of equal keys in a sorted array."""
+    """(begin, end) of the runs of equal keys in a sorted array that is not empty."""
     begins = F.filter(F.sequence(F.lit(0), F.size(items) - 1), lambda i: (i == 0) | (key(F.get(items, i)) != key(F.get(items, i - 1))))
-    ends = F.concat(F.slice(begins, 2, F.size(begins)), F.array(F.size(items)))
-    return F.arrays_zip(begins.alias("b"), ends.alias("e"))
+    return _let(begins, lambda b: F.transform(b, lambda x, j: F.struct(x.alias("b"), F.coalesce(F.get(b, j + 1), F.size(items)).alias("e"))))
 
 
 def _numbered(kmers: Column) -> Column:
@@ -76,32 +80,31 @@ def _signature(numbered: Column) -> Column:
     return F.map_from_entries(F.transform(_runs(numbered, bucket), pick))
 
 
-def _digits(signature: Column) -> Column:
-    """Eight hex digits a bucket; an empty bucket has eight dots."""
-    one = lambda i: F.coalesce(F.lower(F.lpad(F.hex(F.element_at(signature, i).bitwiseAND(F.lit(0xFFFFFFFF))), 8, "0")), F.lit("........"))
-    return F.array_join(F.transform(F.sequence(F.lit(0), F.lit(BUCKETS - 1)), one), "")
+def _by_bucket(signature: Column) -> Column:
+    """The tuple hash of every bucket as a 32-bit number, null for an empty bucket."""
+    return _let(signature, lambda m: F.transform(F.sequence(F.lit(0), F.lit(BUCKETS - 1)), lambda i: F.element_at(m, i).bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")))
+
+
+def fingerprint(text: Column) -> Column:
+    """The fingerprint of a text (null: empty) as an array of BUCKETS numbers."""
+    empty = F.array_repeat(F.lit(None).cast("int"), BUCKETS)
+    signed = lambda n: F.when(F.size(n) == 0, empty).otherwise(_by_bucket(_signature(n)))
+    ranked = lambda k: _let(F.array_sort(F.when(F.size(k) > 0, _numbered(k)).otherwise(k)), signed)
+    return _let(_words(F.coalesce(text, F.lit(""))), lambda w: _let(F.array_sort(_kmers(w)), ranked))
 
 
-def with_fingerprint(docs: DataFrame, text: str, out: str) -> DataFrame:
-    """docs with the fingerprint of a text column (null: empty) in column out."""
-    keep = docs.columns
-    steps = docs.withColumn("_w", _words(F.coalesce(F.col(text), F.lit(""))))
-    steps = steps.withColumn("_k", F.array_sort(_kmers(F.col("_w"))))
-    steps = steps.withColumn("_n", F.array_sort(_numbered(F.col("_k"))))
-    empty = F.lit("........" * BUCKETS)
-    return steps.withColumn(out, F.when(F.size("_n") == 0, empty).otherwise(_digits(_signature(F.col("_n"))))).select(*keep, out)
+def digits(numbers: Column) -> Column:
+    """A fingerprint in print: eight hex digits a bucket, eight dots for an empty one."""
+    return F.array_join(F.transform(numbers, lambda x: F.coalesce(F.lower(F.lpad(F.hex(x), 8, "0")), F.lit("........"))), "")
 
 
 def likeness(a: Column, b: Column) -> Column:
     """Share of equal buckets among those filled in either, to the power 1/2: a pair of k-mers must
     match for a bucket to match, so the root is on the scale of single k-mers. Two texts without
     words are alike."""
-    parts = lambda x: F.transform(F.sequence(F.lit(0), F.lit(BUCKETS - 1)), lambda i: F.substring(x, i * 8 + 1, F.lit(8)))
-    dots = F.lit("........")
-    score = F.zip_with(parts(a), parts(b), lambda x, y: F.when((x == dots) & (y == dots), F.lit(None)).otherwise((x == y).cast("int")))
-    filled = F.filter(score, lambda s: s.isNotNull())
-    share = F.aggregate(filled, F.lit(0), lambda t, s: t + s) / F.size(filled)
-    return F.when(a == b, F.lit(1.0)).when(F.size(filled) == 0, F.lit(1.0)).otherwise(F.sqrt(share))
+    equal = F.size(F.filter(F.zip_with(a, b, lambda x, y: x == y), lambda z: z))
+    neither = F.size(F.filter(F.zip_with(a, b, lambda x, y: x.isNull() & y.isNull()), lambda z: z))
+    return F.when(neither == BUCKETS, F.lit(1.0)).otherwise(F.sqrt(equal / F.greatest(F.lit(1), F.lit(BUCKETS) - neither)))
 
 
 def with_next(docs: DataFrame, columns: list[str]) -> DataFrame:
@@ -138,10 +141,13 @@ def edit_report(docs: DataFrame) -> DataFrame:
     doc_id and text are read. Texts of over 2**24 words keep all k-mers, the places beyond tie.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    paired = with_next(docs, ["text"])
+    paired = with_next(docs.withColumn("id", F.col("doc_id")), ["text", "id"])
     n, quarter = F.char_length("text"), F.floor(F.char_length("text") / 4).cast("int")
-    edited = paired.select("doc_id", "text", n.alias("n_chars"), F.concat(F.substring(F.col("text"), F.lit(1), n - quarter), F.substring(F.col("next_text"), F.lit(1), quarter)).alias("edited"))
-    both = with_fingerprint(with_fingerprint(edited, "text", "fingerprint"), "edited", "edited_fingerprint")
-    slim = cut(both.select("doc_id", F.col("n_chars").cast("long").alias("n_chars"), F.sha2("edited", 256).alias("edited_sha256"), "fingerprint", "edited_fingerprint"), "order-minhash")
-    compared = with_next(slim, ["fingerprint"])
-    return compared.select("doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", likeness(F.col("fingerprint"), F.col("edited_fingerprint")).alias("near_edited"), likeness(F.col("fingerprint"), F.col("next_fingerprint")).alias("near_next"))
+    changed = F.concat(F.substring(F.col("text"), F.lit(1), n - quarter), F.substring(F.col("next_text"), F.lit(1), quarter))
+    edited = paired.select("doc_id", "text", n.cast("long").alias("n_chars"), F.xxhash64("text").alias("tid"), F.col("next_id"), F.xxhash64("next_text").alias("next_tid"), changed.alias("edited"))
+    slim = edited.select("doc_id", "tid", "next_id", "next_tid", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), fingerprint(F.col("text")).alias("own"), fingerprint(F.col("edited")).alias("changed"))
+    slim = cut(slim, "order-minhash")
+    # The next document's fingerprint, by its id and the hash of its text; repeated rows are one here.
+    other = slim.groupBy(F.col("doc_id").alias("next_id"), F.col("tid").alias("next_tid")).agg(F.first("own").alias("following"))
+    there = slim.alias("a").join(other.alias("b"), F.col("a.next_id").eqNullSafe(F.col("b.next_id")) & (F.col("a.next_tid") == F.col("b.next_tid")))
+    return there.select("doc_id", "n_chars", "edited_sha256", digits(F.col("own")).alias("fingerprint"), digits(F.col("changed")).alias("edited_fingerprint"), likeness(F.col("own"), F.col("changed")).alias("near_edited"), likeness(F.col("own"), F.col("following")).alias("near_next"))
