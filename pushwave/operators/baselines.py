@@ -124,7 +124,7 @@ def filter_refine_top_k(g: Graph, sources: DataFrame, k: int, p: PprParams, prec
     slack = F.sqrt(2 * rate * F.greatest("score", F.lit(rate))) + 2.0 / 3.0 * rate
     own = found.scores.join(pushed.state.select("query_id", "v", "p"), ["query_id", "v"], "left")
     bounds = cut(own.select("query_id", "v", "score", F.greatest(F.coalesce("p", F.lit(0.0)), F.col("score") - slack).alias("lb"), (F.col("score") + slack).alias("ub")), "bounds")
-    rho_b, rounds, walks = 2 * rate, 0, found.walks
+    rho_b, rounds, walks, steps = 2 * rate, 0, found.walks, g.backward()
     while True:
         kth = rank(bounds.select("query_id", "v", F.col("lb").alias("score")), k).groupBy("query_id").agg(F.min("score").alias("kth"))
         alive = cut(bounds.join(kth, "query_id").filter(F.col("ub") >= F.col("kth")), "alive")
@@ -132,7 +132,7 @@ def filter_refine_top_k(g: Graph, sources: DataFrame, k: int, p: PprParams, prec
         if rounds >= 6 or not sure.limit(1).count():
             break
         targets = alive.select(F.col("v").alias("target")).distinct()
-        back = reverse_push(g, targets, rho_b, p.alpha).state
+        back = reverse_push(g, targets, rho_b, p.alpha, chain=4, steps=steps).state
         at = back.join(sources, F.col("v") == F.col("src")).select("query_id", F.col("target").alias("v"), F.col("p").alias("low"))
         tight = alive.select("query_id", "v", "score", "lb", "ub").join(at, ["query_id", "v"], "left")
         low = F.greatest("lb", F.coalesce("low", F.lit(0.0)))

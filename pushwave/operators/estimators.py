@@ -44,19 +44,19 @@ def base_scores(state: DataFrame, alpha: float, pruned: bool) -> DataFrame:
 
 
 def combine(base: DataFrame, ends: DataFrame) -> DataFrame:
-    both = base.unionByName(ends.select("query_id", "v", F.col("weight").alias("score")))
-    return both.groupBy("query_id", "v").agg(F.sum("score").alias("score"))
+    """(query_id, v, score, n, hops): reserves plus what walks bring, and the walks themselves."""
+    zero = F.lit(0).cast("long")
+    both = base.select("query_id", "v", "score", zero.alias("n"), zero.alias("hops")).unionByName(ends.select("query_id", "v", F.col("weight").alias("score"), "n", "hops"))
+    return both.groupBy("query_id", "v").agg(F.sum("score").alias("score"), F.sum("n").alias("n"), F.sum("hops").alias("hops"))
 
 
 def finish(g: Graph, pushed: Pushed, p: PprParams, c: float, pruned: bool, index: WalkIndex | None = None, engine: str = "auto") -> Estimate:
     """Walks from the residues on top of the reserves."""
-    alloc = cut(allocate_walks(pushed.state, c, p.alpha, pruned), "alloc")
-    if index is not None and index.pruned != pruned:
-        raise ValueError("the index stores the other kind of walks")
-    ends = cut(index_walks(g, index, alloc) if index is not None else run_walks(g, alloc, p, pruned, engine), "ends")
-    n, hops = ends.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("hops"), F.lit(0))).first()
-    scores = cut(combine(base_scores(pushed.state, p.alpha, pruned), ends), "scores")
-    return Estimate(scores, pushed.rounds, pushed.edge_touches, pushed.residue, int(n), int(hops))
+    alloc = allocate_walks(pushed.state, c, p.alpha, pruned)
+    ends = index_walks(g, index, alloc) if index is not None else run_walks(g, alloc, p, pruned, engine)
+    found = cut(combine(base_scores(pushed.state, p.alpha, pruned), ends), "scores")
+    n, hops = found.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("hops"), F.lit(0))).first()
+    return Estimate(found.select("query_id", "v", "score"), pushed.rounds, pushed.edge_touches, pushed.residue, int(n), int(hops))
 
 
 def push_walk(g: Graph, state: DataFrame, p: PprParams, rho: float | None = None, rho_mult: float = 1.0, pruned: bool = False, index: WalkIndex | None = None, engine: str = "auto") -> Estimate:

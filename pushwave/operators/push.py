@@ -69,27 +69,18 @@ def forward_push(g: Graph, state: DataFrame, rho: float, alpha: float = 0.2, tol
     invariant holds anyway."""
     steps, rounds = g.steps(), 0
     while True:
-        left = state.filter(_eligible(rho, tol))
-        eligible, total, touches, ids = _look(state, left)
+        hot = _eligible(rho, tol)
+        eligible, residue, touches = state.agg(F.count_if(hot), F.coalesce(F.sum("r"), F.lit(0.0)), F.coalesce(F.sum("touched"), F.lit(0))).first()
         if not eligible or (max_rounds is not None and rounds >= max_rounds):
-            return Pushed(state, rounds, total, touches)
+            return Pushed(state, rounds, float(residue), int(touches))
         todo = chain if max_rounds is None else min(chain, max_rounds - rounds)
-        if ids and todo == 1:
-            near = steps.filter(F.col("own") | F.col("src").isin(ids))
-        else:
-            near = steps
+        near = steps
+        if todo == 1 and eligible <= PRUNE:  # a small frontier goes into the scan of the arcs
+            near = steps.filter(F.col("own") | F.col("src").isin([r[0] for r in state.filter(hot).select("v").distinct().collect()]))
         now = state
         for _ in range(todo):
             now = _round(now, near, alpha, rho, tol)
-        state = cut(now, "state")
-        rounds += todo
-
-
-def _look(state: DataFrame, left: DataFrame) -> tuple[int, float, int, list[int]]:
-    """(eligible rows, residue, arcs touched, ids of the eligible nodes if there are few)."""
-    total = state.agg(F.coalesce(F.sum("r"), F.lit(0.0)), F.coalesce(F.sum("touched"), F.lit(0))).first()
-    ids = [r[0] for r in left.select("v").distinct().limit(PRUNE + 1).collect()]
-    return len(ids), float(total[0]), int(total[1]), ids if len(ids) <= PRUNE else []
+        state, rounds = cut(now, "state"), rounds + todo
 
 
 def push_only(g: Graph, sources: DataFrame, rho: float, alpha: float = 0.2) -> DataFrame:
