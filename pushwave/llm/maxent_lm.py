@@ -37,7 +37,7 @@ HEAD = 131_072
 #: Of a training document's positions, one in STRIDE takes a gradient step.
 STRIDE, RATE, CHUNK = 8, 0.35, 8192
 #: Words a task counts before it hands them on.
-FLUSH = 400_000
+FLUSH = 200_000
 END = b""
 LOG10 = float(np.log(10))
 
@@ -342,6 +342,13 @@ def _scores(docs: DataFrame, words: Lexicon, weights: Weights) -> DataFrame:
     return docs.mapInArrow(run, fields)
 
 
+def _few_files(df: DataFrame) -> DataFrame:
+    """df in fewer, larger parts: counts and scores are small beside the texts they come from."""
+    spark = df.sparkSession
+    shuffled = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    return df.coalesce(max(2 * spark.sparkContext.defaultParallelism, shuffled // 8))
+
+
 def score_documents(docs: DataFrame) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row of docs.
 
@@ -352,7 +359,7 @@ def score_documents(docs: DataFrame) -> DataFrame:
     """
     held = F.coalesce(crc_mod("doc_id", 5) == 1, F.lit(False))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("held_out", held)
-    counts = cut(word_counts(rows.select("text", (~F.col("held_out")).alias("learn"))), "word-counts")
+    counts = cut(_few_files(word_counts(rows.select("text", (~F.col("held_out")).alias("learn")))), "word-counts")
     words = lexicon(counts)
     weights = train(rows.filter(~F.col("held_out")), words)
     scored = cut(_scores(rows, words, weights), "lm-scores")
@@ -364,7 +371,7 @@ def score_documents(docs: DataFrame) -> DataFrame:
     per_doc = joined.groupBy("key").agg(F.sum(F.col("n") * base).alias("more_base"), F.sum(F.col("n") * tail).alias("more_score"), F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("more_known"))
     out = scored.drop("rest").join(per_doc, "key", "left")
     zero = F.lit(0.0)
-    return out.select(
+    return _few_files(out).select(
         "doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), F.lit(words.total).cast("long").alias("train_tokens"),
         (F.col("base") + F.coalesce("more_base", zero)).alias("base_score"), (F.col("score") + F.coalesce("more_score", zero)).alias("score"),
     )
