@@ -91,14 +91,15 @@ def push_walk_balanced(g: Graph, state: DataFrame, p: PprParams, prices: Prices
     top = state.agg(F.max(F.col("r") / F.greatest(F.col("deg"), F.lit(1)))).first()[0] or 0.0
     rho = max(floor, top / 2)
     rounds = 0
-    while True:
-        pushed = forward_push(g, state, rho, p.alpha, chain=1)
+    while True:  # one round at a time: a whole rung may cost far more than it saves
+        pushed = forward_push(g, state, rho, p.alpha, max_rounds=1, chain=1)
         state, rounds = pushed.state, rounds + pushed.rounds
         spent = prices.arc * pushed.edge_touches + prices.round * rounds * sources
         ahead = per_walk * (1 - p.alpha) * pushed.residue * c
-        if spent + prices.round >= ahead or rho <= floor:
+        if spent + prices.round >= ahead or (not pushed.rounds and rho <= floor):
             return finish(g, Pushed(state, rounds, pushed.residue, pushed.edge_touches), p, c, True, index, engine)
-        rho /= 4
+        if not pushed.rounds:
+            rho /= 4
 
 
 def calibrate(g: Graph, p: PprParams, walks: int = 20_000) -> Prices:
