@@ -9,6 +9,9 @@ bucket hands on a spanning forest, never its pairs. A bucket that crosses partit
 in a second pass, and one above the size limit by probing: each member looks up the fingerprints
 at distance 1 .. radius inside the bucket's free positions with an equi-join, which is exact and
 linear in the members.
+
+Near-dedup (keep_one_similar) asks for a Jaccard similarity of shingle sets, which no small radius of the
+fingerprint reaches. It finds all pairs by prefix filtering and decides each on the whole sets.
 """
 
 from __future__ import annotations
@@ -28,6 +31,10 @@ from pushwave.plans.durable import cut
 BITS, SHINGLE, SEED = 64, 3, 42
 #: Largest bucket that one task compares by itself.
 LIMIT = 4096
+#: What keep_one_similar calls near: words of a shingle, and the least Jaccard similarity as a fraction.
+NEAR_SHINGLE, NEAR = 5, (4, 5)
+#: Documents sampled, about, and shingles kept at most, for the order in which sets are searched.
+ORDER_DOCS, ORDER_SHINGLES = 20_000, 50_000
 
 
 def fingerprint(text: bytes | None) -> int:
@@ -200,6 +207,126 @@ def _classes(docs: DataFrame, radius: int) -> tuple[DataFrame, DataFrame]:
     return fps, cut(found.select(F.col("node").alias("f"), "root"), "components")
 
 
+def shingle_set(text: bytes | None) -> np.ndarray:
+    """Hashes of the different shingles of NEAR_SHINGLE words, ascending; fewer words are one shingle, none give none."""
+    words = (text or b"").lower().split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    digest = xxhash.xxh64_intdigest
+    grams = [words] if len(words) < NEAR_SHINGLE else zip(*(words[i:] for i in range(NEAR_SHINGLE)), strict=False)
+    return np.unique(np.fromiter((digest(b" ".join(g), SEED) for g in grams), np.uint64))
+
+
+def _set_id(grams: np.ndarray) -> int:
+    return _signed(xxhash.xxh64_intdigest(grams.tobytes(), SEED))
+
+
+def _common_shingles(docs: DataFrame) -> np.ndarray:
+    """The shingles that repeat most in a sample of about ORDER_DOCS documents, the rarer first.
+
+    They only say which shingles come last in the order; every order finds the same pairs.
+    """
+
+    def run(batches: Batches) -> Batches:
+        schema = pa.schema([("h", pa.int64())])
+        for b in batches:
+            for text in raw(b, "text"):
+                yield table(schema, shingle_set(text).view(np.int64))
+
+    every = max(1, docs.count() // ORDER_DOCS)
+    text = F.coalesce("text", F.lit(""))
+    sample = docs.select(text.alias("text")).filter(F.pmod(F.xxhash64("text"), F.lit(every)) == 0)
+    counts = sample.mapInArrow(run, "h long").groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= 4)
+    got = counts.orderBy(F.desc("n"), "h").limit(ORDER_SHINGLES).collect()  # of a fixed number
+    return np.array([r["h"] for r in reversed(got)], np.int64).view(np.uint64)
+
+
+def _set_rows(docs: DataFrame) -> DataFrame:
+    """(doc_id, tid, fp, n, prefix): fp stands for the set; prefix: its first shingles in the common order.
+
+    Sets of n and m shingles with a Jaccard similarity of NEAR share one of the first n - ceil(NEAR n) + 1
+    and m - ceil(NEAR m) + 1 shingles in any order.
+    """
+    shared = docs.sparkSession.sparkContext.broadcast(_common_shingles(docs))
+
+    def run(batches: Batches) -> Batches:
+        schema = pa.schema([("doc_id", pa.int64()), ("tid", pa.int64()), ("fp", pa.int64()), ("n", pa.int32()), ("prefix", pa.list_(pa.int64()))])
+        common = shared.value
+        rank = np.argsort(common, kind="stable")
+        known = common[rank]
+        for b in batches:
+            rows, size = [], 0
+            for doc_id, tid, text in zip(b.column("doc_id").to_pylist(), b.column("tid").to_pylist(), raw(b, "text"), strict=True):
+                grams = shingle_set(text)
+                n = len(grams)
+                first = grams
+                if n and len(known):
+                    at = np.minimum(np.searchsorted(known, grams), len(known) - 1)
+                    first = grams[np.argsort(np.where(known[at] == grams, rank[at], -1), kind="stable")]
+                keep = n - -(-NEAR[0] * n // NEAR[1]) + 1 if n else 0
+                rows.append((doc_id, tid, _set_id(grams), n, first[:keep].view(np.int64)))
+                size += keep
+                if size > 200_000:
+                    yield table(schema, *zip(*rows, strict=True))
+                    rows, size = [], 0
+            if rows:
+                yield table(schema, *zip(*rows, strict=True))
+
+    text = F.coalesce("text", F.lit(""))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("tid"), text.alias("text"))
+    return rows.mapInArrow(run, "doc_id long, tid long, fp long, n int, prefix array<long>")
+
+
+def _whole_sets(docs: DataFrame, asked: DataFrame) -> DataFrame:
+    """(fp, grams) of the asked sets, from the texts again; asked: tid of one text of each."""
+
+    def run(batches: Batches) -> Batches:
+        schema = pa.schema([("fp", pa.int64()), ("grams", pa.list_(pa.int64()))])
+        for b in batches:
+            for text in raw(b, "text"):
+                grams = shingle_set(text)
+                yield table(schema, [_set_id(grams)], [grams.view(np.int64)])
+
+    text = F.coalesce("text", F.lit(""))
+    texts = docs.select(F.xxhash64(text).alias("tid"), text.alias("text")).join(asked, "tid", "left_semi").select("text")
+    return texts.mapInArrow(run, "fp long, grams array<long>").groupBy("fp").agg(F.first("grams").alias("grams"))
+
+
+def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
+    """(a, b) of all pairs of different sets whose Jaccard similarity is NEAR or more; exact.
+
+    What a pair shares of its prefixes bounds what it can have in common: up to the last shared
+    shingle all shared ones are counted, and so are they up to the end of the prefix that ends
+    first. The pairs that are left are decided by the whole sets.
+    """
+    up, down = NEAR
+    each = sets.groupBy("fp").agg(F.first("n").alias("n"), F.first("prefix").alias("prefix"))
+    entries = cut(each.select("fp", "n", F.posexplode("prefix").alias("at", "h")), "prefixes")
+    a = entries.select("h", F.col("fp").alias("a"), F.col("n").alias("na"), F.col("at").alias("pa"))
+    b = entries.select("h", F.col("fp").alias("b"), F.col("n").alias("nb"), F.col("at").alias("pb"))
+    after = F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) - 1
+    needed = (F.col("na") + F.col("nb")) * up
+    once = (F.col("na") < F.col("nb")) | ((F.col("na") == F.col("nb")) & (F.col("a") < F.col("b")))
+    able = (F.col("na") * down >= F.col("nb") * up) & ((F.least("pa", "pb") + 1 + after) * (up + down) >= needed)
+    met = a.join(b, "h").filter(once & able).groupBy("a", "b", "na", "nb").agg(F.count(F.lit(1)).alias("n"), F.max("pa").alias("pa"), F.max("pb").alias("pb"))
+    beyond = F.ceil(F.col("nb") * up / down) - 1  # nb is the greater
+    pairs = cut(met.filter(((F.col("n") + after) * (up + down) >= needed) & ((F.col("n") + beyond) * (up + down) >= needed)).select("a", "b"), "pairs")
+    ends = pairs.select(F.col("a").alias("fp")).unionByName(pairs.select(F.col("b").alias("fp"))).distinct()
+    asked = cut(sets.select("fp", "tid").join(ends, "fp", "left_semi").groupBy("fp").agg(F.min("tid").alias("tid")).select("tid"), "asked")
+    whole = cut(_whole_sets(docs, asked), "sets")
+    left = pairs.join(whole.select(F.col("fp").alias("a"), F.col("grams").alias("ga")), "a")
+    both = left.join(whole.select(F.col("fp").alias("b"), F.col("grams").alias("gb")), "b")
+    shared = F.size(F.array_intersect("ga", "gb"))
+    return both.filter(shared * (up + down) >= (F.size("ga") + F.size("gb")) * up).select("a", "b")
+
+
+def _near_classes(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """As _classes, of shingle sets: fp stands for the set, links are pairs of similarity NEAR or more."""
+    sets = cut(_set_rows(docs), "shingle-sets")
+    found = components(similar_sets(docs, sets))
+    return sets.select("doc_id", "tid", "fp"), cut(found.select(F.col("node").alias("f"), "root"), "components")
+
+
 def near_duplicate_classes(docs: DataFrame, radius: int = 2) -> DataFrame:
     """(doc_id, fp, component_id) of each row of docs; component_id: least doc_id reachable.
 
@@ -222,7 +349,19 @@ def keep_one(docs: DataFrame, radius: int = 2) -> DataFrame:
     Null ids are the greatest. Of wholly repeated (doc_id, text) rows one stays. Other columns pass
     through; an empty table gives an empty table.
     """
-    fps, linked = _classes(docs, radius)
+    return _first_of_each(docs, *_classes(docs, radius))
+
+
+def keep_one_similar(docs: DataFrame) -> DataFrame:
+    """As keep_one, but near duplicates are linked by a Jaccard similarity of NEAR or more.
+
+    The sets are those of shingles of NEAR_SHINGLE words. Texts of fewer words are one shingle;
+    texts without words are copies of each other.
+    """
+    return _first_of_each(docs, *_near_classes(docs))
+
+
+def _first_of_each(docs: DataFrame, fps: DataFrame, linked: DataFrame) -> DataFrame:
     order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tid")
     first = fps.groupBy("fp").agg(F.min(order).alias("first"), F.count(F.lit(1)).alias("n"))
     classed = cut(first.join(linked, F.col("fp") == F.col("f"), "left").select("fp", "first", F.coalesce("root", "fp").alias("root")), "classes")
