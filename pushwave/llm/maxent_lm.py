@@ -9,8 +9,8 @@ probability by discounted counts; all words never seen in training together hold
 frees, the same convention of one unknown type that the base score has.
 
 Counts cover every training document. Weights come from gradient steps that all tasks take from
-the same start on an eighth of each training document's positions; rows are averaged by how often
-a task touched them. Scoring works on arrays of a few thousand positions. Counts of the most
+the same start on all positions of all training documents; rows are averaged by how often a task
+touched them. Scoring works on arrays of a few thousand positions. Counts of the most
 frequent words travel as a broadcast of a fixed number of entries; the other words of a document
 are joined to the count table.
 """
@@ -34,8 +34,8 @@ VOCABULARY = CLASSES * SLOTS
 CLASS_ROWS, WORD_ROWS = 2**15, 2**14
 #: Words whose counts are broadcast at most.
 HEAD = 131_072
-#: Of a training document's positions, one in STRIDE takes a gradient step.
-STRIDE, RATE, CHUNK = 8, 0.35, 8192
+#: Rate of a gradient step, and positions that take one together.
+RATE, CHUNK = 0.35, 8192
 #: Words a task counts before it hands them on.
 FLUSH = 200_000
 END = b""
@@ -243,11 +243,8 @@ def train(docs: DataFrame, words: Lexicon) -> Weights:
         for b in batches:
             texts = raw(b, "text")
             for s, e in _parts(texts):
-                _, _, ids, w1, w2, sizes, first = coder.encode(texts[s:e])
-                inside = np.arange(len(ids)) - np.repeat(first, sizes)
-                phase = np.repeat(np.array([len(t or b"") % STRIDE for t in texts[s:e]]), sizes)
-                pick = np.flatnonzero((inside + phase) % STRIDE == 0)
-                own.learn(ids[pick], w1[pick], w2[pick])
+                _, _, ids, w1, w2, _, _ = coder.encode(texts[s:e])
+                own.learn(ids, w1, w2)
                 any_ = True
         if any_:
             for offset, rows, seen in ((0, own.w.class_rows, own.class_seen), (CLASS_ROWS, own.w.word_rows, own.word_seen)):
