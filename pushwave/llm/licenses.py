@@ -1,8 +1,8 @@
 """License scan by ordered signature rules (operator 9).
 
 A text becomes its words (digits, a-z after lower-casing, and everything beyond ASCII), joined by
-single spaces. Rules are regexes over that line. A rule is tried only if its gate word is among
-the text's words. Detections are ordered by priority, then length; one whose interval lies inside
+single spaces. Rules are regexes over that line. A rule is tried only if one of its gate words is
+among the text's words. Detections are ordered by priority, then length; one whose interval lies inside
 an accepted interval is dropped. The three base phrases are counted apart and always stay.
 """
 
@@ -22,21 +22,21 @@ from pushwave.llm.common import WORD_BYTES, Batches, raw, table
 #: Phrases of the base count and their labels.
 BASE = (("under the mit license", "mit"), ("apache license version 2", "apache-2"), ("cc by nc", "cc-by-nc"))
 
-#: Label, regex of the name in words, gate word.
+#: Label, regex of the name in words, gate words (every alternative holds one of them).
 FAMILIES = (
-    ("mit", r"(?:mit|expat)", "mit"), ("mit", r"expat", "expat"), ("apache-2", r"apache(?: software)?(?: license)?(?: version)?(?: v)? ?2(?: 0)?", "apache"), ("apache-1.1", r"apache(?: software)?(?: license)?(?: version)? 1 1", "apache"),
-    ("gpl-3", r"(?:gnu )?(?:gpl|general public license)(?: version)?(?: v)? ?3(?: 0)?", "gpl"), ("gpl-3", r"gplv3", "gplv3"), ("gpl-3", r"(?:gnu )?general public license(?: version)?(?: v)? ?3(?: 0)?", "general"),
-    ("gpl-2", r"(?:gnu )?gpl(?: version)?(?: v)? ?2(?: 0)?", "gpl"), ("gpl-2", r"gplv2", "gplv2"), ("gpl-2", r"(?:gnu )?general public license(?: version)?(?: v)? ?2(?: 0)?", "general"),
-    ("lgpl-2.1", r"(?:gnu )?lgpl(?: version)?(?: v)? ?2 1", "lgpl"), ("lgpl-3", r"(?:gnu )?lgpl(?: version)?(?: v)? ?3(?: 0)?", "lgpl"), ("lgpl", r"(?:gnu )?(?:lesser|library) general public license", "general"),
-    ("agpl-3", r"(?:gnu )?agpl(?: version)?(?: v)? ?3(?: 0)?", "agpl"), ("agpl-3", r"(?:gnu )?affero general public license(?: version)?(?: v)? ?3(?: 0)?", "affero"),
-    ("bsd-2", r"(?:bsd 2 clause|2 clause bsd|simplified bsd|freebsd)", "bsd"), ("bsd-3", r"(?:bsd 3 clause|3 clause bsd|new bsd|modified bsd|revised bsd)", "bsd"), ("bsd-4", r"(?:bsd 4 clause|4 clause bsd|original bsd)", "bsd"),
-    ("mpl-2", r"(?:mozilla public license|mpl)(?: version)?(?: v)? ?2(?: 0)?", "mozilla"), ("mpl-2", r"mpl(?: version)?(?: v)? ?2(?: 0)?", "mpl"), ("mpl-1.1", r"(?:mozilla public license|mpl)(?: version)? 1 1", "mozilla"),
-    ("epl-1", r"eclipse public license(?: version)?(?: v)? ?1(?: 0)?", "eclipse"), ("epl-2", r"eclipse public license(?: version)?(?: v)? ?2(?: 0)?", "eclipse"), ("cddl-1", r"(?:cddl|common development and distribution license)(?: version)? 1(?: 0)?", "cddl"),
+    ("mit", r"(?:mit|expat)", "mit"), ("mit", r"expat", "expat"), ("apache-2", r"apache(?: software)?(?: license)?(?: version)?(?: v)? ?2(?: 0)?", "apache|apache2"), ("apache-1.1", r"apache(?: software)?(?: license)?(?: version)? 1 1", "apache"),
+    ("gpl-3", r"(?:gnu )?(?:gpl|general public license)(?: version)?(?: v)? ?3(?: 0)?", "gpl|gpl3"), ("gpl-3", r"gplv3", "gplv3"), ("gpl-3", r"(?:gnu )?general public license(?: version)?(?: v)? ?3(?: 0)?", "general"),
+    ("gpl-2", r"(?:gnu )?gpl(?: version)?(?: v)? ?2(?: 0)?", "gpl|gpl2"), ("gpl-2", r"gplv2", "gplv2"), ("gpl-2", r"(?:gnu )?general public license(?: version)?(?: v)? ?2(?: 0)?", "general"),
+    ("lgpl-2.1", r"(?:gnu )?lgpl(?: version)?(?: v)? ?2 1", "lgpl|lgpl2"), ("lgpl-3", r"(?:gnu )?lgpl(?: version)?(?: v)? ?3(?: 0)?", "lgpl|lgpl3"), ("lgpl", r"(?:gnu )?(?:lesser|library) general public license", "general"),
+    ("agpl-3", r"(?:gnu )?agpl(?: version)?(?: v)? ?3(?: 0)?", "agpl|agpl3"), ("agpl-3", r"(?:gnu )?affero general public license(?: version)?(?: v)? ?3(?: 0)?", "affero"),
+    ("bsd-2", r"(?:bsd 2 clause|2 clause bsd|simplified bsd|freebsd)", "bsd|freebsd"), ("bsd-3", r"(?:bsd 3 clause|3 clause bsd|new bsd|modified bsd|revised bsd)", "bsd"), ("bsd-4", r"(?:bsd 4 clause|4 clause bsd|original bsd)", "bsd"),
+    ("mpl-2", r"(?:mozilla public license|mpl)(?: version)?(?: v)? ?2(?: 0)?", "mozilla"), ("mpl-2", r"mpl(?: version)?(?: v)? ?2(?: 0)?", "mpl|mpl2"), ("mpl-1.1", r"(?:mozilla public license|mpl)(?: version)? 1 1", "mozilla|mpl"),
+    ("epl-1", r"eclipse public license(?: version)?(?: v)? ?1(?: 0)?", "eclipse"), ("epl-2", r"eclipse public license(?: version)?(?: v)? ?2(?: 0)?", "eclipse"), ("cddl-1", r"(?:cddl|common development and distribution license)(?: version)? 1(?: 0)?", "cddl|distribution"),
     ("isc", r"isc", "isc"), ("zlib", r"zlib(?: libpng)?", "zlib"), ("unlicense", r"unlicense", "unlicense"), ("wtfpl", r"wtfpl", "wtfpl"), ("bsl-1", r"boost software license(?: version)?(?: 1 0)?", "boost"),
     ("artistic-2", r"artistic license(?: version)? ?2(?: 0)?", "artistic"), ("artistic-1", r"artistic license(?: version)? 1(?: 0)?", "artistic"), ("psf", r"python software foundation", "python"), ("ofl-1.1", r"(?:sil )?open font(?: license)?(?: version)?(?: 1 1)?", "font"),
     ("eupl-1.2", r"european union public licen[cs]e(?: version)?(?: v)?(?: 1 2)?", "european"), ("ms-pl", r"microsoft public license", "microsoft"), ("ms-rl", r"microsoft reciprocal license", "microsoft"), ("postgresql", r"postgresql", "postgresql"),
-    ("cc0-1", r"(?:cc0|cc zero)(?: 1 0)?(?: universal)?", "cc0"), ("cc-by", r"(?:cc by|creative commons attribution)(?: [1-4] 0)?", "cc"), ("cc-by", r"creative commons attribution(?: [1-4] 0)?", "creative"),
-    ("cc-by-sa", r"(?:cc by sa|creative commons attribution share ?alike)(?: [1-4] 0)?", "cc"), ("cc-by-sa", r"creative commons attribution share ?alike(?: [1-4] 0)?", "creative"), ("cc-by-nd", r"(?:cc by nd|creative commons attribution no ?deriv(?:ative)?s)(?: [1-4] 0)?", "cc"),
+    ("cc0-1", r"(?:cc0|cc zero)(?: 1 0)?(?: universal)?", "cc0|zero"), ("cc-by", r"(?:cc by|creative commons attribution)(?: [1-4] 0)?", "cc"), ("cc-by", r"creative commons attribution(?: [1-4] 0)?", "creative"),
+    ("cc-by-sa", r"(?:cc by sa|creative commons attribution share ?alike)(?: [1-4] 0)?", "cc"), ("cc-by-sa", r"creative commons attribution share ?alike(?: [1-4] 0)?", "creative"), ("cc-by-nd", r"(?:cc by nd|creative commons attribution no ?deriv(?:ative)?s)(?: [1-4] 0)?", "cc|creative"),
     ("cc-by-nc", r"(?:cc by nc|creative commons attribution non ?commercial)(?: [1-4] 0)?", "cc"), ("cc-by-nc", r"creative commons attribution non ?commercial(?: [1-4] 0)?", "creative"), ("cc-by-nc-sa", r"cc by nc sa(?: [1-4] 0)?", "cc"), ("cc-by-nc-nd", r"cc by nc nd(?: [1-4] 0)?", "cc"),
 )
 
@@ -69,7 +69,7 @@ class Rule:
     confidence: float
     label: str
     pattern: re.Pattern
-    gate: bytes
+    gates: tuple[bytes, ...]
 
 
 @cache
@@ -77,7 +77,7 @@ def rules() -> tuple[Rule, ...]:
     """All rules in order of priority; a pattern begins and ends at word borders."""
     made = [(p, c, label, form.format(name), gate) for (label, name, gate), (p, c, form) in product(FAMILIES, FORMS)]
     made += SINGLE
-    out = [Rule(p, c, label, re.compile(rf"(?<= )(?:{body})(?= )".encode()), gate.encode()) for p, c, label, body, gate in made]
+    out = [Rule(p, c, label, re.compile(rf"(?<= )(?:{body})(?= )".encode()), tuple(gate.encode().split(b"|"))) for p, c, label, body, gate in made]
     return tuple(sorted(out, key=lambda r: -r.priority))
 
 
@@ -85,7 +85,8 @@ def rules() -> tuple[Rule, ...]:
 def _gates() -> dict[bytes, list[Rule]]:
     out: dict[bytes, list[Rule]] = {}
     for r in rules():
-        out.setdefault(r.gate, []).append(r)
+        for gate in r.gates:
+            out.setdefault(gate, []).append(r)
     return out
 
 
@@ -121,7 +122,7 @@ def detect(line: bytes, words: list[bytes]) -> list[Finding]:
     gates = _gates()
     if gates.keys().isdisjoint(words):
         return []
-    tried = sorted((r for g in gates.keys() & set(words) for r in gates[g]), key=lambda r: -r.priority)
+    tried = sorted({r: None for g in sorted(gates.keys() & set(words)) for r in gates[g]}, key=lambda r: -r.priority)
     raw_hits = [(r.priority, m.end() - m.start(), -m.start(), r, m.start(), m.end()) for r in tried for m in r.pattern.finditer(line)]
     raw_hits.sort(key=lambda h: h[:3], reverse=True)
     taken: list[tuple[int, int]] = []
