@@ -18,9 +18,12 @@ CONF = "spark.checkpoint.dir"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's shared folder. Only where none is set (tests, one machine) a local one is made."""
+    """The session's shared folder. Where none is set a local master gets a folder of this machine; on a
+    cluster that would lose data, so there it is an error."""
     named = spark.sparkContext.getConf().get(CONF, None) or spark.sparkContext.getCheckpointDir()
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError(f"set {CONF} to a folder that all executors share")
         named = "file://" + tempfile.mkdtemp(prefix="pushwave-")
         spark.sparkContext.setCheckpointDir(named)
         named = spark.sparkContext.getCheckpointDir()
@@ -31,11 +34,11 @@ def new_folder(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def cut(df: DataFrame, name: str = "cut") -> DataFrame:
-    """Write df once and go on from the written table."""
+def cut(df: DataFrame, name: str = "cut", **options: str) -> DataFrame:
+    """Write df once and go on from the written table; options: of the Parquet writer."""
     spark = df.sparkSession
     path = new_folder(spark, name)
-    df.write.parquet(path)
+    df.write.options(**options).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
