@@ -12,8 +12,8 @@ from pushwave.plans.durable import ship
 
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
-#: Rows in an Arrow batch: whole texts are long, so batches are kept short.
-BATCH_ROWS = 2048
+#: Rows and bytes in an Arrow batch: whole texts are long, so batches are kept short.
+BATCH_ROWS, BATCH_BYTES = 2048, 16 << 20
 #: Translates UTF-8 so that words are digits, lower-cased letters and all beyond ASCII; the rest are blanks.
 WORD_BYTES = bytes(b + 32 if 0x41 <= b <= 0x5A else b if 0x30 <= b <= 0x39 or 0x61 <= b <= 0x7A or b >= 0x80 else 0x20 for b in range(256))
 
@@ -22,6 +22,7 @@ def prepare(spark: SparkSession) -> SparkSession:
     """Ship the package to the workers and bound the Arrow batches (a run-time setting)."""
     ship(spark)
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
     return spark
 
 

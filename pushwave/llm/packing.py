@@ -1,11 +1,13 @@
 """Lexical retrieval packing of documents into fixed windows (operator 10).
 
-Each task reads its split of the corpus once and forms index shards of a bounded number of code
-points; the text is never shuffled. A shard has an inverted BM25 index over token ids. A window
-starts with a seed document (the rest of the one that was cut last, else the first unused one);
-its unused neighbours, best score first, fill the window, the last of them is cut where the
-window ends, and its rest is the next seed. A window that is open when its shard is used up goes
-on in the task's next shard, so a task pads one window at most.
+Documents are tokenized once into a written table. The seeds are the documents whose id is divisible
+by 100. A BM25 index over blocks of seeds scores every document of the corpus against every seed,
+with document frequencies and mean length of all documents (see bm25). Each seed gets its best
+neighbours; a document that several seeds want goes to the seed it ranks best for, and one that no
+seed lists goes to the seed that scores it best. So no document is used twice. A seed and its
+neighbours, best first, fill one window after the other; the last document of a window is cut where
+the window ends. What is ordered and summed are ids and lengths alone, so windows have no gaps and
+only the last of all is padded; the tokens move once, to meet their places.
 """
 
 from __future__ import annotations
@@ -14,127 +16,97 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from pushwave.llm import bm25
 from pushwave.llm.common import Batches, raw, table
 from pushwave.llm.wordpieces import codec
+from pushwave.plans.durable import cut
 
 WINDOW = 4096
-#: Bytes of text in one index shard.
-SHARD_BYTES = 2_000_000
-K1, B = 1.2, 0.75
+#: Ids divisible by this are seeds; neighbours that a seed lists.
+SEED_EVERY, NEIGHBOURS = 100, 8
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 _ARROW = pa.schema([(c.split()[0], pa.int64()) for c in PIECES.split(", ")])
+_TOKENS = "key long, doc_id long, n long, ids binary, terms binary, times binary"
 
 
-class Bm25Index:
-    """Postings of one shard: for each term the documents and their weights."""
-
-    def __init__(self, docs: list[np.ndarray]):
-        self.n = len(docs)
-        parts = [np.unique(d, return_counts=True) for d in docs]
-        self.terms_of = [p[0] for p in parts]
-        terms = np.concatenate(self.terms_of)
-        tf = np.concatenate([p[1] for p in parts]).astype(np.float32)
-        doc = np.repeat(np.arange(self.n), [len(t) for t in self.terms_of])
-        length = np.array([len(d) for d in docs], np.float32)
-        order = np.argsort(terms, kind="stable")
-        self.terms, self.first, df = np.unique(terms[order], return_index=True, return_counts=True)
-        self.df = df
-        idf = np.log1p((self.n - df + 0.5) / (df + 0.5)).astype(np.float32)
-        norm = K1 * (1 - B + B * length / max(1.0, float(length.mean())))
-        self.doc = doc[order]
-        self.weight = np.repeat(idf, df) * tf[order] * (K1 + 1) / (tf[order] + norm[self.doc])
-
-    def scores(self, i: int) -> np.ndarray:
-        """BM25 of every document against all distinct terms of document i."""
-        at = np.searchsorted(self.terms, self.terms_of[i])
-        first, df = self.first[at], self.df[at]
-        total = int(df.sum())
-        rows = np.repeat(first - np.cumsum(df) + df, df) + np.arange(total)
-        return np.bincount(self.doc[rows], self.weight[rows], self.n)
-
-    def neighbours(self, i: int, unused: np.ndarray) -> np.ndarray:
-        """Unused documents, best first; ties by place."""
-        score = self.scores(i)
-        rest = np.flatnonzero(unused)
-        return rest[np.argsort(-score[rest], kind="stable")]
-
-
-class Packer:
-    """Fills windows one after the other; holds the open window between shards."""
-
-    def __init__(self, first_id: int, window: int = WINDOW):
-        self.window, self.sequence, self.fill, self.rows = window, first_id, 0, []
-
-    def place(self, doc_id, ids: np.ndarray, start: int) -> int:
-        """Put ids[start:] in the open window, as far as it goes; returns what is placed by then."""
-        end = min(len(ids), start + self.window - self.fill)
-        self.rows.append((doc_id, start, end - start, zlib.crc32(ids[start:end].astype("<u4").tobytes()), len(ids), self.sequence, self.fill))
-        self.fill += end - start
-        if self.fill == self.window:
-            self.sequence, self.fill = self.sequence + 1, 0
-        return end
-
-    def shard(self, names: list, docs: list[np.ndarray]) -> None:
-        index = Bm25Index(docs)
-        unused = np.ones(len(docs), bool)
-        next_seed = 0
-        while True:
-            while next_seed < len(docs) and not unused[next_seed]:
-                next_seed += 1
-            if next_seed == len(docs):
-                return
-            seed, at = next_seed, 0
-            unused[seed] = False
-            while seed is not None:
-                while at < len(docs[seed]):  # a long document fills windows of its own
-                    at = self.place(names[seed], docs[seed], at)
-                owner, seed = seed, None
-                if not self.fill:
-                    break
-                for other in index.neighbours(owner, unused).tolist():
-                    unused[other] = False
-                    at = self.place(names[other], docs[other], 0)
-                    if not self.fill:
-                        if at < len(docs[other]):
-                            seed = other
-                        break
-
-    def take(self) -> list[tuple]:
-        rows, self.rows = self.rows, []
-        return rows
-
-
-def pack(docs: DataFrame, vocabulary: str, end_id: int = 2, window: int = WINDOW) -> DataFrame:
+def tokenized(docs: DataFrame, vocabulary: str, end_id: int) -> DataFrame:
+    """A written table of every row of docs: key (own number), doc_id, n, ids, terms, times."""
+
+    def run(batches: Batches) -> Batches:
+        from pyspark import TaskContext
+
+        schema = pa.schema([("key", pa.int64()), ("doc_id", pa.int64()), ("n", pa.int64()), ("ids", pa.binary()), ("terms", pa.binary()), ("times", pa.binary())])
+        ids, key = codec(vocabulary), TaskContext.get().partitionId() << 33
+        end = np.array([end_id], ids.dtype).tobytes()
+        for b in batches:
+            found = [d + end for d in ids.encode(raw(b, "text"))]
+            packed = [bm25.term_rows(np.frombuffer(d, ids.dtype)) for d in found]
+            yield table(schema, np.arange(key, key + len(found)), b.column("doc_id"), [len(d) // ids.dtype.itemsize for d in found], found, [p[0] for p in packed], [p[1] for p in packed])
+            key += len(found)
+
+    return cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, _TOKENS), "tokens", compression="zstd")
+
+
+def neighbours(docs: DataFrame, vocabulary: str, k: int, every: int = SEED_EVERY, end_id: int = 2) -> DataFrame:
+    """(doc_id, rk, neighbour, score): the k best other documents of every seed, by exact BM25 over all rows."""
+    tokens = tokenized(docs, vocabulary, end_id)
+    _, lists = bm25.search(tokens, _seeds(every), k, codec(vocabulary).tokenizer.get_vocab_size())
+    names = tokens.select("key", "doc_id")
+    named = lists.join(names.withColumnRenamed("doc_id", "neighbour"), "key").drop("key")
+    return named.join(names.withColumnRenamed("key", "seed"), "seed").select("doc_id", "rk", "neighbour", "score")
+
+
+def _seeds(every: int):
+    return F.coalesce(F.col("doc_id") % every == 0, F.lit(False))
+
+
+def _places(homes: DataFrame, lists: DataFrame, tokens: DataFrame, every: int) -> DataFrame:
+    """(key, at): tokens before each document when all are laid end to end, group after group."""
+    claim = lists.groupBy("key").agg(F.min(F.struct("rk", (-F.col("score")).alias("s"), "seed")).alias("claim"))
+    short = tokens.select("key", "n", _seeds(every).alias("is_seed"))
+    own = short.join(homes, "key").join(claim, "key", "left")
+    group = F.when(F.col("is_seed"), F.col("key")).otherwise(F.coalesce("claim.seed", "home"))
+    turn = F.when(F.col("is_seed"), 0).when(F.col("claim").isNotNull(), F.col("claim.rk")).otherwise(F.lit(2**31 - 1))
+    keyed = own.select("key", "n", group.alias("g"), turn.alias("turn"), F.when(F.col("claim").isNull(), -F.col("score")).otherwise(0.0).alias("s"))
+    order = ["g", "turn", "s", "key"]
+    laid = cut(keyed.repartitionByRange(*order).withColumn("part", F.spark_partition_id()), "order")
+    # One row a partition, so this window over all of them is bounded by the number of tasks.
+    sums = laid.groupBy("part").agg(F.sum("n").alias("n"))
+    before = sums.select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    inside = Window.partitionBy("part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    run = laid.select("key", "part", F.coalesce(F.sum("n").over(inside), F.lit(0)).alias("inside"))
+    return run.join(F.broadcast(before), "part").select("key", (F.col("before") + F.col("inside")).alias("at"))
+
+
+def pack(docs: DataFrame, vocabulary: str, end_id: int = 2, window: int = WINDOW, every: int = SEED_EVERY, k: int = NEIGHBOURS) -> DataFrame:
     """One row a piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset.
 
     Null and empty texts are documents of the end id alone. Rows with equal ids, or wholly equal
-    rows, are packed each for itself. Null ids stay null. An empty table gives no piece. Other
-    columns are not read. Long texts fill several windows.
+    rows, are packed each for itself. Null ids stay null and are no seeds. Where there is no seed,
+    or none that shares a term with a document, documents follow each other in the order of the
+    rows read. An empty table gives no piece. Other columns are not read. Long texts fill several
+    windows.
     """
+    tokens = tokenized(docs, vocabulary, end_id)
+    ids = codec(vocabulary)
+    homes, lists = bm25.search(tokens, _seeds(every), k, ids.tokenizer.get_vocab_size())
+    dtype = ids.dtype
 
     def run(batches: Batches) -> Batches:
-        from pyspark import TaskContext
-
-        ids = codec(vocabulary)
-        packer = Packer(TaskContext.get().partitionId() << 32, window)
-        names, found, size = [], [], 0
-        for batch in batches:
-            texts = raw(batch, "text")
-            for name, text, data in zip(batch.column("doc_id").to_pylist(), texts, ids.encode(texts), strict=True):
-                names.append(name)
-                found.append(np.append(np.frombuffer(data, ids.dtype), np.array(end_id, ids.dtype)))
-                size += len(text or b"") + 1
-                if size >= SHARD_BYTES:
-                    packer.shard(names, found)
-                    names, found, size = [], [], 0
-            if packer.rows:
-                yield table(_ARROW, *zip(*packer.take(), strict=True))
-        if names:
-            packer.shard(names, found)
-        if packer.rows:
-            yield table(_ARROW, *zip(*packer.take(), strict=True))
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, PIECES)
+        for b in batches:
+            rows = []
+            for doc_id, data, at in zip(b.column("doc_id").to_pylist(), b.column("ids").to_pylist(), b.column("at").to_pylist(), strict=True):
+                found, start = np.frombuffer(data, dtype).astype("<u4"), 0
+                while start < len(found):
+                    offset = (at + start) % window
+                    end = min(len(found), start + window - offset)
+                    rows.append((doc_id, start, end - start, zlib.crc32(found[start:end].tobytes()), len(found), (at + start) // window, offset))
+                    start = end
+            if rows:
+                yield table(_ARROW, *zip(*rows, strict=True))
+
+    placed = tokens.select("key", "doc_id", "ids").join(_places(homes, lists, tokens, every), "key")
+    return placed.select("doc_id", "ids", "at").mapInArrow(run, PIECES)

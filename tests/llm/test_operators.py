@@ -273,27 +273,58 @@ def check_packing(found, texts, encoded, window):
 
 
 def test_packing(spark, docs, none, encoded):
-    for window in (64, 4096):
-        seqs = check_packing(rows(packing.pack(wide(docs), vocabulary_path(), 2, window)), dict(ROWS), encoded, window)
+    for window, every in ((64, 100), (4096, 100), (64, 3)):
+        seqs = check_packing(rows(packing.pack(wide(docs), vocabulary_path(), 2, window, every)), dict(ROWS), encoded, window)
         full = sum(sum(r["length"] for r in p) == window for p in seqs.values())
-        assert len(seqs) - full <= docs.rdd.getNumPartitions()
+        assert len(seqs) - full <= 1 and set(seqs) == set(range(len(seqs)))
     assert packing.pack(none, vocabulary_path()).count() == 0
     assert sum(r["length"] for r in rows(packing.pack(docs.unionByName(docs), vocabulary_path()))) == 2 * sum(len(encoded(t)) + 1 for _, t in ROWS)
+    odd = spark.createDataFrame([(None, "no id"), (None, None), (0, "seed of all"), (-100, "seed of all")], "doc_id long, text string")
+    assert Counter(r["doc_id"] for r in rows(packing.pack(odd, vocabulary_path()))) == {None: 2, 0: 1, -100: 1}
 
 
-def test_bm25_equals_brute_force():
-    rng = np.random.default_rng(4)
-    docs = [rng.integers(0, 50, int(n)).astype("<u2") for n in rng.integers(1, 80, 40)]
-    index = packing.Bm25Index(docs)
-    mean = np.mean([len(d) for d in docs])
-    df = Counter(t for d in docs for t in set(d.tolist()))
-    for q in (0, 7, 39):
-        want = [sum(math.log1p((40 - df[t] + 0.5) / (df[t] + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len(d) / mean)) for t, tf in Counter(d.tolist()).items() if t in set(docs[q].tolist())) for d in docs]
-        assert np.allclose(index.scores(q), want, rtol=1e-4)
-        unused = np.ones(40, bool)
-        unused[q] = False
-        top = index.neighbours(q, unused)[:5]
-        assert len(set(top.tolist()) & set(np.argsort([-w if i != q else 0 for i, w in enumerate(want)])[:5].tolist())) >= 5  # recall 1 inside a shard
+def brute_bm25(docs: list[np.ndarray]):
+    """scores(q): BM25 of every document against the distinct terms of document q, by the formula."""
+    n, mean = len(docs), np.mean([len(d) for d in docs])
+    held = [Counter(d.tolist()) for d in docs]
+    df = Counter(t for h in held for t in h)
+
+    def scores(q):
+        return [sum(math.log1p((n - df[t] + 0.5) / (df[t] + 0.5)) * h[t] * 2.2 / (h[t] + 1.2 * (0.25 + 0.75 * len(d) / mean)) for t in held[q] if t in h) for d, h in zip(docs, held, strict=True)]
+
+    return scores
+
+
+@pytest.mark.parametrize("block", [2048, 3])
+def test_neighbours_equal_brute_force_over_the_whole_table(spark, encoded, monkeypatch, block):
+    """Recall of the five best against brute-force BM25 over all documents, with one block of seeds and with many."""
+    monkeypatch.setattr(packing.bm25, "SEEDS", block)
+    prepare(spark)
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").repartition(3)
+    data = [(r["doc_id"], np.array(encoded(r["text"] or "") + [2])) for r in docs.collect()]
+    scores = brute_bm25([d for _, d in data])
+    found = defaultdict(list)
+    for r in rows(packing.neighbours(docs, vocabulary_path(), 5, every=10)):
+        found[r["doc_id"]].append((r["rk"], r["neighbour"], r["score"]))
+    seeds = [i for i, _ in data if i % 10 == 0]
+    assert set(found) == set(seeds)
+    hits = 0
+    for q, (i, _) in enumerate(data):
+        if i % 10 == 0:
+            want = sorted((-s, data[j][0]) for j, s in enumerate(scores(q)) if j != q)[:5]
+            assert np.allclose([-w for w, _ in want], [s for _, _, s in sorted(found[i])], rtol=1e-4)
+            hits += len({j for _, j in want} & {j for _, j, _ in found[i]})
+    assert hits >= 0.97 * 5 * len(seeds)  # equal scores may change places
+
+
+def test_a_seed_is_packed_beside_its_neighbours(spark):
+    prepare(spark)
+    words = [[f"{'abcdefghij'[t]}{'klmnopqrst'[w]}um" for w in range(10)] for t in range(4)]
+    texts = [(i, " ".join(words[i % 4] * 3)) for i in range(400, 440)]
+    texts = [(i * 100 if i < 404 else i * 100 + 1, t) for i, t in texts]  # a seed of each theme
+    got = {r["doc_id"]: r["sequence_id"] * 4096 + r["offset"] for r in rows(packing.pack(spark.createDataFrame(texts, "doc_id long, text string").repartition(4), vocabulary_path()).filter("start = 0"))}
+    laid = [dict(texts)[d] for d in sorted(got, key=got.get)]
+    assert sum(a != b for a, b in itertools.pairwise(laid)) == 3  # themes lie together
 
 
 # --- fingerprints -------------------------------------------------------------------------------
