@@ -8,13 +8,14 @@ product, the others are postings. Scores are exact; nothing is pruned by an esti
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.parquet as pq
 from pyarrow import fs as pafs
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pushwave.llm.common import Batches, table
@@ -25,16 +26,19 @@ K1, B = 1.2, 0.75
 SEEDS, DOCS, KEPT = 2048, 512, 8
 #: Share of a block's seeds that hold a term from which on it is a dense column.
 DENSE = 0.04
-TERM, TIMES = np.dtype("<u4"), np.dtype("<u4")
+#: Documents of one in this many, by hash, tighten the floors before all are searched.
+PROBE = 10
 
 
 @dataclass(frozen=True)
 class Statistics:
-    """Of all documents: how many, their mean length, and the document frequency of every term."""
+    """Of all documents: how many, their mean length, the document frequency of every term, and the
+    type of a term."""
 
     n: int
     mean: float
     df: np.ndarray
+    term: str
 
     def idf(self) -> np.ndarray:
         return np.log1p((self.n - self.df + 0.5) / (self.df + 0.5)).astype(np.float32)
@@ -46,18 +50,28 @@ class Statistics:
 
 
 def term_rows(ids: np.ndarray) -> tuple[bytes, bytes]:
-    """(terms, times) of a document, packed."""
-    terms, times = np.unique(ids, return_counts=True)
-    return terms.astype(TERM).tobytes(), times.astype(TIMES).tobytes()
+    """(terms, times) of a document that is not empty, packed: terms as its ids are, times in 2 bytes
+    each or, if one needs more, in 4."""
+    flat = np.sort(ids)
+    first = np.flatnonzero(np.concatenate([[True], flat[1:] != flat[:-1]]))
+    times = np.diff(first, append=len(flat))
+    return flat[first].tobytes(), times.astype("<u2" if len(flat) < 65536 else "<u4").tobytes()
 
 
-def statistics(docs: DataFrame, vocabulary: int) -> Statistics:
+def unpack_times(times: list[bytes], sizes: np.ndarray) -> np.ndarray:
+    """How often each term occurs, of all documents in turn."""
+    if all(len(t) == 2 * n for t, n in zip(times, sizes.tolist(), strict=True)):
+        return np.frombuffer(b"".join(times), "<u2")
+    return np.concatenate([np.frombuffer(t, "<u2" if len(t) == 2 * n else "<u4").astype(np.int64) for t, n in zip(times, sizes.tolist(), strict=True)])
+
+
+def statistics(docs: DataFrame, vocabulary: int, term: str) -> Statistics:
     """docs: n (length), terms. Counts are summed by task, then by term; the vocabulary bounds what is collected."""
 
     def count(batches: Batches) -> Batches:
         df = np.zeros(vocabulary, np.int64)
         for b in batches:
-            flat = np.frombuffer(b"".join(b.column("terms").to_pylist()), TERM)
+            flat = np.frombuffer(b"".join(b.column("terms").to_pylist()), term)
             df += np.bincount(flat, minlength=vocabulary)
         used = np.flatnonzero(df)
         yield table(pa.schema([("term", pa.int32()), ("df", pa.int64())]), used, df[used])
@@ -67,7 +81,7 @@ def statistics(docs: DataFrame, vocabulary: int) -> Statistics:
     df = np.zeros(vocabulary, np.int64)
     for r in found:
         df[r["term"]] = r["df"]
-    return Statistics(int(n), float(mean or 1.0), df)
+    return Statistics(int(n), float(mean or 1.0), df, term)
 
 
 class SeedIndex:
@@ -75,7 +89,7 @@ class SeedIndex:
 
     def __init__(self, keys: np.ndarray, floors: np.ndarray, selves: np.ndarray, terms: list[np.ndarray], vocabulary: int):
         self.keys, self.floors, self.selves = keys, floors, selves
-        flat = np.concatenate(terms) if terms else np.zeros(0, TERM)
+        flat = np.concatenate(terms) if terms else np.zeros(0, np.int64)
         seed = np.repeat(np.arange(len(terms)), [len(t) for t in terms])
         held = np.bincount(flat, minlength=vocabulary)
         common = np.flatnonzero(held > DENSE * len(terms))
@@ -106,7 +120,7 @@ class SeedIndex:
         return out
 
 
-def _blocks(files: list[str], vocabulary: int, kept: dict) -> SeedIndex:
+def _blocks(files: list[str], stats: Statistics, kept: dict) -> Iterator[SeedIndex]:
     """The seed blocks of some files, read one at a time; the first few stay in memory."""
     for uri in files:
         index = kept.get(uri)
@@ -114,7 +128,7 @@ def _blocks(files: list[str], vocabulary: int, kept: dict) -> SeedIndex:
             filesystem, path = pafs.FileSystem.from_uri(uri)
             t = pq.read_table(path, filesystem=filesystem)
             t = t.sort_by("key")
-            index = SeedIndex(t.column("key").to_numpy(), t.column("floor").to_numpy(), t.column("self").to_numpy(), [np.frombuffer(x, TERM) for x in t.column("terms").to_pylist()], vocabulary)
+            index = SeedIndex(t.column("key").to_numpy(), t.column("floor").to_numpy(), t.column("self").to_numpy(), [np.frombuffer(x, stats.term) for x in t.column("terms").to_pylist()], len(stats.df))
             if len(kept) < KEPT:
                 kept[uri] = index
         yield index
@@ -132,19 +146,19 @@ def _search(docs: DataFrame, files: list[str], stats: Statistics, k: int) -> Dat
     """Rows of two kinds from documents (key, n, terms, times): seed null: (key, home, score) of every
     document; else one of the k best documents of a seed inside a batch, if it reaches the seed's floor."""
     schema = pa.schema([("seed", pa.int64()), ("key", pa.int64()), ("home", pa.int64()), ("score", pa.float64())])
-    vocabulary = len(stats.df)
 
     def run(batches: Batches) -> Batches:
         idf, kept = stats.idf(), {}
         for b in batches:
             keys, n = b.column("key").to_numpy(), b.column("n").to_numpy()
-            size = np.array([len(x) // TERM.itemsize for x in b.column("terms").to_pylist()])
-            flat = np.frombuffer(b"".join(b.column("terms").to_pylist()), TERM)
-            times = np.frombuffer(b"".join(b.column("times").to_pylist()), TIMES)
+            terms = b.column("terms").to_pylist()
+            size = np.fromiter(map(len, terms), np.int64, len(terms)) // np.dtype(stats.term).itemsize
+            flat = np.frombuffer(b"".join(terms), stats.term)
+            times = unpack_times(b.column("times").to_pylist(), size)
             weights = stats.weights(idf, flat, times, np.repeat(n, size))
             border = np.concatenate([[0], np.cumsum(size)])
             home, best = np.full(len(keys), -1), np.zeros(len(keys))
-            for index in _blocks(files, vocabulary, kept):
+            for index in _blocks(files, stats, kept):
                 root = 1 / np.sqrt(np.maximum(index.selves, 1e-9)).astype(np.float32)
                 rows = []
                 for s in range(0, len(keys), DOCS):
@@ -183,7 +197,7 @@ def _first(found: DataFrame, k: int) -> DataFrame:
     return found.filter("seed is not null").select("seed", "key", "score").withColumn("rk", F.row_number().over(w)).filter(F.col("rk") <= k)
 
 
-def search(docs: DataFrame, is_seed, k: int, vocabulary: int) -> tuple[DataFrame, DataFrame]:
+def search(docs: DataFrame, is_seed: Column, k: int, vocabulary: int, term: str) -> tuple[DataFrame, DataFrame]:
     """(homes, lists) of a written table of documents (key, n, terms, times).
 
     homes (key, home, score): the seed whose query scores a document best, over the root of the
@@ -192,25 +206,29 @@ def search(docs: DataFrame, is_seed, k: int, vocabulary: int) -> tuple[DataFrame
     Without seeds all homes are -1 and there are no lists.
     """
     spark = docs.sparkSession
-    stats = statistics(docs, vocabulary)
+    stats = statistics(docs, vocabulary, term)
     seeds = docs.filter(is_seed)
     count = seeds.count()
     if not count:
         return docs.select("key", F.lit(-1).cast("long").alias("home"), F.lit(0.0).alias("score")), spark.createDataFrame([], "seed long, rk int, key long, score double")
-    own = stats
 
     def worth(batches: Batches) -> Batches:
         schema = pa.schema([("key", pa.int64()), ("n", pa.int64()), ("terms", pa.binary()), ("times", pa.binary()), ("self", pa.float64())])
-        idf = own.idf()
+        idf = stats.idf()
         for b in batches:
-            selves = [float(own.weights(idf, np.frombuffer(t, TERM), np.frombuffer(c, TIMES), np.float32(n)).sum()) for n, t, c in zip(b.column("n").to_pylist(), b.column("terms").to_pylist(), b.column("times").to_pylist(), strict=True)]
+            selves = []
+            for n, t, c in zip(*(b.column(x).to_pylist() for x in ("n", "terms", "times")), strict=True):
+                terms = np.frombuffer(t, stats.term)
+                selves.append(float(stats.weights(idf, terms, unpack_times([c], np.array([len(terms)])), np.float32(n)).sum()))
             yield table(schema, b.column("key"), b.column("n"), b.column("terms"), b.column("times"), selves)
 
     seeds = cut(seeds.select("key", "n", "terms", "times").mapInArrow(worth, "key long, n long, terms binary, times binary, self double"), "seeds")
-    # The k-th best among the seeds alone bounds the k-th best of all from below: few rows leave a task.
+    # The k-th best among a part of the documents bounds the k-th best of all from below. Ever larger
+    # parts (the seeds, one document in PROBE, all) keep what leaves the tasks to about PROBE * k rows a seed.
     files = _write_seeds(seeds.select("key", "terms", "self", F.lit(0.0).alias("floor")), count)
-    among = _first(_search(seeds, files, stats, k), k).filter(F.col("rk") == k).select(F.col("seed").alias("key"), (F.col("score") * (1 - 1e-5)).alias("floor"))
-    seeds = seeds.join(among, "key", "left").select("key", "terms", "self", F.coalesce("floor", F.lit(0.0)).alias("floor"))
-    files = _write_seeds(seeds, count)
+    for part in (seeds, docs.filter(F.pmod(F.xxhash64("key"), F.lit(PROBE)) == 0)):
+        among = _first(_search(part, files, stats, k), k).filter(F.col("rk") == k).select(F.col("seed").alias("key_of"), (F.col("score") * (1 - 1e-5)).alias("floor"))
+        floored = seeds.join(among, F.col("key") == F.col("key_of"), "left")
+        files = _write_seeds(floored.select("key", "terms", "self", F.coalesce("floor", F.lit(0.0)).alias("floor")), count)
     found = cut(_search(docs, files, stats, k), "found")
     return found.filter("seed is null").select("key", "home", "score"), _first(found, k)

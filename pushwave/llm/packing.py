@@ -16,7 +16,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pushwave.llm import bm25
@@ -53,13 +53,18 @@ def tokenized(docs: DataFrame, vocabulary: str, end_id: int) -> DataFrame:
 def neighbours(docs: DataFrame, vocabulary: str, k: int, every: int = SEED_EVERY, end_id: int = 2) -> DataFrame:
     """(doc_id, rk, neighbour, score): the k best other documents of every seed, by exact BM25 over all rows."""
     tokens = tokenized(docs, vocabulary, end_id)
-    _, lists = bm25.search(tokens, _seeds(every), k, codec(vocabulary).tokenizer.get_vocab_size())
+    _, lists = _searched(tokens, vocabulary, k, every)
     names = tokens.select("key", "doc_id")
     named = lists.join(names.withColumnRenamed("doc_id", "neighbour"), "key").drop("key")
     return named.join(names.withColumnRenamed("key", "seed"), "seed").select("doc_id", "rk", "neighbour", "score")
 
 
-def _seeds(every: int):
+def _searched(tokens: DataFrame, vocabulary: str, k: int, every: int) -> tuple[DataFrame, DataFrame]:
+    ids = codec(vocabulary)
+    return bm25.search(tokens, _seeds(every), k, ids.tokenizer.get_vocab_size(), ids.dtype.str)
+
+
+def _seeds(every: int) -> Column:
     return F.coalesce(F.col("doc_id") % every == 0, F.lit(False))
 
 
@@ -91,9 +96,8 @@ def pack(docs: DataFrame, vocabulary: str, end_id: int = 2, window: int = WINDOW
     windows.
     """
     tokens = tokenized(docs, vocabulary, end_id)
-    ids = codec(vocabulary)
-    homes, lists = bm25.search(tokens, _seeds(every), k, ids.tokenizer.get_vocab_size())
-    dtype = ids.dtype
+    homes, lists = _searched(tokens, vocabulary, k, every)
+    dtype = codec(vocabulary).dtype
 
     def run(batches: Batches) -> Batches:
         for b in batches:

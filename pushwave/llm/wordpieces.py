@@ -10,6 +10,7 @@ library's merge model. Every other chunk goes through the whole library.
 from __future__ import annotations
 
 import json
+import struct
 
 import numpy as np
 
@@ -54,6 +55,7 @@ class ChunkCodec:
         self.plain = _is_plain(path)
         self.letters = _byte_letters()
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 65536 else "<u4")
+        self.code = "H" if self.dtype.itemsize == 2 else "I"
         self.known: dict[bytes, bytes] = {}
         self.before: dict[bytes, bytes] = {}
 
@@ -61,7 +63,8 @@ class ChunkCodec:
         """Ids of one run of letters or of marks, by the library's model alone."""
         if not part.isascii():
             part = "".join(map(self.letters.__getitem__, part.encode()))
-        return np.array([t.id for t in self.model.tokenize(part)], self.dtype).tobytes()
+        ids = [t.id for t in self.model.tokenize(part)]
+        return struct.pack(f"<{len(ids)}{self.code}", *ids)
 
     def learn(self, chunks: set[bytes]) -> None:
         known, before, ask = self.known, self.before, []
