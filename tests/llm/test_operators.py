@@ -447,21 +447,11 @@ def test_language_model(spark, none, head, monkeypatch):
     out = [i for i in range(60) if held[i]]
     if head > 4:  # with a vocabulary of a few words there is nothing to learn
         assert sum(got[i]["score"] for i in out) > sum(got[i]["base_score"] for i in out)
+    new = {i: got[i]["score"] for i in (500, 501)}
+    assert new[500] == new[501] > got[502]["score"] and all(map(math.isfinite, (r["score"] for r in got.values())))
     assert maxent_lm.score_documents(none).count() == 0
-
-
-def test_language_model_sums_to_one():
-    freq = np.zeros(maxent_lm.VOCABULARY, np.int64)
-    freq[:100] = np.arange(200, 100, -1)
-    lex = maxent_lm.Lexicon(20_000, 150, {}, np.zeros(0), np.zeros(0, int), freq, 20_000 - int(freq.sum()), 50, 0.5)
-    w = maxent_lm.begin(lex)
-    rng = np.random.default_rng(0)
-    w.class_rows[:] = rng.normal(size=w.class_rows.shape)
-    w.word_rows[:] = rng.normal(size=w.word_rows.shape)
-    ids = np.append(np.flatnonzero(freq), maxent_lm.VOCABULARY)
-    p = maxent_lm.log10_probabilities(w, ids, np.full(len(ids), 7), np.full(len(ids), 3))
-    classes = {int(i) // maxent_lm.SLOTS for i in ids}
-    assert (10**p).sum() <= 1 + 1e-4 and len(classes) == 3
+    nothing = spark.createDataFrame([(next(i for i in itertools.count() if zlib.crc32(str(i).encode()) % 5 == 1), "no training text")], "doc_id long, text string")
+    assert all(r["n_known"] == 0 and math.isfinite(r["score"]) for r in rows(maxent_lm.score_documents(nothing)))
 
 
 # --- licences -----------------------------------------------------------------------------------
