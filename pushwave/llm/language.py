@@ -14,17 +14,19 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from pushwave.llm.common import Batches, crc_mod, raw
 from pushwave.llm.subwords import Buffer, by_word, in_parts
 
-#: Documents of known language that are fitted on at most, and the longest text among them.
-SAMPLE_DOCS, SAMPLE_CHARS = 1600, 12_000
+#: Documents of known language that are fitted on at most, the least share of them that a language may
+#: count on (as far as it has documents), and the longest text among them.
+SAMPLE_DOCS, LANGUAGES, SAMPLE_CHARS = 1600, 64, 12_000
 BITS, STEPS, SEQUENCES, LENGTH, RATE = 17, 500, 64, 32, 0.25
-#: Words of one chain; longer texts are several chains side by side.
+#: Words of a piece of a chain: pieces of all texts run side by side, and what lies before and after a
+#: piece reaches it as a vector, so a text is one chain whatever its length.
 CHAIN = 64
 MOST = 300_000
 UNDETERMINED = "und"
@@ -82,23 +84,77 @@ def forward_backward(emission: np.ndarray, transition: np.ndarray, start: np.nda
     return post, pair, post[:, 0].sum(axis=0)
 
 
-def posteriors(emission: np.ndarray, transition: np.ndarray, start: np.ndarray, valid: np.ndarray) -> np.ndarray:
-    """Posteriors alone, in single precision, time first: [time, sequence, label]."""
+def _through(e: np.ndarray, move: np.ndarray, live: np.ndarray) -> np.ndarray:
+    """[piece, from, to]: the product of a piece's transitions and emissions, scaled.
+
+    e: exponentials of the emissions [time, piece, label]; times beyond a piece's words change nothing.
+    """
+    length, n, k = e.shape
+    out = np.broadcast_to(np.eye(k, dtype=np.float32), (n, k, k)).copy()
+    for i in range(length):
+        step = (out @ move) * e[i][:, None, :]
+        step *= 1 / step.max(axis=(1, 2), keepdims=True)
+        out = np.where(live[i][:, None, None], step, out)
+    return out
+
+
+def _carry(e: np.ndarray, move: np.ndarray, start: np.ndarray, live: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(forward vector at the end of the piece before, backward vector at the end of the piece itself) of every
+    piece; the pieces of a text follow each other. One step serves the i-th pieces of all texts."""
+    n, k = e.shape[1:]
+    first = np.flatnonzero(np.concatenate([[True], text[1:] != text[:-1]]))
+    size = np.diff(first, append=n)
+    enter, behind = np.ones((n, k), np.float32), np.ones((n, k), np.float32)
+    long = first[size > 1]
+    if not len(long):
+        return enter, behind
+    a = start * e[0, long]
+    for i in range(1, len(e)):
+        a = (a @ move) * e[i, long]
+        a *= 1 / a.sum(axis=1, keepdims=True)
+    enter[long + 1] = a
+    later = np.repeat(size > 1, size)
+    later[first] = False
+    later = np.flatnonzero(later)
+    through = np.empty((n, k, k), np.float32)
+    through[later] = _through(e[:, later], move, live[:, later])
+    for i in range(2, int(size.max())):
+        at = first[size > i] + i
+        v = np.einsum("nk,nkj->nj", enter[at - 1], through[at - 1])
+        enter[at] = v / v.sum(axis=1, keepdims=True)
+    for i in range(1, int(size.max())):
+        at = (first + size)[size > i] - 1 - i
+        v = np.einsum("nkj,nj->nk", through[at + 1], behind[at + 1])
+        behind[at] = v / v.sum(axis=1, keepdims=True)
+    return enter, behind
+
+
+def posteriors(emission: np.ndarray, transition: np.ndarray, start: np.ndarray, valid: np.ndarray, text: np.ndarray | None = None) -> np.ndarray:
+    """Posteriors alone, in single precision, time first: [time, piece, label].
+
+    text: the text of each piece, ascending; all pieces of a text but its last are full. Without it every
+    piece is a text of its own.
+    """
     length, n, k = emission.shape
+    text = np.arange(n) if text is None else text
     e = np.exp(emission - emission.max(axis=2, keepdims=True))
     t, s = np.exp(transition).astype(np.float32), np.exp(start).astype(np.float32)
+    live = np.arange(length)[:, None] < valid[None, :]
+    enter, behind = _carry(e, t, s, live, text)
+    opens = np.concatenate([[True], text[1:] != text[:-1]])
     alpha = np.empty_like(e)
-    a = s * e[0]
-    alpha[0] = a / a.sum(axis=1, keepdims=True)
+    a = np.where(opens[:, None], s[None, :], enter @ t) * e[0]
+    alpha[0] = a = a / a.sum(axis=1, keepdims=True)
     for i in range(1, length):
-        a = (alpha[i - 1] @ t) * e[i]
+        a = (a @ t) * e[i]
         a *= 1 / a.sum(axis=1, keepdims=True)
         alpha[i] = a
-    b = np.ones((n, k), np.float32)
-    for i in range(length - 2, -1, -1):
-        b = (e[i + 1] * b) @ t.T
-        b *= 1 / b.sum(axis=1, keepdims=True)
-        b[valid <= i + 1] = 1.0
+    b = behind
+    for i in range(length - 1, -1, -1):
+        if i < length - 1:
+            back = (e[i + 1] * b) @ t.T
+            back *= 1 / back.sum(axis=1, keepdims=True)
+            b = np.where(live[i + 1][:, None], back, behind)
         alpha[i] *= b
     alpha /= alpha.sum(axis=2, keepdims=True)
     return alpha
@@ -152,7 +208,7 @@ class LanguageModel:
         place = at[None, :] + np.arange(CHAIN)[:, None]
         live = np.arange(CHAIN)[:, None] < valid[None, :]
         emission = np.where(live[:, :, None], scores[codes[np.minimum(place, border[-1] - 1)]], np.float32(0))
-        post = posteriors(emission, self.transition, self.start, valid)
+        post = posteriors(emission, self.transition, self.start, valid, chain_text)
         out[place[live]] = post[live]
         return out, border
 
@@ -232,10 +288,22 @@ def train(texts: list[bytes], langs: list[str], seed: int = 11) -> LanguageModel
 
 
 def fit(docs: DataFrame) -> LanguageModel:
-    """From rows with text and lang whose crc32(doc_id as text) mod 4 is not 2, SAMPLE_DOCS at most, in hash order."""
-    rows = docs.select("doc_id", "text", "lang").filter("text is not null and lang is not null").filter(F.coalesce(crc_mod("doc_id", 4) != 2, F.lit(False)))
-    chosen = rows.filter(F.char_length("text").between(1, SAMPLE_CHARS)).orderBy(F.xxhash64("doc_id", F.lit(3)), "doc_id", "text").limit(SAMPLE_DOCS).select("text", "lang").collect()
-    return train([r["text"].encode() for r in chosen], [r["lang"] for r in chosen])
+    """From rows with text and lang whose crc32(doc_id as text) mod 4 is not 2.
+
+    At most SAMPLE_DOCS, in hash order, of which every language (the LANGUAGES most frequent ones) gets an
+    equal share as far as it has documents. Ids are chosen first; texts of chosen ids alone reach the driver.
+    """
+    rows = docs.select("doc_id", "text", "lang").filter("text is not null and lang is not null").filter(F.coalesce(crc_mod("doc_id", 4) != 2, F.lit(False))).filter(F.char_length("text").between(1, SAMPLE_CHARS))
+    order = [F.xxhash64("doc_id", F.lit(3)), F.col("doc_id"), F.xxhash64("text")]
+    ids = rows.select("doc_id", "lang", F.xxhash64("text").alias("tid"), F.row_number().over(Window.partitionBy("lang").orderBy(*order)).alias("turn")).filter(F.col("turn") <= SAMPLE_DOCS)
+    langs = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(LANGUAGES).select(F.col("lang").alias("_lang"))
+    chosen = ids.join(F.broadcast(langs), F.col("lang") == F.col("_lang")).orderBy("turn", "lang").limit(SAMPLE_DOCS).select(F.col("doc_id").alias("_id"), F.col("tid").alias("_tid"), F.col("lang").alias("_own")).distinct().collect()
+    if not chosen:
+        return train([], [])
+    few = docs.sparkSession.createDataFrame(chosen, "_id long, _tid long, _own string")  # SAMPLE_DOCS rows
+    picked = rows.join(F.broadcast(few), (F.col("doc_id") == F.col("_id")) & (F.xxhash64("text") == F.col("_tid")) & (F.col("lang") == F.col("_own"))).groupBy("doc_id", "lang").agg(F.min("text").alias("text")).collect()
+    picked.sort(key=lambda r: (r["doc_id"], r["lang"], r["text"]))
+    return train([r["text"].encode() for r in picked], [r["lang"] for r in picked])
 
 
 def predict(docs: DataFrame, model: LanguageModel) -> DataFrame:

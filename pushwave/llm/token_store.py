@@ -107,6 +107,17 @@ def _writer(folder: str, dictionary: bytes, vocabulary: str, end_id: int):
     return write
 
 
+def _sample(docs: DataFrame) -> list[bytes]:
+    """SAMPLE_DOCS texts at most, in hash order: ids are chosen first, and the texts of those alone are fetched."""
+    short = docs.filter(F.char_length("text").between(1, SAMPLE_CHARS)).select("doc_id", "text", F.xxhash64("text").alias("_tid"))
+    chosen = short.select("doc_id", "_tid").orderBy(F.xxhash64("doc_id"), "doc_id", "_tid").limit(SAMPLE_DOCS).distinct().collect()
+    if not chosen:
+        return []
+    few = docs.sparkSession.createDataFrame(chosen, "_id long, _t long")
+    met = short.join(F.broadcast(few), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_tid") == F.col("_t"))).groupBy("doc_id", "_tid").agg(F.min("text").alias("text"))
+    return [r["text"].encode() for r in sorted(met.collect(), key=lambda r: (r["doc_id"] is None, r["doc_id"] or 0, r["text"]))]
+
+
 def write_store(docs: DataFrame, vocabulary: str, end_id: int = 1, folder: str | None = None) -> Store:
     """Encode docs (doc_id, text) and write them in ascending doc_id order; ties by text, null ids first.
 
@@ -116,9 +127,8 @@ def write_store(docs: DataFrame, vocabulary: str, end_id: int = 1, folder: str |
     spark = docs.sparkSession
     folder = folder or new_folder(spark, "tokens")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    sample = docs.filter(F.char_length("text").between(1, SAMPLE_CHARS)).orderBy(F.xxhash64("doc_id"), "text").limit(SAMPLE_DOCS).collect()
     ids = codec(vocabulary)
-    dictionary = train_dictionary(ids.encode([r["text"].encode() for r in sample]))
+    dictionary = train_dictionary(ids.encode(_sample(docs)))
     filesystem, base = _open(folder)
     filesystem.create_dir(base, recursive=True)
     with filesystem.open_output_stream(f"{base}/{hashlib.sha256(dictionary).hexdigest()}.zdict") as f:

@@ -415,6 +415,28 @@ def test_language(spark, none):
     assert post.argmax(axis=1).tolist() == [0, 0, 0, 1, 1, 1] and border.tolist() == [0, 6]
 
 
+def test_a_long_text_is_one_chain():
+    """Posteriors over pieces of 64 words equal forward-backward over the whole text, for texts of many lengths."""
+    rng = np.random.default_rng(8)
+    sizes = [1, 64, 65, 130, 700, 3, 192]
+    transition, start = rng.normal(size=(4, 4)) * 2, rng.normal(size=4)
+    emission, place, text, valid = [], [], [], []
+    for i, n in enumerate(sizes):
+        own = rng.normal(size=(n, 4)).astype(np.float32) * 0.3
+        emission.append(own)
+        for s in range(0, n, 64):
+            piece = np.zeros((64, 4), np.float32)
+            piece[: min(64, n - s)] = own[s : s + 64]
+            place.append(piece)
+            text.append(i)
+            valid.append(min(64, n - s))
+    got = language.posteriors(np.stack(place, axis=1), transition, start, np.array(valid), np.array(text))
+    for i, own in enumerate(emission):
+        want = language.forward_backward(own[None].astype(float), transition, start, np.array([len(own)]))[0][0]
+        mine = np.concatenate([got[: valid[j], j] for j in range(len(text)) if text[j] == i])
+        assert np.allclose(mine, want, atol=1e-4)
+
+
 def test_forward_backward_equals_enumeration():
     rng = np.random.default_rng(1)
     e, t, s = rng.normal(size=(1, 4, 3)), rng.normal(size=(3, 3)), rng.normal(size=3)
