@@ -22,8 +22,9 @@ BUCKETS = 2**BUCKET_BITS
 PLACE_BITS = 24
 _PLACE = (1 << PLACE_BITS) - 1
 _KEY = ~_PLACE
-#: Documents in one group of neighbouring ids when looking for the next document.
-GROUP = 256
+#: Documents in one group of neighbouring ids when looking for the next document; quantiles of the ids
+#: between which groups are cut by width (a power of two).
+GROUP, QUANTILES = 256, 1024
 
 
 def _let(value: Column, body) -> Column:
@@ -107,16 +108,45 @@ def likeness(a: Column, b: Column) -> Column:
     return F.when(neither == BUCKETS, F.lit(1.0)).otherwise(F.sqrt(equal / F.greatest(F.lit(1), F.lit(BUCKETS) - neither)))
 
 
+def _groups(docs: DataFrame) -> Column:
+    """A number for each row's group, rising with doc_id; null ids are before all.
+
+    Quantiles of the ids are the borders of equally many rows, wherever the ids lie, so an outlier
+    only widens the piece that it is in; a piece is cut further by width, in floating point, which
+    keeps the order of ids and holds any difference of two longs.
+    """
+    steps = [i / QUANTILES for i in range(1, QUANTILES)]
+    n, low, high, inner = docs.agg(F.count("doc_id"), F.min("doc_id"), F.max("doc_id"), F.percentile_approx("doc_id", steps, 4 * QUANTILES)).first()
+    if not n:
+        return F.lit(-1).cast("long")
+    borders = sorted({low, *inner})
+    value, piece = F.col("doc_id"), F.lit(0)
+    known = F.lit(borders).cast("array<long>")
+
+    def ahead(step: int):
+        return lambda p: F.when((p + step <= len(borders)) & (F.get(known, p + (step - 1)) <= value), p + step).otherwise(p)
+
+    for bit in reversed(range(QUANTILES.bit_length())):  # borders at or below the id, by bisection
+        piece = _let(piece, ahead(1 << bit))
+    cuts = -(-n // (QUANTILES * GROUP))
+    if cuts == 1:
+        number = piece.cast("long")
+    else:
+        ends = F.lit([float(x) for x in borders[1:]] + [float(high) + 1.0])
+        starts = F.lit([float(x) for x in borders])
+        part = lambda p: p.cast("long") * cuts + F.least(F.lit(cuts - 1).cast("long"), F.floor((value.cast("double") - F.get(starts, p - 1)) / F.greatest(F.lit(1.0), F.get(ends, p - 1) - F.get(starts, p - 1)) * cuts))
+        number = _let(piece, part)
+    return F.when(value.isNull(), F.lit(-1).cast("long")).otherwise(number)
+
+
 def with_next(docs: DataFrame, columns: list[str]) -> DataFrame:
     """docs (doc_id, ...) with the values of columns in the next row by doc_id as next_<column>.
 
-    Ids are dealt to groups of neighbours, so only a group is ordered at a time; the last row of a
-    group takes the first row of the next group, and the last of all the first of all. Null ids
-    come before all others; equal ids follow in order of the columns.
+    Ids, any longs, are dealt to groups of neighbours, so only a group is ordered at a time; the last
+    row of a group takes the first row of the next group, and the last of all the first of all. Null
+    ids come before all others; equal ids follow in order of the columns.
     """
-    low, high, n = docs.agg(F.min("doc_id"), F.max("doc_id"), F.count(F.lit(1))).first()
-    width = max(1, -(-((high or 0) - (low or 0) + 1) * GROUP // max(1, n)))
-    grouped = docs.withColumn("_g", F.coalesce(F.floor((F.col("doc_id") - F.lit(low or 0)) / F.lit(width)).cast("long"), F.lit(-1)))
+    grouped = docs.withColumn("_g", _groups(docs))
     order = [F.col("doc_id").asc_nulls_first(), *columns]
     inside = Window.partitionBy("_g").orderBy(*order)
     heads = grouped.withColumn("_r", F.row_number().over(inside)).filter("_r = 1").select("_g", *(F.col(c).alias(f"_h_{c}") for c in columns))

@@ -371,6 +371,21 @@ def test_order_minhash_equals_brute_force(spark):
     assert {i: v for i, v in enumerate(got) if v is not None} == {r["b"]: r["v"] for r in pairs}
 
 
+@pytest.mark.parametrize("quantiles", [1024, 4])
+def test_next_document_for_any_ids(spark, monkeypatch, quantiles):
+    """The extreme longs, an outlier among many, null and repeated ids: next is next by id, in small groups."""
+    monkeypatch.setattr(order_minhash, "QUANTILES", quantiles)
+    lots = [*range(20_000), 2**60]
+    for ids in ([0, 2**62], [-(2**63), 2**63 - 1, 0, 5, -1], lots, [7, None, 7, 3], [2]):
+        df = spark.createDataFrame([(i, i) for i in ids], "doc_id long, id long")
+        order = sorted(ids, key=lambda i: (i is not None, i or 0))
+        got = Counter((r["doc_id"], r["next_id"]) for r in order_minhash.with_next(df, ["id"]).collect())
+        assert got == Counter(zip(order, order[1:] + order[:1], strict=True))
+    if quantiles == 1024:
+        df = spark.createDataFrame([(i,) for i in lots], "doc_id long")
+        assert max(r["count"] for r in df.groupBy(order_minhash._groups(df)).count().collect()) < 300
+
+
 def test_order_minhash_feels_order(spark):
     a = " ".join(f"w{i}" for i in range(300))
     blocks = [" ".join(f"w{i}" for i in range(s, s + 30)) for s in range(0, 300, 30)]
