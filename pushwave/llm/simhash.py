@@ -327,6 +327,23 @@ def _near_classes(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     return sets.select("doc_id", "tid", "fp"), cut(found.select(F.col("node").alias("f"), "root"), "components")
 
 
+#: A fingerprint that more than one row in HOT shares is dealt to SALTS tasks where rows meet their classes.
+HOT, SALTS = 1000, 64
+
+
+def _meet_classes(fps: DataFrame, of: DataFrame, sizes: DataFrame) -> DataFrame:
+    """fps joined with of (g, ...) on fp = g, the rows of hot fingerprints spread; sizes: (fp, n) of every fingerprint."""
+    total = sizes.agg(F.sum("n")).first()[0] or 0
+    hot = [r["fp"] for r in sizes.filter(F.col("n") > max(HOT, total // HOT)).select("fp").collect()]  # HOT rows at most
+    if not hot:
+        return fps.join(of, F.col("fp") == F.col("g"))
+    salt = F.pmod(F.xxhash64(*fps.columns), F.lit(SALTS))
+    mine = fps.withColumn("salt_", F.when(F.col("fp").isin(hot), salt).otherwise(F.lit(0).cast("long")))
+    every = F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))
+    theirs = of.withColumn("salt_", F.explode(F.when(F.col("g").isin(hot), every).otherwise(F.array(F.lit(0).cast("long")))))
+    return mine.join(theirs.withColumnRenamed("salt_", "of_"), (F.col("fp") == F.col("g")) & (F.col("salt_") == F.col("of_")))
+
+
 def near_duplicate_classes(docs: DataFrame, radius: int = 2) -> DataFrame:
     """(doc_id, fp, component_id) of each row of docs; component_id: least doc_id reachable.
 
@@ -336,11 +353,11 @@ def near_duplicate_classes(docs: DataFrame, radius: int = 2) -> DataFrame:
     empty table gives an empty table; further columns of docs are not read.
     """
     fps, linked = _classes(docs, radius)
-    reps = fps.groupBy("fp").agg(F.min("doc_id").alias("least"))  # copies are folded before any join
-    classed = cut(reps.join(linked, F.col("fp") == F.col("f"), "left").select("fp", "least", F.coalesce("root", "fp").alias("root")), "classes")
+    reps = fps.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n"))  # copies are folded before any join
+    classed = cut(reps.join(linked, F.col("fp") == F.col("f"), "left").select("fp", "least", "n", F.coalesce("root", "fp").alias("root")), "classes")
     heads = classed.groupBy("root").agg(F.min("least").alias("component_id"))
     of = classed.join(heads, "root").select(F.col("fp").alias("g"), "component_id")
-    return fps.join(of, F.col("fp") == F.col("g")).select("doc_id", "fp", "component_id")
+    return _meet_classes(fps, of, classed.select("fp", "n")).select("doc_id", "fp", "component_id")
 
 
 def keep_one(docs: DataFrame, radius: int = 2) -> DataFrame:
@@ -364,11 +381,11 @@ def keep_one_similar(docs: DataFrame) -> DataFrame:
 def _first_of_each(docs: DataFrame, fps: DataFrame, linked: DataFrame) -> DataFrame:
     order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tid")
     first = fps.groupBy("fp").agg(F.min(order).alias("first"), F.count(F.lit(1)).alias("n"))
-    classed = cut(first.join(linked, F.col("fp") == F.col("f"), "left").select("fp", "first", F.coalesce("root", "fp").alias("root")), "classes")
+    classed = cut(first.join(linked, F.col("fp") == F.col("f"), "left").select("fp", "first", "n", F.coalesce("root", "fp").alias("root")), "classes")
     best = classed.groupBy("root").agg(F.min("first").alias("first"))
     stays = best.select("root", F.col("first.doc_id").alias("d"), F.col("first.tid").alias("t"))
     of = classed.select(F.col("fp").alias("g"), "root").join(stays, "root")
-    marked = fps.join(of, F.col("fp") == F.col("g")).select("doc_id", "tid", (F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("tid") == F.col("t"))).alias("stays"))
+    marked = _meet_classes(fps, of, classed.select("fp", "n")).select("doc_id", "tid", (F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("tid") == F.col("t"))).alias("stays"))
     keys = cut(marked.groupBy("doc_id", "tid").agg(F.max("stays").alias("stays"), F.count(F.lit(1)).alias("n")).filter("not stays or n > 1"), "dropped")
     tid, d, t = fresh(docs, "_tid", "_d", "_t")
     keyed = docs.withColumn(tid, F.xxhash64(F.coalesce("text", F.lit(""))))

@@ -190,6 +190,17 @@ def test_bucket_stream_gives_all_members_or_links(monkeypatch):
         assert size == 100 or any((t, 400) in members for t in range(2))
 
 
+def test_hot_fingerprints_are_spread(spark, monkeypatch):
+    """Classes are the same when the rows of frequent fingerprints are dealt to many tasks."""
+    prepare(spark)
+    df = spark.createDataFrame([(i, "the same text of some words here" if i % 3 else f"text number {i} alone") for i in range(60)] + [(None, "the same text of some words here")], "doc_id long, text string")
+    want = Counter(map(tuple, simhash.near_duplicate_classes(df).collect()))
+    kept = Counter(map(tuple, simhash.keep_one_similar(df).collect()))
+    monkeypatch.setattr(simhash, "HOT", 5)
+    assert Counter(map(tuple, simhash.near_duplicate_classes(df).collect())) == want
+    assert Counter(map(tuple, simhash.keep_one_similar(df).collect())) == kept
+
+
 def test_near_duplicates_and_cases(spark, docs, none):
     got = {r["doc_id"]: r["component_id"] for r in rows(simhash.near_duplicate_classes(docs))}
     fp = {i: brute_fingerprint(t) for i, t in ROWS}
