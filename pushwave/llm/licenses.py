@@ -9,10 +9,12 @@ an accepted interval is dropped. The three base phrases are counted apart and al
 from __future__ import annotations
 
 import re
+from bisect import bisect_left
 from dataclasses import dataclass
 from functools import cache
 from itertools import product
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -109,14 +111,44 @@ def words_line(text: bytes | None) -> bytes:
 
 def base_places(line: bytes) -> list[tuple[int, str]]:
     """(first word, label) of every place of a base phrase."""
-    out = []
+    out, word = [], None
     for phrase, label in BASE:
         needle, at = b" " + phrase.encode() + b" ", -1
         while (at := line.find(needle, at + 1)) >= 0:
-            out.append((line.count(b" ", 0, at), label))
+            word = _word_starts(line) if word is None else word
+            out.append((bisect_left(word, at + 1), label))
     return sorted(out)
 
 
+def _word_starts(line: bytes) -> list[int]:
+    """Where the words of a line start, ascending."""
+    return (np.flatnonzero(np.frombuffer(line, np.uint8) == 32)[:-1] + 1).tolist()
+
+
+def uncontained(hits: list[tuple[int, int]]) -> list[int]:
+    """Places of the hits (first, end), given best first, that no better kept hit contains.
+
+    A hit is contained if a kept one starts at or before it and ends at or behind its end, so the greatest
+    end of the kept ones up to each start decides; a tree of prefix maxima has it in logarithmic time.
+    """
+    starts = sorted({s for s, _ in hits})
+    reach = [0] * (len(starts) + 1)  # prefix maxima of ends by start, as a binary indexed tree
+    kept = []
+    for i, (s, e) in enumerate(hits):
+        at = place = bisect_left(starts, s) + 1
+        best = 0
+        while at:
+            best = max(best, reach[at])
+            at &= at - 1
+        if best >= e:
+            continue
+        kept.append(i)
+        while place < len(reach):
+            reach[place] = max(reach[place], e)
+            place += place & -place
+    return kept
+
+
 def detect(line: bytes, words: list[bytes]) -> list[Finding]:
     """What the rules find after suppression, by place."""
     gates = _gates()
@@ -125,14 +157,13 @@ def detect(line: bytes, words: list[bytes]) -> list[Finding]:
     tried = sorted({r: None for g in sorted(gates.keys() & set(words)) for r in gates[g]}, key=lambda r: -r.priority)
     raw_hits = [(r.priority, m.end() - m.start(), -m.start(), r, m.start(), m.end()) for r in tried for m in r.pattern.finditer(line)]
     raw_hits.sort(key=lambda h: h[:3], reverse=True)
-    taken: list[tuple[int, int]] = []
-    out = []
-    for priority, _, _, r, s, e in raw_hits:
-        if any(a <= s and e <= b for a, b in taken):
-            continue
-        taken.append((s, e))
-        first = line.count(b" ", 0, s) - 1
-        out.append(Finding(r.label, first, first + line.count(b" ", s, e), priority, r.confidence))
+    if not raw_hits:
+        return []
+    word, out = _word_starts(line), []
+    for i in uncontained([(s, e) for _, _, _, _, s, e in raw_hits]):
+        priority, _, _, r, s, e = raw_hits[i]
+        first = bisect_left(word, s)
+        out.append(Finding(r.label, first, bisect_left(word, e) - 1, priority, r.confidence))
     return sorted(out, key=lambda f: (f.first, f.last))
 
 

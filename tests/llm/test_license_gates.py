@@ -4,6 +4,8 @@ from itertools import product
 from re import _constants as c
 from re import _parser as parser
 
+import numpy as np
+
 from pushwave.llm import licenses
 
 
@@ -45,3 +47,25 @@ def test_names_that_had_no_gate():
     for text, label in want.items():
         line = licenses.words_line(text.encode())
         assert {f.label for f in licenses.detect(line, line.split())} == {label}
+
+
+def test_suppression_equals_brute_force():
+    rng = np.random.default_rng(1)
+    for n in (0, 1, 7, 300):
+        hits = [(int(a), int(a + b)) for a, b in zip(rng.integers(0, 60, n), rng.integers(1, 30, n), strict=True)]
+        want, taken = [], []
+        for i, (s, e) in enumerate(hits):
+            if not any(a <= s and e <= b for a, b in taken):
+                taken.append((s, e))
+                want.append(i)
+        assert licenses.uncontained(hits) == want
+
+
+def test_places_are_word_numbers():
+    text = b"x, y under the MIT license. " * 500
+    line = licenses.words_line(text)
+    places = licenses.base_places(line)
+    assert [p for p, _ in places] == [2 + 6 * i for i in range(500)]
+    found = licenses.detect(line, line.split())
+    words = line.split()
+    assert len(found) >= 500 and all(b"mit" in words[f.first : f.last + 1] for f in found if f.label == "mit")
