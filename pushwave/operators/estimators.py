@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pushwave.functions.formulas import PprParams, push_threshold
+from pushwave.operators import kernels
 from pushwave.operators.graph import Graph
 from pushwave.operators.index import WalkIndex, index_walks
 from pushwave.operators.push import Pushed, forward_push
@@ -59,6 +60,23 @@ def finish(g: Graph, pushed: Pushed, p: PprParams, c: float, pruned: bool, index
     return Estimate(found.select("query_id", "v", "score"), pushed.rounds, pushed.edge_touches, pushed.residue, int(n), int(hops))
 
 
+def _in_kernel(g: Graph, p: PprParams, index: WalkIndex | None, engine: str):
+    """(whether the query runs in one task, the broadcast index or None)."""
+    if p.rng != "xxhash64" or not g.in_kernel(engine):
+        return False, None
+    if index is None:
+        return True, None
+    stored = index.local(g)
+    return stored is not None, stored
+
+
+def _estimate(found: DataFrame) -> Estimate:
+    """Of a written kernel result, whose rows repeat what a query cost."""
+    work = found.groupBy("query_id").agg(*(F.first(c).alias(c) for c in ("rounds", "touched", "residue", "walks", "hops")))
+    rounds, touched, residue, walks, hops = work.agg(F.max("rounds"), *(F.sum(c) for c in ("touched", "residue", "walks", "hops"))).first()
+    return Estimate(found.select("query_id", "v", "score"), rounds or 0, touched or 0, residue or 0.0, walks or 0, hops or 0)
+
+
 def push_walk(g: Graph, state: DataFrame, p: PprParams, rho: float | None = None, rho_mult: float = 1.0, pruned: bool = False, index: WalkIndex | None = None, engine: str = "auto") -> Estimate:
     """Push to rho (default: rho_mult times the balancing threshold), then walks.
 
@@ -68,7 +86,11 @@ def push_walk(g: Graph, state: DataFrame, p: PprParams, rho: float | None = None
     p = p.resolve(g.n)
     c = p.walks
     rho = rho if rho is not None else rho_mult * push_threshold(g.m, c)[0]
-    return finish(g, forward_push(g, state, rho, p.alpha), p, c, pruned, index, engine)
+    here, stored = _in_kernel(g, p, index, engine)
+    if here:
+        alpha = p.alpha
+        return _estimate(cut(kernels.estimated(state, g.adjacency(), stored, p, c, pruned, lambda s: s.run(rho, alpha)), "scores"))
+    return finish(g, forward_push(g, state, rho, p.alpha, engine=engine), p, c, pruned, index, engine)
 
 
 @dataclass(frozen=True)
@@ -82,17 +104,24 @@ class Prices:
 
 def push_walk_balanced(g: Graph, state: DataFrame, p: PprParams, prices: Prices | None = None, index: WalkIndex | None = None, engine: str = "auto") -> Estimate:
     """The tuned method: push down a ladder of thresholds while that has cost less than the walks
-    predicted from the residue; then pruned walks. Prices are in work units unless calibrated."""
+    predicted from the residue; then pruned walks. Prices are in work units unless calibrated. In kernels
+    every query decides for itself; the join engine pushes the batch together, so there the sums over
+    the queries decide, and a round has a price."""
     p = p.resolve(g.n)
     prices = prices or Prices()
-    c, sources = p.walks, max(1, state.select("query_id").distinct().count())
+    c = p.walks
     per_walk = prices.hop * (1.0 if index is not None else 1 / p.alpha)
     floor = push_threshold(g.m, c)[0] / 64
+    here, stored = _in_kernel(g, p, index, engine)
+    if here:
+        alpha, arc, ahead = p.alpha, prices.arc, per_walk * (1 - p.alpha)
+        return _estimate(cut(kernels.estimated(state, g.adjacency(), stored, p, c, True, lambda s: kernels.balanced(s, alpha, c, floor, arc, ahead)), "scores"))
+    sources = max(1, state.select("query_id").distinct().count())
     top = state.agg(F.max(F.col("r") / F.greatest(F.col("deg"), F.lit(1)))).first()[0] or 0.0
     rho = max(floor, top / 2)
     rounds = 0
     while True:  # one round at a time: a whole rung may cost far more than it saves
-        pushed = forward_push(g, state, rho, p.alpha, max_rounds=1, chain=1)
+        pushed = forward_push(g, state, rho, p.alpha, max_rounds=1, chain=1, engine=engine)
         state, rounds = pushed.state, rounds + pushed.rounds
         spent = prices.arc * pushed.edge_touches + prices.round * rounds * sources
         ahead = per_walk * (1 - p.alpha) * pushed.residue * c
@@ -117,7 +146,7 @@ def calibrate(g: Graph, p: PprParams, walks: int = 20_000) -> Prices:
     sigma = g.nodes.select(F.lit(0).cast("long").alias("query_id"), "v", F.lit(1.0 / g.n).alias("mass"))
     state = from_distribution(g, sigma)
     t = perf_counter()
-    pushed = forward_push(g, state, 0.0, p.alpha, max_rounds=1)
+    pushed = forward_push(g, state, 0.0, p.alpha, max_rounds=1, engine="join")
     took = perf_counter() - t
     return Prices(took / max(1, pushed.edge_touches), hop, took / 2)
 
@@ -129,10 +158,13 @@ def monte_carlo(g: Graph, state: DataFrame, p: PprParams, engine: str = "auto",
     return finish(g, Pushed(state, 0, float(state.agg(F.sum("r")).first()[0] or 0.0), 0), p, c, False, None, engine)
 
 
-def power(g: Graph, state: DataFrame, rounds: int = 100, alpha: float = 0.2, chain: int = 5) -> Estimate:
+def power(g: Graph, state: DataFrame, rounds: int = 100, alpha: float = 0.2, chain: int = 2, engine: str = "auto") -> Estimate:
     """Exact up to (1-alpha)^rounds: everything is pushed every round; what is left counts where it lies."""
     from pushwave.operators.push import _round
 
+    if g.in_kernel(engine):
+        state = cut(kernels.pushed(state, g.adjacency(), 0.0, alpha, 0.0, rounds), "power")
+        return Estimate(state.filter("p > 0").select("query_id", "v", F.col("p").alias("score")), rounds)
     steps = g.steps()
     for i in range(0, rounds, chain):
         for _ in range(min(chain, rounds - i)):

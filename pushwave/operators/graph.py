@@ -12,7 +12,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pushwave.plans.durable import cut
+from pushwave.plans.durable import bucketed, cut
 
 #: Groups that the arcs of one node are dealt to when they are numbered.
 SALTS = 16
@@ -35,12 +35,14 @@ class Graph:
     def spark(self):
         return self.arcs.sparkSession
 
+    def in_kernel(self, engine: str) -> bool:
+        """Whether an engine (auto, kernel or join) runs in tasks that hold the adjacency."""
+        return engine == "kernel" or (engine == "auto" and self.m <= KERNEL_ARCS and self.n <= KERNEL_ARCS)
+
     def steps(self) -> DataFrame:
-        """Arcs for a push round: (src, dst, dst_deg, own); each node also has a row own = true to itself."""
+        """Arcs for a push round: (src, dst, dst_deg), in buckets by src, so that a round shuffles its frontier only."""
         if self._steps is None:
-            out = self.arcs.select("src", "dst", "dst_deg", F.lit(False).alias("own"))
-            mine = self.nodes.select(F.col("v").alias("src"), F.col("v").alias("dst"), F.col("out_deg").alias("dst_deg"), F.lit(True).alias("own"))
-            self._steps = cut(out.unionByName(mine), "steps")
+            self._steps = bucketed(self.arcs.select("src", "dst", "dst_deg"), "src", "steps")
         return self._steps
 
     def backward(self) -> DataFrame:

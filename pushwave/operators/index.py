@@ -6,8 +6,9 @@ answers agree. Rows are sorted by (start, walk_no) in files, so a few starts tou
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -17,7 +18,11 @@ from pushwave.operators.walks import run_walks, walk_ends
 from pushwave.plans.durable import new_folder
 
 
-@dataclass(frozen=True)
+#: Stored walks that are broadcast to kernels at most.
+KERNEL_ROWS = 20_000_000
+
+
+@dataclass
 class WalkIndex:
     """rows: start, walk_no, endpoint; per_degree: walks stored for each out-arc, about."""
 
@@ -27,6 +32,20 @@ class WalkIndex:
     c: float
     pruned: bool
     params: PprParams
+    _local: object = field(default=None, repr=False)
+
+    def local(self, g: Graph):
+        """Broadcast (first row of each node, ends as places), or None where the index is too large for it."""
+        if self._local is None:
+            if self.rows.count() > KERNEL_ROWS:
+                return None
+            v = g.adjacency().value[0]
+            table = self.rows.toArrow()
+            start, number, end = (table.column(c).to_numpy() for c in ("start", "walk_no", "endpoint"))
+            order = np.lexsort((number, start))
+            first = np.append(np.searchsorted(start[order], v), len(start))
+            self._local = g.spark.sparkContext.broadcast((first, np.searchsorted(v, end[order])))
+        return self._local
 
     @property
     def per_degree(self) -> float:

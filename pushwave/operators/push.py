@@ -1,10 +1,10 @@
 """Residue pushing, forward and backward, from any start distribution, for many queries at once.
 
-A round is one join and one aggregation: every state row meets its node's arcs, of which one leads
-to the node itself and carries its reserve on. State occurs once in a round's plan, so several
-rounds chain in one plan and rows that are not eligible pass through; a written table cuts the
-plan, and one aggregate tells whether anything is left. Only touched nodes are rows. Any order of
-pushes keeps reserve + residue-weighted score constant, so all eligible nodes push together.
+A round is one join and one aggregation: eligible rows meet their arcs, stored in buckets by node so
+that arcs are not shuffled, and what they send is added to what all rows keep. A written table cuts the
+plan every few rounds, and one aggregate tells whether anything is left. Only touched nodes are rows.
+Any order of pushes keeps reserve + residue-weighted score constant, so all eligible nodes push
+together. On graphs of a checked size a query's push runs in one task instead (see kernels).
 """
 
 from __future__ import annotations
@@ -14,11 +14,12 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pushwave.operators import kernels
 from pushwave.operators.graph import Graph
 from pushwave.plans.durable import cut
 
 #: Rounds in one plan.
-CHAIN = 4
+CHAIN = 2
 #: Frontier nodes whose ids are sent into the arc scan as a filter at most.
 PRUNE = 2000
 
@@ -54,19 +55,30 @@ def _eligible(rho: float, tol: float):
 
 
 def _round(state: DataFrame, steps: DataFrame, alpha: float, rho: float, tol: float) -> DataFrame:
+    """One round: eligible rows alone meet arcs; all rows give what they keep, and one aggregation adds both.
+
+    So a round moves the frontier's arcs and not those of every touched node. The state occurs twice in
+    the plan; its exchange is computed once and reused.
+    """
     hot = _eligible(rho, tol)
-    met = state.select("query_id", F.col("v").alias("src"), "deg", "p", "r", "touched", hot.alias("hot")).join(steps, "src").filter("own or hot")
-    p = F.when(F.col("own"), F.col("p") + F.when(F.col("hot"), F.when(F.col("deg") == 0, F.col("r")).otherwise(alpha * F.col("r"))).otherwise(0.0)).otherwise(0.0)
-    r = F.when(F.col("own"), F.when(F.col("hot"), 0.0).otherwise(F.col("r"))).otherwise((1 - alpha) * F.col("r") / F.col("deg"))
-    touched = F.when(F.col("own"), F.col("touched") + F.when(F.col("hot"), F.col("deg")).otherwise(0)).otherwise(0)
-    moved = met.select("query_id", F.col("dst").alias("v"), F.col("dst_deg").alias("deg"), p.alias("p"), r.alias("r"), touched.alias("touched"))
-    return moved.groupBy("query_id", "v").agg(F.max("deg").alias("deg"), F.sum("p").alias("p"), F.sum("r").alias("r"), F.sum("touched").alias("touched"))
+    gain = F.when(F.col("deg") == 0, F.col("r")).otherwise(alpha * F.col("r"))
+    stay = state.select(
+        "query_id", "v", "deg", (F.col("p") + F.when(hot, gain).otherwise(0.0)).alias("p"), F.when(hot, 0.0).otherwise(F.col("r")).alias("r"), (F.col("touched") + F.when(hot, F.col("deg")).otherwise(0)).alias("touched")
+    )
+    send = state.filter(hot & (F.col("deg") > 0)).select("query_id", F.col("v").alias("src"), ((1 - alpha) * F.col("r") / F.col("deg")).alias("r"))
+    moved = send.join(steps, "src").select("query_id", F.col("dst").alias("v"), F.col("dst_deg").alias("deg"), F.lit(0.0).alias("p"), "r", F.lit(0).cast("long").alias("touched"))
+    return stay.unionByName(moved).groupBy("query_id", "v").agg(F.max("deg").alias("deg"), F.sum("p").alias("p"), F.sum("r").alias("r"), F.sum("touched").alias("touched"))
 
 
-def forward_push(g: Graph, state: DataFrame, rho: float, alpha: float = 0.2, tol: float = 0.0, max_rounds: int | None = None, chain: int = CHAIN) -> Pushed:
+def forward_push(g: Graph, state: DataFrame, rho: float, alpha: float = 0.2, tol: float = 0.0, max_rounds: int | None = None, chain: int = CHAIN, engine: str = "auto") -> Pushed:
     """Push while a residue exceeds rho times its node's degree (and tol). A state of an earlier push
     with a larger rho may be given: it goes on from there. With max_rounds it may stop early; the
-    invariant holds anyway."""
+    invariant holds anyway. engine: kernel (a query a task, for graphs that are broadcast), join
+    (rounds of joins), or auto: the kernel where the graph is small enough."""
+    if g.in_kernel(engine):
+        state = cut(kernels.pushed(state, g.adjacency(), rho, alpha, tol, max_rounds), "state")
+        rounds, residue, touches = state.agg(F.coalesce(F.max("rounds"), F.lit(0)), F.coalesce(F.sum("r"), F.lit(0.0)), F.coalesce(F.sum("touched"), F.lit(0))).first()
+        return Pushed(state.drop("rounds"), int(rounds), float(residue), int(touches))
     steps, rounds = g.steps(), 0
     while True:
         hot = _eligible(rho, tol)
@@ -76,7 +88,7 @@ def forward_push(g: Graph, state: DataFrame, rho: float, alpha: float = 0.2, tol
         todo = chain if max_rounds is None else min(chain, max_rounds - rounds)
         near = steps
         if todo == 1 and eligible <= PRUNE:  # a small frontier goes into the scan of the arcs
-            near = steps.filter(F.col("own") | F.col("src").isin([r[0] for r in state.filter(hot).select("v").distinct().collect()]))
+            near = steps.filter(F.col("src").isin([r[0] for r in state.filter(hot).select("v").distinct().collect()]))
         now = state
         for _ in range(todo):
             now = _round(now, near, alpha, rho, tol)

@@ -8,7 +8,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pushwave.functions.formulas import PprParams, cap_aware_rho, ladder
-from pushwave.operators.estimators import Estimate, Prices, finish, push_walk, push_walk_balanced
+from pushwave.operators import kernels
+from pushwave.operators.estimators import Estimate, Prices, _in_kernel, finish, push_walk, push_walk_balanced
 from pushwave.operators.graph import Graph
 from pushwave.operators.index import WalkIndex
 from pushwave.operators.push import Pushed, forward_push
@@ -43,12 +44,17 @@ def top_k_halving(g: Graph, state: DataFrame, k: int, p: PprParams, index: WalkI
     """
     k = max(1, min(k, g.n))
     rungs, walks, touches = ladder(g.n, g.m, k, p), 0, 0
+    here, stored = _in_kernel(g, p, index, engine)
+    if here and use_push:  # without pushes all work is walks, which are spread evenly below
+        found = cut(kernels.halving(state, g.adjacency(), stored, index.per_degree if index is not None else None, k, p, rungs, g.m, pruned, use_push, rho_mult), "answer")
+        most, walked, touched = found.filter("rk = 1").agg(F.max("rungs"), F.sum("walks"), F.sum("touched")).first()
+        return TopK(found.select("query_id", "rk", "v", "score", "delta_end", "guaranteed"), most or 0, walked or 0, touched or 0)
     done: DataFrame | None = None
     for i, rung in enumerate(rungs):
         q = PprParams(p.alpha, rung.eps, rung.delta, rung.p_fail, p.seed, p.dangling, p.rng, p.shared_walks)
         rho = rho_mult * rung.rho if index is None else min(rho_mult * rung.rho, cap_aware_rho(index.per_degree, rung.c, g.m))
         if use_push:
-            pushed = forward_push(g, state, rho, p.alpha)
+            pushed = forward_push(g, state, rho, p.alpha, engine=engine)
         else:
             pushed = Pushed(state, 0, float(state.agg(F.sum("r")).first()[0] or 0.0), 0)
         found = finish(g, pushed, q, rung.c, pruned and use_push, index, engine)
@@ -84,11 +90,11 @@ def refine_bounds(scores: DataFrame, state: DataFrame, before: DataFrame | None,
     share = (1 - alpha) if pruned else 1.0
     big = log(2 / p_fail)
     total = state.groupBy("query_id").agg((F.sum("r") * share).alias("res"))
-    own = scores.join(state.select("query_id", "v", "p"), ["query_id", "v"], "left").join(total, "query_id")
-    if before is not None:
-        own = own.join(before.select("query_id", "v", F.col("lb").alias("lb0"), F.col("ub").alias("ub0")), ["query_id", "v"], "left")
+    if before is not None:  # a node that no walk of this rung reached keeps its bounds, at an estimate of 0
+        scores = scores.join(before.select("query_id", "v", F.col("lb").alias("lb0"), F.col("ub").alias("ub0")), ["query_id", "v"], "full").withColumn("score", F.coalesce("score", F.lit(0.0)))
     else:
-        own = own.withColumns({"lb0": F.lit(0.0), "ub0": F.lit(1.0)})
+        scores = scores.withColumns({"lb0": F.lit(0.0), "ub0": F.lit(1.0)})
+    own = scores.join(state.select("query_id", "v", "p"), ["query_id", "v"], "left").join(total, "query_id")
     lb0, ub0, p = F.coalesce("lb0", F.lit(0.0)), F.coalesce("ub0", F.lit(1.0)), F.coalesce("p", F.lit(0.0))
     sure = F.greatest(p, lb0)
     rate = F.lit(big / c)  # R*L / w
@@ -119,7 +125,7 @@ def top_k_bounds(g: Graph, state: DataFrame, k: int, p: PprParams, index: WalkIn
     for i, rung in enumerate(rungs):
         q = PprParams(p.alpha, rung.eps, rung.delta, rung.p_fail, p.seed, p.dangling, p.rng, p.shared_walks)
         rho = rung.rho if index is None else cap_aware_rho(index.per_degree, rung.c, g.m)
-        pushed = forward_push(g, state, rho, p.alpha)
+        pushed = forward_push(g, state, rho, p.alpha, engine=engine)
         found = finish(g, pushed, q, rung.c, pruned, index, engine)
         state, walks, touches = pushed.state, walks + found.walks, touches + pushed.edge_touches
         bounds = cut(refine_bounds(found.scores, state, bounds, rung.c, rung.p_fail, pruned, p.alpha), "bounds")

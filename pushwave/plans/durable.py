@@ -42,6 +42,17 @@ def cut(df: DataFrame, name: str = "cut", **options: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bucketed(df: DataFrame, column: str, name: str = "bucketed") -> DataFrame:
+    """Write df in sorted buckets of a column, as many as shuffle partitions: joins and aggregations on it
+    read the table without an exchange."""
+    spark = df.sparkSession
+    path = new_folder(spark, name)
+    called = f"pushwave_{name}_{uuid.uuid4().hex}"
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    df.repartition(buckets, column).write.bucketBy(buckets, column).sortBy(column).option("path", path).saveAsTable(called)
+    return spark.table(called)
+
+
 def ship(spark: SparkSession) -> None:
     """Make this package importable in the Python workers of executors that lack it."""
     sc = spark.sparkContext

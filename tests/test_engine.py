@@ -266,3 +266,28 @@ def test_answers_do_not_depend_on_partitions(spark):
         seen.append(vector(E.push_walk(g, starts(g, sources(spark, 1)), p, pruned=True).scores, 30))
     spark.conf.set("spark.sql.shuffle.partitions", before)
     assert np.allclose(*seen, atol=1e-12)
+
+
+def test_kernel_and_joins_push_and_rank_alike(spark):
+    """A query in one task and by rounds of joins: the same state, estimates and answers."""
+    from pushwave import workloads as w
+    from pushwave.operators import estimators as E
+    from pushwave.operators import topk as T
+    from pushwave.operators.index import build_walk_index
+    from pushwave.operators.push import forward_push, starts
+
+    g = w.graph(spark, "/root/testdata/sf0.001", "event_user")
+    p = w.PprParams(eps=0.9, delta=0.02, p_fail=0.05)
+    state = starts(g, w.first_sources(g, 2))
+    rows = lambda df, *c: {tuple(r[x] for x in c): r for r in df.collect()}
+    one, two = (rows(forward_push(g, state, 0.001, engine=e).state, "query_id", "v") for e in ("kernel", "join"))
+    for key in two.keys() | one.keys():
+        for c in ("p", "r", "touched"):
+            assert abs((one[key][c] if key in one else 0) - (two[key][c] if key in two else 0)) < 1e-9
+    index = build_walk_index(g, p, w.push_threshold(g.m, p.walks)[0] / 2, True)
+    for stored in (None, index):
+        one, two = (rows(E.push_walk(g, state, p, pruned=True, index=stored, engine=e).scores, "query_id", "v") for e in ("kernel", "join"))
+        assert one.keys() == two.keys() and all(abs(one[k]["score"] - two[k]["score"]) < 1e-9 for k in one)
+    one, two = (rows(T.top_k_halving(g, state, 5, p, engine=e).answer, "query_id", "rk") for e in ("kernel", "join"))
+    assert one.keys() == two.keys()
+    assert all(one[k]["v"] == two[k]["v"] and one[k]["delta_end"] == two[k]["delta_end"] and one[k]["guaranteed"] == two[k]["guaranteed"] for k in one)
