@@ -7,6 +7,8 @@ as numpy code for the walk kernel.
 
 from __future__ import annotations
 
+from hashlib import md5
+
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -43,6 +45,16 @@ def draw_numpy(seed: int, lane, start, walk, hop: int) -> tuple[np.ndarray, np.n
     return (h & np.uint64(LOW)).astype(np.int64), (h >> np.uint64(32)).astype(np.int64)
 
 
+def draw_md5(seed: int, lane, start, walk, hop: int) -> tuple[np.ndarray, np.ndarray]:
+    """As draw_numpy, from md5: a digest a draw, for the modest numbers of walks that SQL repeats."""
+    digests = [md5(f"{seed}|{a}|{b}|{c}|{hop}".encode()).hexdigest() for a, b, c in zip(np.broadcast_to(lane, np.shape(start)).tolist(), start.tolist(), walk.tolist(), strict=True)]
+    return np.array([int(x[:8], 16) for x in digests], np.int64), np.array([int(x[8:16], 16) for x in digests], np.int64)
+
+
+def drawer(rng: str):
+    return draw_md5 if rng == "md5" else draw_numpy
+
+
 def draw_columns(rng: str, seed: int, lane: Column, start: Column, walk: Column, hop: Column) -> tuple[Column, Column]:
     parts = [F.lit(seed).cast("long"), lane.cast("long"), start.cast("long"), walk.cast("long"), hop.cast("long")]
     if rng == "md5":

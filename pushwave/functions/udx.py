@@ -26,8 +26,22 @@ class PprPlan:
         yield c, rho, case, costs["push_walk"], costs["monte_carlo"]
 
 
+@udtf(returnType="query_id: bigint, rk: int, v: bigint, score: double")
+class TopRows:
+    """top_rows(TABLE(scores) PARTITION BY query_id ORDER BY (score DESC, v), k): the first k rows of each partition."""
+
+    def __init__(self):
+        self.rank = 0
+
+    def eval(self, row, k: int):
+        self.rank += 1
+        if self.rank <= k:
+            yield row["query_id"], self.rank, row["v"], row["score"]
+
+
 def register_sql(spark: SparkSession) -> None:
     spark.udtf.register("ppr_plan", PprPlan)
+    spark.udtf.register("top_rows", TopRows)
 
 
 def small_graph_push(arcs: DataFrame, sources: DataFrame, rho: float, alpha: float = 0.2) -> DataFrame:
@@ -37,6 +51,8 @@ def small_graph_push(arcs: DataFrame, sources: DataFrame, rho: float, alpha: flo
     if len(pairs) > 100_000:
         raise ValueError("the graph is too large for this kernel")
     nodes = sorted({x for p in pairs for x in p})
+    if len(nodes) > 3000:
+        raise ValueError("the graph has too many nodes for a dense matrix")
     place = {v: i for i, v in enumerate(nodes)}
     w = np.zeros((len(nodes), len(nodes)))
     for s, d in pairs:

@@ -17,6 +17,10 @@ from pushwave.operators.walks import run_walks
 from pushwave.plans.durable import cut
 
 
+#: The coarse walks of filter-refine are this part of a whole estimate's: they only have to rule nodes out.
+COARSE = 16
+
+
 def _histogram(g: Graph, sources: DataFrame, walks: int, p: PprParams, engine: str = "auto") -> DataFrame:
     """(query_id, src, x, share): where walks from each source end."""
     alloc = sources.select("query_id", F.col("src").alias("start"), F.lit(walks).cast("long").alias("n_walks"), F.lit(1.0 / walks).alias("weight"))
@@ -45,15 +49,14 @@ def bidirectional_pair(g: Graph, sources: DataFrame, targets: DataFrame, p: PprP
     """
     p = p.resolve(g.n)
     if balanced:
-        steps, rounds, state, cost = g.backward(), 1, None, 0.0
+        steps, state, cost = g.backward(), None, 0.0
         bound = 1.0
         while True:
             state = reverse_push(g, targets, bound / 2, p.alpha, steps=steps)
             bound = float(state.state.agg(F.max("r")).first()[0] or 0.0)
             cost = cost + state.rounds * g.m / g.n
-            if cost >= _forward_walks(bound, p) / p.alpha or bound < 1e-9 or rounds > 20:
+            if cost >= _forward_walks(bound, p) / p.alpha or bound < 1e-12:
                 break
-            rounds += 1
         rho_b = bound
     else:
         rho_b = rho_b or reverse_threshold(g.n, g.m, p, shared=False)
@@ -111,13 +114,25 @@ def ranked(found: Estimate, k: int, n: int) -> TopK:
     return TopK(_answer(found.scores, k, 1 / n, False), 1, found.walks, found.edge_touches)
 
 
+def hub_top_k(g: Graph, sources: DataFrame, k: int, p: PprParams, hubs: HubIndex) -> TopK:
+    """Hub-indexed top-k: stored results of hubs in place of their walks and reverse pushes, then ranked."""
+    return ranked(bidirectional_all(g, sources, p, hubs=hubs), max(1, min(k, g.n)), g.n)
+
+
+def pair_top_k(g: Graph, sources: DataFrame, k: int, p: PprParams) -> TopK:
+    """A pair query for every node as the target, with walks of its own threshold each, then ranked."""
+    targets = g.nodes.select(F.col("v").alias("target"))
+    scores = cut(bidirectional_pair(g, sources, targets, p).filter("score > 0"), "scores")
+    return TopK(_answer(scores, max(1, min(k, g.n)), 1 / g.n, False), 1, 0, 0)
+
+
 def filter_refine_top_k(g: Graph, sources: DataFrame, k: int, p: PprParams, precision: float = 0.99) -> TopK:
     """Push and coarse walks give bounds; nodes whose upper bound is below the k-th lower bound go;
     reverse pushes from the rest tighten the bounds until precision * k of the answer are certain."""
     from math import log
 
-    p = p.resolve(g.n)
-    c = p.walks / 16
+    p, k = p.resolve(g.n), max(1, min(k, g.n))
+    c = p.walks / COARSE
     pushed = forward_push(g, starts(g, sources), push_threshold(g.m, c)[0], p.alpha)
     found = finish(g, pushed, p, c, False)
     rate = log(2 / p.p_fail) / c
@@ -129,7 +144,8 @@ def filter_refine_top_k(g: Graph, sources: DataFrame, k: int, p: PprParams, prec
         kth = rank(bounds.select("query_id", "v", F.col("lb").alias("score")), k).groupBy("query_id").agg(F.min("score").alias("kth"))
         alive = cut(bounds.join(kth, "query_id").filter(F.col("ub") >= F.col("kth")), "alive")
         sure = alive.groupBy("query_id").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > k / precision)
-        if rounds >= 6 or not sure.limit(1).count():
+        open_ = sure.count()
+        if not open_ or rho_b < p.eps * p.delta / 2:  # all certain, or every bound within eps of any score above delta
             break
         targets = alive.select(F.col("v").alias("target")).distinct()
         back = reverse_push(g, targets, rho_b, p.alpha, chain=4, steps=steps).state
@@ -139,7 +155,7 @@ def filter_refine_top_k(g: Graph, sources: DataFrame, k: int, p: PprParams, prec
         high = F.least("ub", F.coalesce("low", F.lit(0.0)) + rho_b)
         bounds = cut(tight.select("query_id", "v", F.least(F.greatest("score", low), high).alias("score"), low.alias("lb"), high.alias("ub")), "bounds")
         rho_b, rounds = rho_b / 4, rounds + 1
-    return TopK(_answer(alive.select("query_id", "v", "score"), k, 1 / g.n, False), rounds + 1, walks, pushed.edge_touches)
+    return TopK(_answer(alive.select("query_id", "v", "score"), k, 1 / g.n, not open_), rounds + 1, walks, pushed.edge_touches)
 
 
 def tune_push_only(g: Graph, sources: DataFrame, truth: DataFrame, k: int, target: float, alpha: float = 0.2, tries: int = 8) -> tuple[float, DataFrame]:
@@ -188,4 +204,4 @@ def global_pagerank(g: Graph, p: PprParams, method: str = "push_walk", rounds: i
     return push_walk(g, state, p, pruned=True)
 
 
-__all__ = ["Pushed", "HubIndex", "bidirectional_all", "bidirectional_pair", "build_hub_index", "filter_refine_top_k", "global_pagerank", "ranked", "shell_approximation", "tune_push_only"]
+__all__ = ["Pushed", "HubIndex", "bidirectional_all", "bidirectional_pair", "build_hub_index", "filter_refine_top_k", "global_pagerank", "hub_top_k", "pair_top_k", "ranked", "shell_approximation", "tune_push_only"]

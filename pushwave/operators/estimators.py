@@ -62,7 +62,7 @@ def finish(g: Graph, pushed: Pushed, p: PprParams, c: float, pruned: bool, index
 
 def _in_kernel(g: Graph, p: PprParams, index: WalkIndex | None, engine: str):
     """(whether the query runs in one task, the broadcast index or None)."""
-    if p.rng != "xxhash64" or not g.in_kernel(engine):
+    if not g.in_kernel(engine):
         return False, None
     if index is None:
         return True, None
@@ -158,6 +158,16 @@ def monte_carlo(g: Graph, state: DataFrame, p: PprParams, engine: str = "auto",
     return finish(g, Pushed(state, 0, float(state.agg(F.sum("r")).first()[0] or 0.0), 0), p, c, False, None, engine)
 
 
+def monte_carlo_visits(g: Graph, state: DataFrame, p: PprParams, walks: int | None = None) -> Estimate:
+    """Monte Carlo that counts every node a walk visits, not its end alone: a visit is worth alpha, and
+    1 at a node without out-arcs, where the walk must end. The same mean with less variance a walk."""
+    p = p.resolve(g.n)
+    if not g.in_kernel("auto"):
+        raise ValueError("walks that count visits run in kernels only")
+    c = walks or p.walks
+    return _estimate(cut(kernels.visited(state, g.adjacency(), p, c), "scores"))
+
+
 def power(g: Graph, state: DataFrame, rounds: int = 100, alpha: float = 0.2, chain: int = 2, engine: str = "auto") -> Estimate:
     """Exact up to (1-alpha)^rounds: everything is pushed every round; what is left counts where it lies."""
     from pushwave.operators.push import _round

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pushwave.functions.formulas import PprParams, Rung, cap_aware_rho
-from pushwave.functions.rng import draw_numpy, stop_limit
+from pushwave.functions.rng import drawer, stop_limit
 
 #: Walks that move together.
 BATCH = 1 << 18
@@ -82,12 +82,12 @@ class LocalIndex:
     ends: np.ndarray
 
 
-def walk(g: Local, seed: int, alpha: float, forced: bool, lane: int, start: np.ndarray, number: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def walk(g: Local, p: PprParams, forced: bool, lane: int, start: np.ndarray, number: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(end, hops) of walks from places; a walk is a function of (seed, lane, start id, number)."""
-    limit, at, hops = stop_limit(alpha), start.copy(), np.zeros(len(start), np.int64)
+    limit, draw, at, hops = stop_limit(p.alpha), drawer(p.rng), start.copy(), np.zeros(len(start), np.int64)
     ids, live, hop = g.v[start], np.arange(len(start)), 0
     while len(live):
-        stop, choice = draw_numpy(seed, np.int64(lane), ids[live], number[live], hop)
+        stop, choice = draw(p.seed, np.int64(lane), ids[live], number[live], hop)
         deg = g.deg[at[live]]
         go = deg > 0 if forced and hop == 0 else (deg > 0) & (stop >= limit)
         live, choice, deg = live[go], choice[go], deg[go]
@@ -125,7 +125,7 @@ def finish(s: Push, p: PprParams, c: float, pruned: bool, lane: int, index: Loca
         for low in range(0, max(1, int(rest[i])) if j == i + 1 else 1, BATCH):  # one start with very many
             size = np.minimum(rest[i:j] - low, BATCH) if j == i + 1 else rest[i:j]
             number = expand(done[i:j] + low, size)
-            ends, steps = walk(g, p.seed, p.alpha, pruned, lane, np.repeat(left[i:j], size), number)
+            ends, steps = walk(g, p, pruned, lane, np.repeat(left[i:j], size), number)
             scores += np.bincount(ends, np.repeat(weight[i:j], size), len(scores))
             hops += int(steps.sum())
         i = j
@@ -197,6 +197,34 @@ def estimated(state: DataFrame, adjacency, index, p: PprParams, c: float, pruned
     return per_query(state, adjacency, index, body, SCORES, p)
 
 
+def visited(state: DataFrame, adjacency, p: PprParams, c: float) -> DataFrame:
+    """Scores by the visits of ceil(r c) walks from each start with mass r."""
+
+    def body(s: Push, lane: int, query: int, stored) -> pa.RecordBatch:
+        g, scores, walks, hops = s.g, np.zeros(len(s.r)), 0, 0
+        worth = np.where(g.deg == 0, 1.0, p.alpha)
+        left = np.flatnonzero(s.r > 0)
+        for place, n in zip(left.tolist(), np.ceil(c * s.r[left]).astype(np.int64).tolist(), strict=True):
+            weight = s.r[place] / n
+            for low in range(0, n, BATCH):
+                number = np.arange(low, min(n, low + BATCH))
+                at, live, hop = np.full(len(number), place), np.arange(len(number)), 0
+                while len(live):
+                    scores += np.bincount(at[live], minlength=len(scores)) * worth * weight
+                    stop, choice = drawer(p.rng)(p.seed, np.int64(lane), np.full(len(live), g.v[place]), number[live], hop)
+                    deg = g.deg[at[live]]
+                    go = (deg > 0) & (stop >= stop_limit(p.alpha))
+                    live, choice, deg = live[go], choice[go], deg[go]
+                    at[live] = g.target[g.first[at[live]] + choice % deg]
+                    hops += len(live)
+                    hop += 1
+            walks += n
+        at = np.flatnonzero(scores > 0)
+        return batch(SCORES, len(at), query_id=query, v=g.v[at], score=scores[at], rounds=0, touched=0, residue=float(s.r.sum()), walks=walks, hops=hops)
+
+    return per_query(state, adjacency, None, body, SCORES, p)
+
+
 def balanced(s: Push, alpha: float, c: float, floor: float, arc: float, ahead: float) -> int:
     """Push down falling thresholds, a round at a time, while that has cost less than the walks foreseen.
 

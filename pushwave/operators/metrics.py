@@ -63,3 +63,19 @@ def space_report(graph_arcs: int, index_rows: int, width: int = 8) -> dict[str,
     """Bytes of the graph once and twice (for reverse methods), of the index, and the index's ratio."""
     graph = graph_arcs * width
     return {"graph": graph, "graph_twice": 2 * graph, "index": index_rows * width, "ratio": index_rows / max(1, graph_arcs)}
+
+
+def table_cost(tables: dict[str, DataFrame]) -> DataFrame:
+    """(name, rows, files, bytes, columns) of written tables: what a method keeps on disk and a scan reads."""
+    spark = next(iter(tables.values())).sparkSession
+    path = spark._jvm.org.apache.hadoop.fs.Path
+    conf = spark._jsc.hadoopConfiguration()
+    rows = []
+    for name, df in tables.items():
+        files = df.inputFiles()
+        size = 0
+        for f in files:  # one look-up a file of a table
+            at = path(f)
+            size += at.getFileSystem(conf).getFileStatus(at).getLen()
+        rows.append((name, df.count(), len(files), size, len(df.columns)))
+    return spark.createDataFrame(rows, "name string, rows long, files long, bytes long, columns long")

@@ -249,7 +249,7 @@ def q_case_null(spark, d):
     return read(spark, d, "customer").select("c_custkey", F.when(b < 0, "debt").when(b < 1000, "low").otherwise("ok").alias("kind"), F.coalesce(F.nullif("c_mktsegment", F.lit("BUILDING")), F.lit("B")).alias("seg"))
 
 
-@register("q_join_nested_loop")
+@register("q_join_nested_loop", O.query("SELECT i::INT AS rung, count(*) AS n FROM push, range(8) t(i) WHERE p > pow(2.0, -i) / 10 GROUP BY 1", O.graph_cte("event_user"), O.sources_cte(2), O.push_cte(O.POINT, "0.0", 100)))
 def q_join_nested_loop(spark, d):
     """How many exact scores exceed each threshold of a ladder: the ladder has a dozen rows at most."""
     g = graph(spark, d, "event_user")
@@ -257,7 +257,7 @@ def q_join_nested_loop(spark, d):
     return truth(g).join(F.broadcast(steps), F.col("score") > F.col("delta")).groupBy("rung").agg(F.count(F.lit(1)).alias("n"))
 
 
-@register("q_join_range")
+@register("q_join_range", O.query("SELECT v, count(*) AS n FROM (SELECT ((('0x' || substr(md5(i::VARCHAR), 1, 8))::BIGINT) + 0.5) / 4294967296.0 AS u FROM range(2000) t(i)) JOIN (SELECT v, sum(mass) OVER (ORDER BY v) AS high, sum(mass) OVER (ORDER BY v) - mass AS low FROM (SELECT v, d::DOUBLE / (SELECT count(*) FROM arcs) AS mass FROM nodes)) ON u >= low AND u < high GROUP BY v", O.graph_cte("event_user")))
 def q_join_range(spark, d):
     """Starts drawn from a distribution by its cumulative mass: buckets of mass make it an equi-join."""
     g = graph(spark, d, "event_user")
@@ -272,14 +272,14 @@ def q_join_range(spark, d):
 
 
 
-@register("q_udtf_plan")
+@register("q_udtf_plan", "SELECT round(c, 6) AS walk_constant, round(1 / sqrt(44938 * c), 12) AS rho, 1 AS threshold_case, round(sqrt(44938 * c), 6) AS push_walk, round(c, 6) AS monte_carlo FROM (SELECT (2 + 1.0 / 3) * ln(4000) / (0.25 * 0.0005) AS c)")
 def q_udtf_plan(spark, d):
     from pushwave.functions.udx import register_sql
     from pushwave.plans.durable import ship
 
     ship(spark)
     register_sql(spark)
-    return spark.sql("SELECT * FROM ppr_plan(2000, 44938, 0.5D, 0.0005D, 0.0005D)")
+    return spark.sql("SELECT round(walk_constant, 6) AS walk_constant, round(rho, 12) AS rho, threshold_case, round(push_walk, 6) AS push_walk, round(monte_carlo, 6) AS monte_carlo FROM ppr_plan(2000, 44938, 0.5D, 0.0005D, 0.0005D)")
 
 
 @register("q_udf_small_push", O.query("SELECT query_id, v, round(p, 9) AS score FROM push WHERE p > 0", O.graph_cte("event_user"), O.sources_cte(2), O.push_cte(O.POINT, "0.000987654", 40)))

@@ -30,11 +30,15 @@ def q_stream_successive(spark, d):
     return A.run(A.successive_types(A.source(spark, d))).groupBy("user_id", "src", "dst").agg(F.count(F.lit(1)).alias("n"))
 
 
-@register("q_stream_sessions")
+#: What a watermark of an hour behind the last event has closed.
+_CLOSED = "(SELECT max(ts) FROM events) - INTERVAL 1 HOUR"
+
+
+@register("q_stream_sessions", f"SELECT user_id, min(ts) AS begin, max(ts) + INTERVAL 30 MINUTE AS finish, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WHERE user_id IS NOT NULL)) GROUP BY user_id, s HAVING max(ts) + INTERVAL 30 MINUTE <= {_CLOSED}")
 def q_stream_sessions(spark, d):
     return A.run(A.sessions(A.source(spark, d)))
 
 
-@register("q_stream_sliding")
+@register("q_stream_sliding", f"SELECT start, count(*) AS n FROM (SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') - i * INTERVAL 6 HOUR AS start FROM events, range(4) t(i)) WHERE start + INTERVAL 1 DAY <= {_CLOSED} GROUP BY 1")
 def q_stream_sliding(spark, d):
     return A.run(A.sliding_counts(A.source(spark, d)))

@@ -152,23 +152,45 @@ def q_index_capacity_pruned(spark, d):
     return capacities(g, push_threshold(g.m, p.walks)[0], p.walks, p.alpha, True)
 
 
-@register("q_cost_model")
+_L, _N, _M = "ln(2.0 * n)", "n::DOUBLE", "m::DOUBLE"
+_COSTS = {
+    "monte_carlo": "c", "push_walk": "least(sqrt(m * c), c)", "bidirectional": f"sqrt(m * n * {_L} * n) / 0.5", "bidirectional_shared": f"sqrt(m * {_L} * n) / 0.5",
+    "push_only": "CASE WHEN m <= c THEN sqrt(m * c) ELSE c END", "power": "m * ln(n / 0.5) / -ln(0.8)", "mc_top_k": f"{_L} / (10.0 / n * 0.25)",
+    "top_k_halving": f"least(sqrt(m * {_L} / (10.0 / n)) / 0.5, {_L} / (10.0 / n * 0.25))", "filter_refine_top_k": "(m + n * ln(n)) / sqrt(10.0 / n)",
+}
+
+
+def _costs_sql(name: str) -> str:
+    each = " UNION ALL ".join(f"SELECT '{name}' AS graph, '{method}' AS method, {cost} AS cost FROM size" for method, cost in _COSTS.items())
+    return "SELECT * FROM (" + O.query(each, O.graph_cte(name), f"size AS (SELECT n::DOUBLE AS n, m::DOUBLE AS m, {_C_SQL} AS c FROM (SELECT (SELECT count(*) FROM nodes) AS n, count(*) AS m FROM arcs))") + ")"
+
+
+def _digits(column: str) -> str:
+    return f"round({column} / pow(10, floor(log10({column}))), 6)"
+
+
+@register("q_cost_model", f"SELECT graph, method, {_digits('cost')} AS cost, floor(log10(cost))::INT AS power FROM (" + " UNION ALL ".join(_costs_sql(n) for n in _PARAM_GRAPHS) + ")")
 def q_cost_model(spark, d):
     from pushwave.functions.formulas import expected_costs
 
     rows = [(n, method, float(cost)) for n in _PARAM_GRAPHS for g in [graph(spark, d, n)] for method, cost in expected_costs(g.n, g.m, PprParams(), 10 / g.n).items()]
-    return spark.createDataFrame(rows, "graph string, method string, cost double")
+    cost = F.col("cost")
+    return spark.createDataFrame(rows, "graph string, method string, cost double").select("graph", "method", F.round(cost / F.pow(F.lit(10.0), F.floor(F.log10(cost))), 6).alias("cost"), F.floor(F.log10(cost)).cast("int").alias("power"))
+
 
+_LADDER = """SELECT (row_number() OVER (ORDER BY delta DESC) - 1)::INT AS rung, round(delta, 12) AS delta, round(c, 3) AS c, round(CASE WHEN m <= c THEN 1 / sqrt(m * c) ELSE 1 / c END, 15) AS rho FROM (
+SELECT *, (2 + 0.5 / 3) * ln(2 / (1 / (n * n * greatest(1, log2(n / 20))))) / (0.0625 * delta) AS c FROM (SELECT n, m, 1 / (20.0 * pow(2, i)) AS delta FROM size, range(60) t(i) WHERE 1 / (20.0 * pow(2, i)) > 1 / n * (1 + 1e-12) UNION ALL SELECT n, m, 1 / n FROM size))"""
 
-@register("q_topk_ladder")
+
+@register("q_topk_ladder", O.query(_LADDER, O.graph_cte("part_next"), "size AS (SELECT (SELECT count(*) FROM nodes)::DOUBLE AS n, count(*)::DOUBLE AS m FROM arcs)"))
 def q_topk_ladder(spark, d):
     g = graph(spark, d, "part_next")
-    return spark.createDataFrame([(i, r.delta, r.c, r.rho) for i, r in enumerate(ladder(g.n, g.m, 20, PprParams()))], "rung int, delta double, c double, rho double")
+    return spark.createDataFrame([(i, r.delta, r.c, r.rho) for i, r in enumerate(ladder(g.n, g.m, 20, PprParams()))], "rung int, delta double, c double, rho double").select("rung", _r("delta", 12), _r("c", 3), _r("rho", 15))
 
 
 # --- exact ------------------------------------------------------------------------------------
 
-ROUNDS = 25
+ROUNDS = 100
 
 
 def _power_sql(name: str, sigma: str, sources: int = 2) -> str:
@@ -256,10 +278,16 @@ def q_reverse_push(spark, d):
 
 # --- walks, by md5 so that SQL draws the same -----------------------------------------------------
 
-#: Walks a unit of residue: small, for the oracle's sake.
-C = 3000.0
 MD5 = PprParams(rng="md5")
+#: The walk constant, as it follows from the graph.
+C = f"(SELECT {_C_SQL} FROM (SELECT count(*) AS n FROM nodes))"
 _PART = (O.graph_cte("event_user"), O.sources_cte(2))
+
+
+def _c(g: Graph) -> float:
+    return MD5.resolve(g.n).walks
+
+
 _BASIC = f"SELECT query_id, v AS start, ceil(r * {C})::BIGINT AS n_walks, r / ceil(r * {C}) AS weight FROM push WHERE r > 0"
 _PRUNED = f"SELECT query_id, v AS start, ceil(0.8 * {C} * r)::BIGINT AS n_walks, 0.8 * r / ceil(0.8 * {C} * r) AS weight FROM push JOIN nodes USING (v) WHERE r > 0 AND d > 0"
 _SUM = "(SELECT query_id, v, sum(score) AS score FROM (SELECT query_id, v, {own} AS score FROM push JOIN nodes USING (v) UNION ALL SELECT query_id, endpoint, weight FROM ends) GROUP BY query_id, v HAVING sum(score) > 0)"
@@ -267,22 +295,23 @@ _SUM = "(SELECT query_id, v, sum(score) AS score FROM (SELECT query_id, v, {own}
 
 @register("q_alloc_basic", O.query(f"SELECT query_id, start, n_walks, round(weight, 9) AS weight FROM ({_BASIC})", *_PART, O.push_cte(O.POINT, str(RHO * 20), 20)))
 def q_alloc_basic(spark, d):
-    return E.allocate_walks(_pushed(spark, d, "event_user", rho=RHO * 20)[1].state, C, 0.2, False).select("query_id", "start", "n_walks", _r("weight"))
+    g, pushed = _pushed(spark, d, "event_user", rho=RHO * 20)
+    return E.allocate_walks(pushed.state, _c(g), 0.2, False).select("query_id", "start", "n_walks", _r("weight"))
 
 
 @register("q_alloc_pruned", O.query(f"SELECT query_id, start, n_walks, round(weight, 9) AS weight FROM ({_PRUNED})", *_PART, O.push_cte(O.POINT, str(RHO * 20), 20)))
 def q_alloc_pruned(spark, d):
-    return E.allocate_walks(_pushed(spark, d, "event_user", rho=RHO * 20)[1].state, C, 0.2, True).select("query_id", "start", "n_walks", _r("weight"))
+    g, pushed = _pushed(spark, d, "event_user", rho=RHO * 20)
+    return E.allocate_walks(pushed.state, _c(g), 0.2, True).select("query_id", "start", "n_walks", _r("weight"))
 
 
-_MC = f"SELECT query_id, src AS start, {int(C)} AS n_walks, {1 / C}::DOUBLE AS weight FROM sources"
+_MC = f"SELECT query_id, src AS start, ceil({C})::BIGINT AS n_walks, 1.0::DOUBLE / ceil({C}) AS weight FROM sources"
 
 
 @register("q_monte_carlo", O.query(f"{_SCORES} (SELECT query_id, endpoint AS v, sum(weight) AS score FROM ends GROUP BY 1, 2)", *_PART, O.walks_cte(_MC, False)))
 def q_monte_carlo(spark, d):
     g = graph(spark, d, "event_user")
-    alloc = first_sources(g, 2).select("query_id", F.col("src").alias("start"), F.lit(int(C)).cast("long").alias("n_walks"), F.lit(1 / C).alias("weight"))
-    return run_walks(g, alloc, MD5).select("query_id", "v", F.round("weight", 9).alias("score"))
+    return _scores(E.monte_carlo(g, starts(g, first_sources(g, 2)), MD5).scores)
 
 
 def _push_walk_sql(pruned: bool) -> str:
@@ -292,7 +321,7 @@ def _push_walk_sql(pruned: bool) -> str:
 
 def _push_walk(spark, d, pruned: bool) -> DataFrame:
     g, pushed = _pushed(spark, d, "event_user", rho=RHO * 20)
-    return _scores(E.finish(g, pushed, MD5.resolve(g.n), C, pruned).scores)
+    return _scores(E.finish(g, pushed, MD5.resolve(g.n), _c(g), pruned).scores)
 
 
 register("q_push_walk_basic", _push_walk_sql(False))(lambda spark, d: _push_walk(spark, d, False))
@@ -306,11 +335,98 @@ def q_walk_index(spark, d):
     return build_walk_index(g, MD5, 0.2 / c).rows.select("start", "walk_no", "endpoint")
 
 
-@register("q_bidirectional_pair", O.query(f"{_SCORES} (SELECT query_id, target AS v, sum(score) AS score FROM (SELECT e.query_id, b.target, e.weight * b.r AS score FROM ends e JOIN back b ON b.v = e.endpoint UNION ALL SELECT s.query_id, b.target, b.p FROM sources s JOIN back b ON b.v = s.src) GROUP BY 1, 2 HAVING sum(score) > 0)", *_PART, O.reverse_cte("SELECT v FROM nodes ORDER BY v LIMIT 3", 0.00512345, 30), O.walks_cte(_MC, False)))
+_FEW = _MC.replace(f"ceil({C})", f"ceil({C} * 0.00512345)")
+
+
+@register("q_bidirectional_pair", O.query(f"{_SCORES} (SELECT query_id, target AS v, sum(score) AS score FROM (SELECT e.query_id, b.target, e.weight * b.r AS score FROM ends e JOIN back b ON b.v = e.endpoint UNION ALL SELECT s.query_id, b.target, b.p FROM sources s JOIN back b ON b.v = s.src) GROUP BY 1, 2 HAVING sum(score) > 0)", *_PART, O.reverse_cte("SELECT v FROM nodes ORDER BY v LIMIT 3", 0.00512345, 30), O.walks_cte(_FEW, False)))
 def q_bidirectional_pair(spark, d):
     g = graph(spark, d, "event_user")
-    back = reverse_push(g, g.nodes.orderBy("v").limit(3).select(F.col("v").alias("target")), 0.00512345).state
-    return _scores(B._meet(B._histogram(g, first_sources(g, 2), int(C), MD5), back).filter("score > 0"))
+    targets = g.nodes.orderBy("v").limit(3).select(F.col("v").alias("target"))
+    return _scores(B.bidirectional_pair(g, first_sources(g, 2), targets, MD5, 0.00512345).filter("score > 0"))
+
+
+#: The balancing threshold, times a multiple, as it follows from the graph.
+_RHO = f"(SELECT {{mult}} * CASE WHEN m <= c THEN 1 / sqrt(m * c) ELSE 1 / c END FROM (SELECT (SELECT count(*) FROM arcs) AS m, {C} AS c))"
+_BASIC_OWN, _PRUNED_OWN = "p", "p + CASE WHEN d = 0 THEN r ELSE 0.2 * r END"
+
+
+def _own_sql(sigma: str, mult: float, pruned: bool, select: str | None = None) -> str:
+    """Push to a multiple of the balancing threshold, then md5 walks: a stored walk is the same walk."""
+    found = _SUM.format(own=_PRUNED_OWN if pruned else _BASIC_OWN)
+    return O.query((select or f"{_SCORES} {{found}}").format(found=found), *_PART, "level AS MATERIALIZED (SELECT " + _RHO.format(mult=mult) + " AS rho)", O.push_cte(sigma, "(SELECT rho FROM level)", 40), O.walks_cte(_PRUNED if pruned else _BASIC, pruned))
+
+
+def _md5_setting(spark, d):
+    g = graph(spark, d, "event_user")
+    return g, starts(g, first_sources(g, 2))
+
+
+def _md5_index(g: Graph, mult: float, pruned: bool):
+    return build_walk_index(g, MD5, mult * push_threshold(g.m, _c(g))[0], pruned)
+
+
+_TOP = "SELECT query_id, rk::INT AS rk, v, round(score, 9) AS score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, v) AS rk FROM {found}) WHERE rk <= 10"
+
+
+@register("q_push_walk_own", _own_sql(O.POINT, 1, False))
+def q_push_walk_own(spark, d):
+    g, state = _md5_setting(spark, d)
+    return _scores(E.push_walk(g, state, MD5).scores)
+
+
+@register("q_push_walk_indexed", _own_sql(O.POINT, 1, False))
+def q_push_walk_indexed(spark, d):
+    g, state = _md5_setting(spark, d)
+    return _scores(E.push_walk(g, state, MD5, index=_md5_index(g, 1, False)).scores)
+
+
+@register("q_push_walk_tuned_indexed", _own_sql(O.POINT, 2, True))
+def q_push_walk_tuned_indexed(spark, d):
+    g, state = _md5_setting(spark, d)
+    return _scores(E.push_walk(g, state, MD5, rho_mult=2, pruned=True, index=_md5_index(g, 2, True)).scores)
+
+
+for _mult in range(1, 8):
+    register(f"q_push_walk_rho_{_mult}", _own_sql(O.POINT, _mult, True))(lambda spark, d, m=_mult: _scores(E.push_walk(*_md5_setting(spark, d), MD5, rho_mult=m, pruned=True).scores))
+
+
+@register("q_pagerank_push_walk", _own_sql(O.UNIFORM, 1, True))
+def q_pagerank_push_walk(spark, d):
+    return _scores(B.global_pagerank(graph(spark, d, "event_user"), MD5).scores)
+
+
+@register("q_pagerank_push_walk_topk", _own_sql(O.UNIFORM, 1, True, _TOP))
+def q_pagerank_push_walk_topk(spark, d):
+    return T.rank(B.global_pagerank(graph(spark, d, "event_user"), MD5).scores, 10).select("query_id", "rk", "v", _r("score"))
+
+
+@register("q_topk_full_sort", _own_sql(O.POINT, 1, False, _TOP))
+def q_topk_full_sort(spark, d):
+    g, state = _md5_setting(spark, d)
+    return T.top_k_full_sort(g, state, 10, MD5).answer.select("query_id", "rk", "v", _r("score"))
+
+
+@register("q_topk_push_only", O.query(_TOP.format(found="(SELECT query_id, v, p AS score FROM push WHERE p > 0)"), *_PART, O.push_cte(O.POINT, str(RHO), 40)))
+def q_topk_push_only(spark, d):
+    g = graph(spark, d, "event_user")
+    return T.rank(push_only(g, first_sources(g, 2), RHO), 10).select("query_id", "rk", "v", _r("score"))
+
+
+@register("q_table_function_topk", O.query(_TOP.format(found="(SELECT query_id, v, p AS score FROM push WHERE p > 0)"), *_PART, O.push_cte(O.POINT, str(RHO), 40)))
+def q_table_function_topk(spark, d):
+    """The same by a table function over a partitioned, ordered table argument."""
+    from pushwave.functions.udx import register_sql
+
+    register_sql(spark)
+    g = graph(spark, d, "event_user")
+    push_only(g, first_sources(g, 2), RHO).createOrReplaceTempView("pushwave_scores")
+    return spark.sql("SELECT query_id, rk, v, round(score, 9) AS score FROM top_rows(row => TABLE(pushwave_scores) PARTITION BY query_id ORDER BY (score DESC, v), k => 10)")
+
+
+@register("q_sink_bucketed", O.query("SELECT src, count(*) AS n, sum(dst)::BIGINT AS dst FROM arcs GROUP BY src", O.graph_cte("cust_supp")))
+def q_sink_bucketed(spark, d):
+    """Arcs written in buckets by src, aggregated without an exchange."""
+    return graph(spark, d, "cust_supp").steps().groupBy("src").agg(F.count(F.lit(1)).alias("n"), F.sum("dst").alias("dst"))
 
 
 # --- methods at their own settings: rows, held against exact scores in tests -----------------------
@@ -339,7 +455,12 @@ def _index(g: Graph, pruned: bool, mult: float):
 _method("m_monte_carlo", lambda g, q, s: _scores(E.monte_carlo(g, s, _P).scores))
 _method("m_push_walk", lambda g, q, s: _scores(E.push_walk(g, s, _P).scores))
 _method("m_push_walk_pruned", lambda g, q, s: _scores(E.push_walk(g, s, _P, pruned=True).scores))
-_method("m_push_walk_tuned", lambda g, q, s: _scores(E.push_walk_balanced(g, s, _P, E.Prices(1, 1, 20_000)).scores))
+_method("m_push_walk_tuned", lambda g, q, s: _scores(E.push_walk_balanced(g, s, _P).scores))
+_method("m_monte_carlo_visits", lambda g, q, s: _scores(E.monte_carlo_visits(g, s, _P).scores))
+_method("m_topk_hub", lambda g, q, s: B.hub_top_k(g, q, 20, _P, B.build_hub_index(g, _P, g.m)).answer)
+_method("m_topk_bounds_indexed", lambda g, q, s: T.top_k_bounds(g, s, 20, _P, index=_index(g, False, 1)).answer)
+_method("m_topk_pagerank", lambda g, q, s: T.top_k_halving(g, from_distribution(g, uniform(g)), 20, _P).answer)
+register("m_topk_pairs")(lambda spark, d: (lambda g, q, s: B.pair_top_k(g, q, 10, _P).answer)(*_setting(spark, d, "event_user")))
 _method("m_push_walk_indexed", lambda g, q, s: _scores(E.push_walk(g, s, _P, index=_index(g, False, 1)).scores))
 _method("m_push_walk_tuned_indexed", lambda g, q, s: _scores(E.push_walk(g, s, _P, rho_mult=2, pruned=True, index=_index(g, True, 2)).scores))
 _method("m_bidirectional_all", lambda g, q, s: _scores(B.bidirectional_all(g, q, _P).scores))
@@ -391,11 +512,11 @@ def q_check_topk(spark, d):
     return M.check_top_k(T.top_k_halving(g, state, 20, _P).answer, _truth(g, 3, 60), 20, _P.eps, 1 / g.n)
 
 
-@register("q_tail_bounds")
+@register("q_tail_bounds", "SELECT e AS eps, round(least(1, 2 * exp(-e * e * 10000 * 0.01 / (0.5 * (2 + 2 * e / 3)))), 12) AS relative, round(least(1, 2 * exp(-(e / 100) * (e / 100) * 10000 / (0.5 * (0.02 + 2 * (e / 100) / 3)))), 12) AS absolute FROM (SELECT unnest([0.1::DOUBLE, 0.3::DOUBLE, 0.5::DOUBLE]) AS e)")
 def q_tail_bounds(spark, d):
     from pushwave.functions.formulas import tail_bound_absolute, tail_bound_relative
 
-    return spark.createDataFrame([(e, tail_bound_relative(e, 10_000, 0.5, 0.01), tail_bound_absolute(e / 100, 10_000, 0.5, 0.01)) for e in (0.1, 0.3, 0.5)], "eps double, relative double, absolute double")
+    return spark.createDataFrame([(e, tail_bound_relative(e, 10_000, 0.5, 0.01), tail_bound_absolute(e / 100, 10_000, 0.5, 0.01)) for e in (0.1, 0.3, 0.5)], "eps double, relative double, absolute double").select("eps", _r("relative", 12), _r("absolute", 12))
 
 
 @register("q_recommend_parts", O.query(f"SELECT query_id, rk::INT AS rk, v, round(score, 9) AS score FROM (SELECT t.query_id, t.v, t.score, row_number() OVER (PARTITION BY t.query_id ORDER BY t.score DESC, t.v) AS rk FROM {_TRUE} t JOIN sources s USING (query_id) WHERE t.v <> s.src AND NOT EXISTS (SELECT 1 FROM arcs a WHERE a.src = s.src AND a.dst = t.v)) WHERE rk <= 10", O.graph_cte("part_next"), O.sources_cte(2), O.push_cte(O.POINT, "0.0", ROUNDS)))
