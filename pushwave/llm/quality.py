@@ -1,11 +1,11 @@
 """Quality classifier on supervised subword embeddings (operator 7).
 
-A word is the mean of learned vectors of its hashed spelling, its shape and its 3- to 5-grams; a
-document is the weighted mean of its words; a softmax over two classes reads it. Word n-grams come
-in where a word repeats the one before it: the pair counts as a word of its own. Words that the
-training sample knows weigh by the square of their log odds between the classes, unknown ones
-little, so a few telling words count in a long text. Training is numpy stochastic gradient descent on a bounded sample; at scoring a word's
-vector only matters through one number, so each distinct word costs one look-up.
+A document's vector is the mean over its words plus the mean over its word pairs. A word's vector is
+half the learned vector of its hashed whole and half the mean of those of its shape and its character
+3- to 5-grams; a pair's is half that of its hashed words and half that of its kind, a word twice or two
+words. A softmax over two classes reads the document's vector. Vectors and softmax are learned together by numpy stochastic gradient descent
+on a bounded sample. At scoring a vector only matters through its product with the softmax, one
+number, so each distinct word costs one look-up and each pair one hash.
 """
 
 from __future__ import annotations
@@ -23,122 +23,137 @@ from pushwave.llm.subwords import Buffer, by_word, in_parts
 
 #: Labelled documents the classifier is fitted on at most, and the longest text among them.
 SAMPLE_DOCS, SAMPLE_CHARS = 3000, 12_000
-BITS, DIM, EPOCHS, BATCH, RATE = 16, 8, 6, 16, 0.35
-#: Training documents a word must be in to be known; weight of unknown words.
-KNOWN_FROM, UNKNOWN = 4, 0.25
-MOST = 300_000
+#: Address bits of the character n-grams', the whole words' and the pairs' rows, which follow one another in one table.
+GRAM_BITS, WORD_BITS, PAIR_BITS = 16, 18, 18
+DIM, EPOCHS, BATCH, RATE = 8, 6, 16, 0.35
+#: Words that a worker remembers at most, and bytes of text that are split into words at a time.
+MOST, CHUNK = 150_000, 2 << 20
 
 _SHAPE = bytes(0x41 if 0x41 <= b <= 0x5A else 0x61 if 0x61 <= b <= 0x7A else 0x30 if 0x30 <= b <= 0x39 else b if b < 0x80 else 0x61 for b in range(256))
+_MIX = np.uint64(0x9E3779B97F4A7C15)
+#: Row of the pairs of two words; the row of the pairs of a word with itself follows.
+_KIND = (1 << GRAM_BITS) + (1 << WORD_BITS) + (1 << PAIR_BITS)
+_ROWS = _KIND + 2
 
 
-#: Stands for a word that repeats its predecessor.
-AGAIN = b"\x01"
+def _inner(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    spelled = Buffer(words)
+    shaped = Buffer([w.translate(_SHAPE) for w in words])
+    return by_word([shaped.whole(2, GRAM_BITS), *(spelled.grams(n, 2 + n, GRAM_BITS) for n in (3, 4, 5))], len(words))
 
 
-def _split(text: bytes | None) -> list[bytes]:
-    words = (text or b"").split()
-    return words[:1] + [AGAIN if a == b else b for a, b in zip(words, words[1:], strict=False)]
+def _whole(words: list[bytes]) -> np.ndarray:
+    """A 62-bit number of each word."""
+    return Buffer(words).whole(1, 62)[1]
 
 
-def _features(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    spelled = Buffer(words)
-    shaped = Buffer([w.translate(_SHAPE) for w in words])
-    parts = [spelled.whole(1, BITS), shaped.whole(2, BITS), *(spelled.grams(n, 2 + n, BITS) for n in (3, 4, 5))]
-    return by_word(parts, len(words))
+def _word_rows(whole: np.ndarray) -> np.ndarray:
+    return (1 << GRAM_BITS) + (whole >> (62 - WORD_BITS))
+
+
+def _pair_rows(whole: np.ndarray) -> np.ndarray:
+    """Row of each pair of neighbours in a sequence of words' numbers."""
+    h = whole.astype(np.uint64)
+    h = (h[:-1] * _MIX + h[1:]) * _MIX
+    h = (h ^ (h >> np.uint64(31))) * _MIX
+    return ((1 << GRAM_BITS) + (1 << WORD_BITS) + (h >> np.uint64(64 - PAIR_BITS))).astype(np.int64)
 
 
 @dataclass
 class QualityModel:
-    """Per bucket one number, per known word its weight and its own number, and the bias."""
+    """Per row of the table one number, and the bias."""
 
-    buckets: np.ndarray
-    known: dict[bytes, tuple[float, float]]
+    number: np.ndarray
     bias: float
     prior: float
     cache: dict[bytes, int] = field(default_factory=dict)
-    worth: list = field(default_factory=list)
-    weight: list = field(default_factory=list)
+    worth: np.ndarray = field(default_factory=lambda: np.zeros(0))
+    whole: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
 
     def __getstate__(self):
-        return (self.buckets, self.known, self.bias, self.prior)
+        return (self.number, self.bias, self.prior)
 
     def __setstate__(self, state):
         self.__init__(*state)
 
     def _learn(self, words: list[bytes]) -> None:
-        bucket, first = _features(words)
-        size = np.diff(np.append(first, len(bucket)))
-        own = np.add.reduceat(self.buckets[bucket].astype(np.float64), first) / size
-        for w, v in zip(words, own.tolist(), strict=True):
-            known = self.known.get(w)
-            self.cache[w] = len(self.worth)
-            weight = UNKNOWN if known is None else known[0]
-            self.worth.append(weight * (v if known is None else (v + known[1]) / 2))
-            self.weight.append(weight)
-
-    def scores(self, texts: list[bytes | None]) -> list[float]:
-        """Probability of label 1; texts without words have the training share of label 1."""
+        inner, first = in_parts(_inner, words)
+        whole = _whole(words)
+        own = np.add.reduceat(self.number[inner].astype(np.float64), first) / np.diff(np.append(first, len(inner)))
+        self.cache.update(zip(words, range(len(self.cache), len(self.cache) + len(words)), strict=True))
+        self.worth = np.append(self.worth, (own + self.number[_word_rows(whole)]) / 2)
+        self.whole = np.append(self.whole, whole)
+
+    def _some(self, texts: list[bytes | None]) -> list[float]:
+        split = [(t or b"").split() for t in texts]
         if len(self.cache) > MOST:
-            self.cache, self.worth, self.weight = {}, [], []
-        split = [_split(t) for t in texts]
-        new = [w for w in set().union(*split) if w not in self.cache] if split else []
-        for s in range(0, len(new), 50_000):
-            self._learn(new[s : s + 50_000])
-        worth, weight, get = np.asarray(self.worth), np.asarray(self.weight), self.cache.__getitem__
-        out = []
+            self.cache, self.worth, self.whole = {}, np.zeros(0), np.zeros(0, np.int64)
+        if new := [w for w in set().union(*split) if w not in self.cache]:
+            self._learn(new)
+        get, out = self.cache.__getitem__, []
         for words in split:
-            if words:
-                at = np.fromiter(map(get, words), np.int64, len(words))
-                logit = float(worth[at].sum() / weight[at].sum()) + self.bias
-                out.append(1 / (1 + np.exp(-max(-30.0, min(30.0, logit)))))
-            else:
+            if not words:
                 out.append(self.prior)
+                continue
+            at = np.fromiter(map(get, words), np.int64, len(words))
+            logit = float(self.worth[at].mean()) + self.bias
+            if len(words) > 1:
+                again = float(np.mean(at[1:] == at[:-1]))
+                logit += float(self.number[_pair_rows(self.whole[at])].mean(dtype=np.float64)) / 2
+                logit += float(self.number[_KIND] * (1 - again) + self.number[_KIND + 1] * again) / 2
+            out.append(1 / (1 + np.exp(-max(-30.0, min(30.0, logit)))))
         return out
 
+    def scores(self, texts: list[bytes | None]) -> list[float]:
+        """Probability of label 1; texts without words have the training share of label 1."""
+        out, part, size = [], [], 0
+        for t in texts:
+            part.append(t)
+            size += len(t or b"")
+            if size >= CHUNK:
+                out += self._some(part)
+                part, size = [], 0
+        return out + self._some(part)
+
 
 def train(texts: list[bytes | None], labels: list[int], seed: int = 7) -> QualityModel:
     """Fit by stochastic gradient descent with per-coordinate rates."""
     labels_ = np.asarray(labels, np.float64)
     prior = float(labels_.mean()) if len(labels_) else 0.5
     if not len(labels_) or prior in (0.0, 1.0):
-        return QualityModel(np.zeros(2**BITS, np.float32), {}, float(np.log((prior + 1e-3) / (1 - prior + 1e-3))), prior)
-    split = [_split(t) for t in texts]
+        return QualityModel(np.zeros(_ROWS, np.float32), float(np.log((prior + 1e-3) / (1 - prior + 1e-3))), prior)
     vocab: dict[bytes, int] = {}
-    counts = []
-    for words in split:
-        ids, n = np.unique(np.fromiter((vocab.setdefault(w, len(vocab)) for w in words), np.int64, len(words)), return_counts=True)
-        counts.append((ids.astype(np.int32), n.astype(np.int32)))
-    df = np.bincount(np.concatenate([c[0] for c in counts]), minlength=len(vocab))
+    sequences = [np.fromiter((vocab.setdefault(w, len(vocab)) for w in (t or b"").split()), np.int64) for t in texts]
     words = list(vocab)
-    bucket, first = in_parts(_features, words)
-    size = np.diff(np.append(first, len(bucket)))
-    is_known = df >= KNOWN_FROM
-    of_one = np.bincount(np.concatenate([c[0] for c, y in zip(counts, labels, strict=True) if y == 1]), minlength=len(vocab))
-    n_one = int(labels_.sum())
-    odds = np.log((of_one + 1) / (n_one + 2)) - np.log((df - of_one + 1) / (len(split) - n_one + 2))
-    weight = np.where(is_known, (0.2 + np.abs(odds)) ** 2, UNKNOWN)
-    own_row = np.cumsum(is_known) - 1 + 2**BITS
-    rng = np.random.default_rng(seed)
-    table_ = rng.normal(0, 0.1, (2**BITS + int(is_known.sum()), DIM))
-    square = np.full(len(table_), 1e-3)
-    out, bias = rng.normal(0, 0.5, DIM), float(np.log(prior / (1 - prior)))
-    out_square, bias_square = np.full(DIM, 1e-2), 1e-2
-    balance = np.where(labels_ == 1, 0.5 / prior, 0.5 / (1 - prior)) ** 0.5
+    inner, first = in_parts(_inner, words)
+    size = np.diff(np.append(first, len(inner)))
+    whole = _whole(words)
+    word_row = _word_rows(whole)
     rows, shares = [], []  # of each document: rows of the table and their share of its vector
-    for ids, n in counts:
-        w = weight[ids] * n
-        total = w.sum() or 1.0
-        half = np.where(is_known[ids], 0.5, 1.0)
-        per = size[ids]
+    for sequence in sequences:
+        ids, n = np.unique(sequence, return_counts=True)
+        w, per = 0.5 * n / max(1, len(sequence)), size[ids]
         at = np.repeat(first[ids] - np.cumsum(per) + per, per) + np.arange(int(per.sum()))
-        r = np.concatenate([bucket[at], own_row[ids[is_known[ids]]]])
-        s = np.concatenate([np.repeat(w * half / per, per), (w * 0.5)[is_known[ids]]]) / total
+        pairs = _pair_rows(whole[sequence])
+        kinds = _KIND + (sequence[1:] == sequence[:-1])
+        r = np.concatenate([inner[at], word_row[ids], pairs, kinds])
+        s = np.concatenate([np.repeat(w / per, per), w, np.full(2 * len(pairs), 0.5 / max(1, len(pairs)))])
         u, back = np.unique(r, return_inverse=True)
         rows.append(u.astype(np.int32))
         shares.append(np.bincount(back, s, len(u)).astype(np.float32))
+    rng = np.random.default_rng(seed)
+    table_ = rng.normal(0, 0.1, (_ROWS, DIM))
+    seen = np.zeros(_ROWS, bool)
+    for r in rows:
+        seen[r] = True
+    table_[~seen] = 0.0  # what the sample doesn't hold says nothing
+    square = np.full(_ROWS, 1e-3)
+    out, bias = rng.normal(0, 0.5, DIM), float(np.log(prior / (1 - prior)))
+    out_square, bias_square = np.full(DIM, 1e-2), 1e-2
+    balance = np.where(labels_ == 1, 0.5 / prior, 0.5 / (1 - prior)) ** 0.5
     for epoch in range(EPOCHS):
         rate = RATE * (1 - epoch / EPOCHS) + 0.02
-        for chunk in np.array_split(rng.permutation(len(split)), max(1, len(split) // BATCH)):
+        for chunk in np.array_split(rng.permutation(len(rows)), max(1, len(rows) // BATCH)):
             chunk = [i for i in chunk.tolist() if len(rows[i])]
             if not chunk:
                 continue
@@ -153,9 +168,7 @@ def train(texts: list[bytes | None], labels: list[int], seed: int = 7) -> Qualit
                 out = out - rate * 0.3 * g_out / np.sqrt(out_square)
                 bias_square += g * g
                 bias -= rate * 0.1 * g / np.sqrt(bias_square)
-    number = (table_ @ out).astype(np.float32)
-    known = {w: (float(weight[i]), float(number[own_row[i]])) for i, w in enumerate(words) if is_known[i]}
-    return QualityModel(number[: 2**BITS], known, float(bias), prior)
+    return QualityModel((table_ @ out).astype(np.float32), float(bias), prior)
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> QualityModel:

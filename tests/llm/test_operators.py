@@ -408,6 +408,32 @@ def test_order_minhash_feels_order(spark):
 # --- models -------------------------------------------------------------------------------------
 
 
+def test_quality_score_is_the_mean_of_words_and_pairs():
+    texts = [b"calm tidy words", b"Spam! Spam! Spam!", b"tidy words calm calm", b"Win! $$$", b"one"]
+    model = quality.train(texts * 4, [1, 0, 1, 0, 1] * 4)
+    slow = []
+    for text in texts:
+        words, number = text.split(), model.number.astype(float)
+        logit = model.bias
+        for w in words:
+            inner, whole = quality._inner([w])[0], quality._whole([w])
+            logit += (number[inner].mean() + number[quality._word_rows(whole)[0]]) / 2 / len(words)
+        for a, b in zip(words, words[1:]):
+            kind = quality._KIND + int(a == b)
+            logit += (number[quality._pair_rows(quality._whole([a, b]))[0]] + number[kind]) / 2 / (len(words) - 1)
+        slow.append(1 / (1 + np.exp(-logit)))
+    assert np.allclose(model.scores(texts), slow)
+    assert [s >= 0.5 for s in slow] == [True, False, True, False, True]
+
+
+def test_quality_held_out_accuracy(spark):
+    prepare(spark)
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    truth = {r["doc_id"]: r["quality"] for r in rows(labels) if r["quality"] is not None}
+    got = [(r["predicted"], truth[r["doc_id"]]) for r in rows(quality.quality_scores(docs, labels)) if r["held_out"] and r["doc_id"] in truth]
+    assert len(got) > 50 and sum(p == y for p, y in got) >= 0.95 * len(got)
+
+
 def test_quality(spark, none):
     prepare(spark)
     good = [(i, f"the plain words of document number {i} are calm and tidy, quite so.") for i in range(0, 200)]
