@@ -566,9 +566,27 @@ def test_common_words_is_the_longest_common_subsequence():
         assert decontaminate.common_words(a, b) == slow(a.tolist(), b.tolist())
 
 
-@pytest.mark.parametrize("dense", [1 << 26, 0])
-def test_decontamination(spark, docs, none, dense, monkeypatch):
+def test_verbatim_items_need_no_latent_space(monkeypatch):
+    """Copies of short, long and templated items are found by their runs alone, across the borders of stretches too."""
+    monkeypatch.setattr(decontaminate, "STRETCH", 512)
+    rng = np.random.default_rng(8)
+    some = lambda n: [b"w%d" % x for x in rng.integers(0, 400, n)]
+    items = [(i, some(int(n))) for i, n in enumerate(rng.integers(4, 90, 60))] + [(60, some(1500)), (61, [b"the"] * 9)]
+    items += [(70 + i, [b"which", b"is", b"the", b"answer", b"of", *some(4)]) for i in range(20)]
+    bench = decontaminate._block(items)
+    blind = np.zeros((len(bench.vocabulary), decontaminate.RANK), np.float32)
+    own = decontaminate.Retriever(bench, decontaminate.Space(rng.random(len(blind)) + 0.1, blind, np.zeros((len(bench.passages), blind.shape[1]), np.float32)))
+    texts = [b" ".join([*some(int(rng.integers(0, 1200))), *words, *some(int(rng.integers(0, 700)))]) for _, words in items]
+    held = [{i for i, (_, words) in enumerate(items) if b" %s " % b" ".join(words) in b" %s " % t} for t in texts]
+    found = [{x[0] for x in f if x[2] == 1.0} for f in own.leaks(texts)]
+    assert all(i in h and h <= f for i, (h, f) in enumerate(zip(held, found, strict=True)))
+    assert own.leaks([None, b"", b"the", b"no word of it"]) == [[], [], [], []]
+
+
+@pytest.mark.parametrize(("dense", "full"), [(1 << 26, 512), (0, 512), (1 << 26, 3)])
+def test_decontamination(spark, docs, none, dense, full, monkeypatch):
     prepare(spark)
+    monkeypatch.setattr(decontaminate, "BLOCK_PASSAGES", full)  # 3: seven blocks in two passes
     monkeypatch.setattr(decontaminate, "DENSE", dense)
     rng = np.random.default_rng(6)
     word = lambda n: " ".join(f"w{int(x)}" for x in rng.zipf(1.4, n) % 3000)
