@@ -43,8 +43,8 @@ def _inner(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _whole(words: list[bytes]) -> np.ndarray:
-    """A 62-bit number of each word."""
-    return Buffer(words).whole(1, 62)[1]
+    """A 62-bit number of each word; in parts, for a buffer's powers stay in memory."""
+    return np.concatenate([Buffer(words[s : s + 20_000]).whole(1, 62)[1] for s in range(0, len(words), 20_000)])
 
 
 def _word_rows(whole: np.ndarray) -> np.ndarray:
@@ -141,13 +141,14 @@ def train(texts: list[bytes | None], labels: list[int], seed: int = 7) -> Qualit
         u, back = np.unique(r, return_inverse=True)
         rows.append(u.astype(np.int32))
         shares.append(np.bincount(back, s, len(u)).astype(np.float32))
+    del vocab, words, inner, sequences
     rng = np.random.default_rng(seed)
-    table_ = rng.normal(0, 0.1, (_ROWS, DIM))
+    table_ = rng.standard_normal((_ROWS, DIM), np.float32) * np.float32(0.1)
     seen = np.zeros(_ROWS, bool)
     for r in rows:
         seen[r] = True
     table_[~seen] = 0.0  # what the sample doesn't hold says nothing
-    square = np.full(_ROWS, 1e-3)
+    square = np.full(_ROWS, 1e-3, np.float32)
     out, bias = rng.normal(0, 0.5, DIM), float(np.log(prior / (1 - prior)))
     out_square, bias_square = np.full(DIM, 1e-2), 1e-2
     balance = np.where(labels_ == 1, 0.5 / prior, 0.5 / (1 - prior)) ** 0.5
@@ -160,7 +161,7 @@ def train(texts: list[bytes | None], labels: list[int], seed: int = 7) -> Qualit
             vectors = np.stack([shares[i] @ table_[rows[i]] for i in chunk])
             slope = (1 / (1 + np.exp(-(vectors @ out + bias))) - labels_[chunk]) * balance[chunk]
             for i, g, v in zip(chunk, slope.tolist(), vectors, strict=True):
-                step = (g * shares[i])[:, None] * out[None, :]
+                step = (g * shares[i])[:, None] * out[None, :].astype(np.float32)
                 square[rows[i]] += (step * step).mean(axis=1)
                 table_[rows[i]] -= rate * step / np.sqrt(square[rows[i]])[:, None]
                 g_out = g * v
