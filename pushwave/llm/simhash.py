@@ -11,18 +11,20 @@ at distance 1 .. radius inside the bucket's free positions with an equi-join, wh
 linear in the members.
 
 Near-dedup (keep_one_similar) asks for a Jaccard similarity of shingle sets, which no small radius of the
-fingerprint reaches. It finds all pairs by prefix filtering and decides each on the whole sets.
+fingerprint reaches. It finds candidates by prefix filtering, links members of a bucket to one
+of them first, so that a group is not listed as all its pairs, and decides every link on the whole sets.
 """
 
 from __future__ import annotations
 
-from itertools import combinations
+from itertools import combinations, count
 
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from pushwave.llm.common import Batches, fresh, raw, table
 from pushwave.llm.components import components
@@ -35,6 +37,9 @@ LIMIT = 4096
 NEAR_SHINGLE, NEAR = 5, (4, 5)
 #: Documents sampled, about, and shingles kept at most, for the order in which sets are searched.
 ORDER_DOCS, ORDER_SHINGLES = 20_000, 50_000
+#: Buckets are compared in whole if that takes at most FEW pairs a row, or once a turn of comparing members
+#: with one of them leaves more than WORTH of the pairs.
+FEW, WORTH = 8, 0.7
 
 
 def fingerprint(text: bytes | None) -> int:
@@ -237,8 +242,8 @@ def _common_shingles(docs: DataFrame) -> np.ndarray:
     text = F.coalesce("text", F.lit(""))
     sample = docs.select(text.alias("text")).filter(F.pmod(F.xxhash64("text"), F.lit(every)) == 0)
     counts = sample.mapInArrow(run, "h long").groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= 4)
-    got = counts.orderBy(F.desc("n"), "h").limit(ORDER_SHINGLES).collect()  # of a fixed number
-    return np.array([r["h"] for r in reversed(got)], np.int64).view(np.uint64)
+    got = counts.orderBy(F.desc("n"), "h").limit(ORDER_SHINGLES).select("h").toArrow()  # of a fixed number
+    return got.column("h").to_numpy()[::-1].astype(np.int64).view(np.uint64)
 
 
 def _set_rows(docs: DataFrame) -> DataFrame:
@@ -292,25 +297,9 @@ def _whole_sets(docs: DataFrame, asked: DataFrame) -> DataFrame:
     return texts.mapInArrow(run, "fp long, grams array<long>").groupBy("fp").agg(F.first("grams").alias("grams"))
 
 
-def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
-    """(a, b) of all pairs of different sets whose Jaccard similarity is NEAR or more; exact.
-
-    What a pair shares of its prefixes bounds what it can have in common: up to the last shared
-    shingle all shared ones are counted, and so are they up to the end of the prefix that ends
-    first. The pairs that are left are decided by the whole sets.
-    """
+def _alike(docs: DataFrame, sets: DataFrame, pairs: DataFrame) -> DataFrame:
+    """The rows of pairs (a, b) whose whole sets have a Jaccard similarity of NEAR or more."""
     up, down = NEAR
-    each = sets.groupBy("fp").agg(F.first("n").alias("n"), F.first("prefix").alias("prefix"))
-    entries = cut(each.select("fp", "n", F.posexplode("prefix").alias("at", "h")), "prefixes")
-    a = entries.select("h", F.col("fp").alias("a"), F.col("n").alias("na"), F.col("at").alias("pa"))
-    b = entries.select("h", F.col("fp").alias("b"), F.col("n").alias("nb"), F.col("at").alias("pb"))
-    after = F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) - 1
-    needed = (F.col("na") + F.col("nb")) * up
-    once = (F.col("na") < F.col("nb")) | ((F.col("na") == F.col("nb")) & (F.col("a") < F.col("b")))
-    able = (F.col("na") * down >= F.col("nb") * up) & ((F.least("pa", "pb") + 1 + after) * (up + down) >= needed)
-    met = a.join(b, "h").filter(once & able).groupBy("a", "b", "na", "nb").agg(F.count(F.lit(1)).alias("n"), F.max("pa").alias("pa"), F.max("pb").alias("pb"))
-    beyond = F.ceil(F.col("nb") * up / down) - 1  # nb is the greater
-    pairs = cut(met.filter(((F.col("n") + after) * (up + down) >= needed) & ((F.col("n") + beyond) * (up + down) >= needed)).select("a", "b"), "pairs")
     ends = pairs.select(F.col("a").alias("fp")).unionByName(pairs.select(F.col("b").alias("fp"))).distinct()
     asked = cut(sets.select("fp", "tid").join(ends, "fp", "left_semi").groupBy("fp").agg(F.min("tid").alias("tid")).select("tid"), "asked")
     whole = cut(_whole_sets(docs, asked), "sets")
@@ -320,6 +309,87 @@ def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
     return both.filter(shared * (up + down) >= (F.size("ga") + F.size("gb")) * up).select("a", "b")
 
 
+def _prefix_rows(sets: DataFrame) -> DataFrame:
+    """(h, fp, n, at, before, lone): the prefix shingles that different sets share.
+
+    at: place in the prefix; before: how many of the places before it are shared by any set, so at most
+    that many are common to a pair; lone: shingles of the prefix that no other set has there.
+    """
+    each = sets.groupBy("fp").agg(F.first("n").alias("n"), F.first("prefix").alias("prefix"))
+    entries = cut(each.select("fp", "n", F.size("prefix").alias("kept"), F.posexplode("prefix").alias("at", "h")), "prefixes")
+    shared = entries.groupBy("h").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").select("h")
+    own = Window.partitionBy("fp")  # rows of one set
+    both = entries.join(shared, "h", "left_semi")
+    before = F.row_number().over(own.orderBy("at")) - 1
+    return cut(both.select("h", "fp", "n", "at", before.alias("before"), (F.col("kept") - F.count(F.lit(1)).over(own)).alias("lone")), "shared")
+
+
+def _mixed(entries: DataFrame, links: DataFrame | None) -> DataFrame:
+    """The entries of buckets that hold more than one class, with root, the class that links make, main, the
+    class that most rows of the bucket are in, and size and others, the rows of the bucket and those outside main."""
+    if links is None:
+        rooted = entries.withColumn("root", F.col("fp"))
+    else:
+        found = components(links).select(F.col("node").alias("fp"), "root")
+        rooted = cut(entries.join(found, "fp", "left").withColumn("root", F.coalesce("root", "fp")), "rooted")
+    held = rooted.groupBy("h", "root").agg(F.count(F.lit(1)).alias("k"))
+    main = held.groupBy("h").agg(F.max(F.struct("k", "root")).alias("top"), F.sum("k").alias("size"))
+    open_ = main.filter(F.col("top.k") < F.col("size")).select("h", F.col("top.root").alias("main"), "size", (F.col("size") - F.col("top.k")).alias("others"))
+    return cut(rooted.join(open_, "h"), "mixed")
+
+
+def _hub_pairs(mixed: DataFrame, turn: int) -> DataFrame:
+    """(a, b): in each bucket of more than FEW rows one member with each of the other classes.
+
+    In the first turn it is a member whose prefix is shared most, as that of a text is of which the others are
+    edited copies; then any member.
+    """
+    large = mixed.filter(F.col("size") > FEW)
+    order = F.struct(F.col("lone") if turn == 0 else F.lit(0), F.xxhash64("fp", F.lit(turn)), "fp", "n", "root")
+    hubs = large.groupBy("h").agg(F.min(order).alias("hub")).select("h", F.col("hub.fp").alias("hub"), F.col("hub.n").alias("hub_n"), F.col("hub.root").alias("hub_root"))
+    near = F.least("n", "hub_n") * NEAR[1] >= F.greatest("n", "hub_n") * NEAR[0]
+    return large.join(hubs, "h").filter((F.col("root") != F.col("hub_root")) & near).select(F.least("fp", "hub").alias("a"), F.greatest("fp", "hub").alias("b")).distinct()
+
+
+def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
+    """(a, b) links whose components are those of all pairs of different sets with a Jaccard similarity of
+    NEAR or more; every link is such a pair.
+
+    Sets that share a prefix shingle meet in its bucket. First the members of a bucket are compared with
+    one of them, so a large group of near copies becomes one class in work linear in its rows. Turns
+    end when the pairs that are left are few for the rows, or when a turn links little. Then all pairs
+    of different classes are compared: what a pair shares of its prefixes bounds what it can have in
+    common (up to the last shared shingle all shared ones are counted, and so are they up to the end of
+    the prefix that ends first), and whole sets decide.
+    """
+    up, down = NEAR
+    entries = _prefix_rows(sets)
+    links = left = None
+    for turn in count():
+        mixed = _mixed(entries, links)
+        rows, pairs = mixed.agg(F.count(F.lit(1)), F.sum(F.col("others").cast("double"))).first()
+        if not rows or pairs <= FEW * rows or (left is not None and pairs > left * WORTH):
+            break
+        left = pairs
+        more = _alike(docs, sets, cut(_hub_pairs(mixed, turn), "hubs"))
+        links = cut(more if links is None else links.unionByName(more), "near-links")
+    fields = ("fp", "n", "at", "before", "root")
+    a = mixed.filter("root <> main").select("h", *(F.col(c).alias(f"{c}_a") for c in fields))
+    b = mixed.select("h", "main", *(F.col(c).alias(f"{c}_b") for c in fields))
+    once = (F.col("root_b") == F.col("main")) | (F.col("fp_a") < F.col("fp_b"))
+    after = F.least(F.col("n_a") - F.col("at_a"), F.col("n_b") - F.col("at_b")) - 1
+    needed = (F.col("n_a") + F.col("n_b")) * up
+    able = (F.least("n_a", "n_b") * down >= F.greatest("n_a", "n_b") * up) & ((F.least("before_a", "before_b") + 1 + after) * (up + down) >= needed)
+    met = a.join(b, "h").filter((F.col("root_a") != F.col("root_b")) & once & able)
+    first = F.col("fp_a") < F.col("fp_b")
+    ends = [F.when(first, F.col(f"{c}_{x}")).otherwise(F.col(f"{c}_{y}")).alias(f"{c}_{x}") for c in ("fp", "n", "at") for x, y in ("ab", "ba")]
+    sums = met.select(*ends).groupBy("fp_a", "fp_b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("n"), F.max("at_a").alias("at_a"), F.max("at_b").alias("at_b"))
+    beyond = F.ceil(F.greatest("n_a", "n_b") * up / down) - 1
+    able = ((F.col("n") + after) * (up + down) >= needed) & ((F.col("n") + beyond) * (up + down) >= needed)
+    found = _alike(docs, sets, cut(sums.filter(able).select(F.col("fp_a").alias("a"), F.col("fp_b").alias("b")), "pairs"))
+    return found if links is None else links.unionByName(found)
+
+
 def _near_classes(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """As _classes, of shingle sets: fp stands for the set, links are pairs of similarity NEAR or more."""
     sets = cut(_set_rows(docs), "shingle-sets")
