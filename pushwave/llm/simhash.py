@@ -40,6 +40,8 @@ ORDER_DOCS, ORDER_SHINGLES = 20_000, 50_000
 #: Buckets are compared in whole if that takes at most FEW pairs a row, or once a turn of comparing members
 #: with one of them leaves more than WORTH of the pairs.
 FEW, WORTH = 8, 0.7
+#: Bits of a set's parities, a multiple of 64; more bits tell longer sets apart, any number finds the same pairs.
+PARITIES = 256
 
 
 def fingerprint(text: bytes | None) -> int:
@@ -222,6 +224,16 @@ def shingle_set(text: bytes | None) -> np.ndarray:
     return np.unique(np.fromiter((digest(b" ".join(g), SEED) for g in grams), np.uint64))
 
 
+def _parities(grams: np.ndarray) -> np.ndarray:
+    """PARITIES bits: bit i is odd if an odd number of the hashes is i modulo PARITIES.
+
+    Every shingle that only one of two sets holds changes one bit, so two sets differ in at least as many
+    shingles as their parities differ in bits.
+    """
+    held = np.bincount((grams % np.uint64(PARITIES)).astype(np.int64), minlength=PARITIES)
+    return np.packbits((held & 1).astype(np.uint8)).view(np.int64)
+
+
 def _set_id(grams: np.ndarray) -> int:
     return _signed(xxhash.xxh64_intdigest(grams.tobytes(), SEED))
 
@@ -247,7 +259,8 @@ def _common_shingles(docs: DataFrame) -> np.ndarray:
 
 
 def _set_rows(docs: DataFrame) -> DataFrame:
-    """(doc_id, tid, fp, n, prefix): fp stands for the set; prefix: its first shingles in the common order.
+    """(doc_id, tid, fp, n, prefix, odd): fp stands for the set; prefix: its first shingles in the common order;
+    odd: its parities.
 
     Sets of n and m shingles with a Jaccard similarity of NEAR share one of the first n - ceil(NEAR n) + 1
     and m - ceil(NEAR m) + 1 shingles in any order.
@@ -255,7 +268,7 @@ def _set_rows(docs: DataFrame) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(_common_shingles(docs))
 
     def run(batches: Batches) -> Batches:
-        schema = pa.schema([("doc_id", pa.int64()), ("tid", pa.int64()), ("fp", pa.int64()), ("n", pa.int32()), ("prefix", pa.list_(pa.int64()))])
+        schema = pa.schema([("doc_id", pa.int64()), ("tid", pa.int64()), ("fp", pa.int64()), ("n", pa.int32()), ("prefix", pa.list_(pa.int64())), ("odd", pa.list_(pa.int64()))])
         common = shared.value
         rank = np.argsort(common, kind="stable")
         known = common[rank]
@@ -269,7 +282,7 @@ def _set_rows(docs: DataFrame) -> DataFrame:
                     at = np.minimum(np.searchsorted(known, grams), len(known) - 1)
                     first = grams[np.argsort(np.where(known[at] == grams, rank[at], -1), kind="stable")]
                 keep = n - -(-NEAR[0] * n // NEAR[1]) + 1 if n else 0
-                rows.append((doc_id, tid, _set_id(grams), n, first[:keep].view(np.int64)))
+                rows.append((doc_id, tid, _set_id(grams), n, first[:keep].view(np.int64), _parities(grams)))
                 size += keep
                 if size > 200_000:
                     yield table(schema, *zip(*rows, strict=True))
@@ -279,7 +292,7 @@ def _set_rows(docs: DataFrame) -> DataFrame:
 
     text = F.coalesce("text", F.lit(""))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("tid"), text.alias("text"))
-    return rows.mapInArrow(run, "doc_id long, tid long, fp long, n int, prefix array<long>")
+    return rows.mapInArrow(run, "doc_id long, tid long, fp long, n int, prefix array<long>, odd array<long>")
 
 
 def _whole_sets(docs: DataFrame, asked: DataFrame) -> DataFrame:
@@ -358,9 +371,9 @@ def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
     Sets that share a prefix shingle meet in its bucket. First the members of a bucket are compared with
     one of them, so a large group of near copies becomes one class in work linear in its rows. Turns
     end when the pairs that are left are few for the rows, or when a turn links little. Then all pairs
-    of different classes are compared: what a pair shares of its prefixes bounds what it can have in
-    common (up to the last shared shingle all shared ones are counted, and so are they up to the end of
-    the prefix that ends first), and whole sets decide.
+    of different classes are compared: their parities and what they share of their prefixes bound what they can
+    have in common (up to the last shared shingle all shared ones are counted, and so are they up to the
+    end of the prefix that ends first), and whole sets decide.
     """
     up, down = NEAR
     entries = _prefix_rows(sets)
@@ -373,14 +386,19 @@ def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
         left = pairs
         more = _alike(docs, sets, cut(_hub_pairs(mixed, turn), "hubs"))
         links = cut(more if links is None else links.unionByName(more), "near-links")
-    fields = ("fp", "n", "at", "before", "root")
+    odd = sets.groupBy("fp").agg(F.first("odd").alias("odd"))
+    words = [F.col("odd")[i].alias(f"odd{i}") for i in range(PARITIES // 64)]
+    mixed = mixed.join(odd, "fp").select(*mixed.columns, *words)
+    fields = ("fp", "n", "at", "before", "root", *(f"odd{i}" for i in range(PARITIES // 64)))
     a = mixed.filter("root <> main").select("h", *(F.col(c).alias(f"{c}_a") for c in fields))
     b = mixed.select("h", "main", *(F.col(c).alias(f"{c}_b") for c in fields))
     once = (F.col("root_b") == F.col("main")) | (F.col("fp_a") < F.col("fp_b"))
     after = F.least(F.col("n_a") - F.col("at_a"), F.col("n_b") - F.col("at_b")) - 1
     needed = (F.col("n_a") + F.col("n_b")) * up
     able = (F.least("n_a", "n_b") * down >= F.greatest("n_a", "n_b") * up) & ((F.least("before_a", "before_b") + 1 + after) * (up + down) >= needed)
-    met = a.join(b, "h").filter((F.col("root_a") != F.col("root_b")) & once & able)
+    differ = sum((F.bit_count(F.col(f"odd{i}_a").bitwiseXOR(F.col(f"odd{i}_b"))) for i in range(PARITIES // 64)), F.lit(0))
+    close = differ * (up + down) <= (F.col("n_a") + F.col("n_b")) * (down - up)
+    met = a.join(b, "h").filter((F.col("root_a") != F.col("root_b")) & once & able & close)
     first = F.col("fp_a") < F.col("fp_b")
     ends = [F.when(first, F.col(f"{c}_{x}")).otherwise(F.col(f"{c}_{y}")).alias(f"{c}_{x}") for c in ("fp", "n", "at") for x, y in ("ab", "ba")]
     sums = met.select(*ends).groupBy("fp_a", "fp_b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("n"), F.max("at_a").alias("at_a"), F.max("at_b").alias("at_b"))

@@ -56,3 +56,27 @@ def test_near_duplicates_of_the_small_table(spark):
     rows = [(r["doc_id"], r["text"]) for r in table.collect()]
     stage = dict(corpus_pipeline.STAGES)["SimHash near-dedup"]
     assert {r["doc_id"] for r in stage(spark, table, "").collect()} == _kept(rows)
+
+
+def test_a_large_group_of_edited_copies_equals_brute_force(spark):
+    prepare(spark)
+    rng = np.random.default_rng(8)
+    first = [f"w{int(x)}" for x in rng.integers(0, 4000, 150)]
+    rows = []
+    for i in range(160):  # up to six edits, so that some reach the others by one link alone and some by none
+        words = list(first)
+        for at in rng.choice(len(words), i % 7, replace=False):
+            words[int(at)] = f"x{int(rng.integers(0, 99999))}"
+        rows.append((1000 - i, " ".join(words)))
+    got = {r["doc_id"] for r in simhash.keep_one_similar(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == _kept(rows)
+    assert 1 < len(got) < 160
+
+
+def test_parities_differ_in_no_more_bits_than_sets_in_shingles():
+    rng = np.random.default_rng(4)
+    for size in (0, 1, 5, 200, 5000):
+        both = rng.integers(0, 2**63, size).astype(np.uint64)
+        own = rng.integers(0, 2**63, 2 + size // 9).astype(np.uint64)
+        changed = simhash._parities(both) ^ simhash._parities(np.unique(np.concatenate([both, own])))
+        assert int(np.bitwise_count(changed.view(np.uint64)).sum()) <= len(own)
