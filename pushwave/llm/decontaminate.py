@@ -2,9 +2,9 @@
 
 Passages and benchmark items are TF-IDF vectors over the benchmark's words; document frequencies
 count every document. A randomised SVD gives the latent space: all tasks sum, over their passages,
-the products of a random test matrix with the counts, and the benchmark's items join with a weight;
-one pass over a bounded sample of documents is enough, since the sketch of a Gram matrix yields its
-leading eigenvectors. Then every window of every document is projected and compared with every item
+the products of a random test matrix with the counts of every document, and the benchmark's items join
+with a weight; one pass is enough, since the sketch of a Gram matrix yields its leading
+eigenvectors. Then every window of every document is projected and compared with every item
 by cosine. So that no verbatim copy hangs on the latent space, windows that hold the rarest run of
 four words of a passage's half are candidates too. Candidates are settled by the longest common
 subsequence of words, bit-parallel, and by whether the item's last words (its answer) turn up, which
@@ -17,7 +17,6 @@ and a pass over the documents takes several blocks. A benchmark of any size is c
 
 from __future__ import annotations
 
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import reduce
@@ -35,8 +34,8 @@ from pushwave.plans.durable import cut
 BLOCK, WIDE, STEP, PASSAGE = 8, 8, 3, 40
 #: Least and most latent directions of a block, passages for one direction, columns of the sketch beyond them.
 RANK, MOST_RANK, PER_RANK, SPARE, SEED = 64, 128, 4, 48, 5
-#: Documents that the latent space is fitted on, about (chosen by the hash of their text).
-FIT_DOCS = 20_000
+#: Passages that a task adds to the sketch at a time.
+TOGETHER = 128
 #: Least cosine of a candidate, and least part of the passage's latent energy that the window holds; least share of the item in common; the same if its answer (last words)
 #: is there; least share of the item's idf that its words near the window bring together.
 COSINE, HOLDS, SHARE, SHARE_WITH_ANSWER, ANSWER, RARE_SHARE = 0.4, 0.4, 0.6, 0.5, 4, 0.5
@@ -115,6 +114,43 @@ def _sketch(ids: np.ndarray, passage: np.ndarray, test: np.ndarray, out: np.ndar
         np.add.at(out, ids, weight * products[at])
 
 
+class CorpusSketch:
+    """The sketch of many passages. The counts of TOGETHER passages meet the test matrix as a dense table of the
+    words that they hold, so a word costs no row of its own."""
+
+    def __init__(self, n: int, sketch: int):
+        self.n = n
+        self.test, self.gram = _test_matrix(n, sketch).astype(np.float32), np.zeros((n, sketch))
+        self.column, self.used = np.zeros(n, np.int64), np.zeros(n, bool)
+        self.held: list[tuple[np.ndarray, np.ndarray]] = []
+        self.waiting, self.n_passages = 0, 0
+
+    def add(self, ids: np.ndarray, passage: np.ndarray, n_passages: int) -> None:
+        """Words ids in ascending passages of a text's n_passages, some perhaps without a word."""
+        self.held.append((ids, passage + self.waiting))
+        self.waiting += n_passages
+        self.n_passages += n_passages
+        if self.waiting >= TOGETHER:
+            self.flush()
+
+    def flush(self) -> None:
+        if not self.held:
+            return
+        ids, passage = (np.concatenate(x) for x in zip(*self.held, strict=True))
+        self.held, self.waiting, low = [], 0, 0
+        while low < len(ids):
+            begin = int(passage[low])
+            high = int(np.searchsorted(passage, begin + TOGETHER))
+            some, rows = ids[low:high], passage[low:high] - begin
+            self.used[some] = True
+            words = np.flatnonzero(self.used)
+            self.used[words], self.column[words] = False, np.arange(len(words))
+            counts = np.zeros((int(rows[-1]) + 1, len(words)), np.float32)
+            np.add.at(counts.reshape(-1), rows * len(words) + self.column[some], np.float32(1))
+            self.gram[words] += counts.T @ (counts @ self.test[words])
+            low = high
+
+
 @dataclass(frozen=True)
 class Space:
     """word: latent row of each vocabulary word, idf included; passages: their latent vectors; idf of each word."""
@@ -166,33 +202,31 @@ def common_words(item: np.ndarray, stretch: np.ndarray) -> int:
 
 
 def fit(docs: DataFrame, bench: Benchmark, n_docs: int) -> Space:
-    """Frequencies over all documents, the sketch over about FIT_DOCS of them."""
+    """Frequencies and the sketch over all documents."""
     spark = docs.sparkSession
     sketch = rank_of(len(bench.passages)) + SPARE
-    every = max(1, n_docs // FIT_DOCS)
     shared = spark.sparkContext.broadcast(bench.vocabulary)
 
     def run(batches: Batches) -> Batches:
         vocabulary = shared.value
-        get, n = vocabulary.get, len(vocabulary)
-        test, gram = _test_matrix(n, sketch), np.zeros((n, sketch))
-        frequency, n_passages = np.zeros(n, np.int64), 0
+        n = len(vocabulary)
+        corpus, frequency = CorpusSketch(n, sketch), np.zeros(n, np.int64)
         for b in batches:
             for text in raw(b, "text"):
                 words = words_of(text)
-                held = set(map(get, words))
-                held.discard(None)
-                frequency[list(held)] += 1
-                if words and zlib.crc32(text) % every == 0:
-                    for s in range(0, len(words), STRETCH):
-                        ids = _codes(words[s : s + STRETCH], vocabulary)
-                        at = np.flatnonzero(ids >= 0)
-                        _sketch(ids[at], at // (BLOCK * WIDE), test, gram)
-                        n_passages += -(-len(ids) // (BLOCK * WIDE))
+                held = np.zeros(0, np.int64)
+                for s in range(0, len(words), STRETCH):
+                    ids = _codes(words[s : s + STRETCH], vocabulary)
+                    at = np.flatnonzero(ids >= 0)
+                    corpus.add(ids[at], at // (BLOCK * WIDE), -(-len(ids) // (BLOCK * WIDE)))
+                    held = np.unique(np.concatenate([held, ids[at]]))
+                frequency[held] += 1
+        corpus.flush()
+        gram, n_passages = corpus.gram, corpus.n_passages
         schema = pa.schema([("word", pa.int32()), ("n", pa.int64()), ("row", pa.list_(pa.float64()))])
         used = np.flatnonzero(frequency)
         yield table(schema, [-1, *used], [n_passages, *frequency[used]], [[]] * (len(used) + 1))
-        used = np.flatnonzero(gram.any(axis=1))  # none in a task without a document of the sample
+        used = np.flatnonzero(gram.any(axis=1))  # none in a task without a word of the benchmark
         if len(used):
             yield table(schema, used, np.zeros(len(used), np.int64), gram[used].tolist())
 
