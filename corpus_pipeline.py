@@ -22,7 +22,7 @@ def distinct_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates (five-word shingles, Jaccard similarity from 0.8)."""
+    """One document of each group of near duplicates: fingerprints within 2 bits, or five-word shingles with a Jaccard similarity from 0.8."""
     prepare(spark)
     return simhash.keep_one_similar(docs)
 

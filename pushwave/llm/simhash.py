@@ -10,9 +10,11 @@ in a second pass, and one above the size limit by probing: each member looks up
 at distance 1 .. radius inside the bucket's free positions with an equi-join, which is exact and
 linear in the members.
 
-Near-dedup (keep_one_similar) asks for a Jaccard similarity of shingle sets, which no small radius of the
-fingerprint reaches. It finds candidates by prefix filtering, links members of a bucket to one
-of them first, so that a group is not listed as all its pairs, and decides every link on the whole sets.
+Near-dedup (keep_one_similar) links texts by their fingerprints first, as operator 3 does, and loses none of
+these links. No small radius of the fingerprint reaches all pairs of a stated Jaccard similarity of shingle
+sets, so an exact search for these follows among the classes that fingerprints leave: it finds candidates by
+prefix filtering, links members of a bucket to one of them first, so that a group is not listed as all its
+pairs, and decides each of its links on the whole sets.
 """
 
 from __future__ import annotations
@@ -259,8 +261,8 @@ def _common_shingles(docs: DataFrame) -> np.ndarray:
 
 
 def _set_rows(docs: DataFrame) -> DataFrame:
-    """(doc_id, tid, fp, n, prefix, odd): fp stands for the set; prefix: its first shingles in the common order;
-    odd: its parities.
+    """(doc_id, tid, fp, mark, n, prefix, odd): fp stands for the set; mark: the fingerprint of the text; prefix: the
+    set's first shingles in the common order; odd: its parities.
 
     Sets of n and m shingles with a Jaccard similarity of NEAR share one of the first n - ceil(NEAR n) + 1
     and m - ceil(NEAR m) + 1 shingles in any order.
@@ -268,7 +270,7 @@ def _set_rows(docs: DataFrame) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(_common_shingles(docs))
 
     def run(batches: Batches) -> Batches:
-        schema = pa.schema([("doc_id", pa.int64()), ("tid", pa.int64()), ("fp", pa.int64()), ("n", pa.int32()), ("prefix", pa.list_(pa.int64())), ("odd", pa.list_(pa.int64()))])
+        schema = pa.schema([("doc_id", pa.int64()), ("tid", pa.int64()), ("fp", pa.int64()), ("mark", pa.int64()), ("n", pa.int32()), ("prefix", pa.list_(pa.int64())), ("odd", pa.list_(pa.int64()))])
         common = shared.value
         rank = np.argsort(common, kind="stable")
         known = common[rank]
@@ -282,7 +284,7 @@ def _set_rows(docs: DataFrame) -> DataFrame:
                     at = np.minimum(np.searchsorted(known, grams), len(known) - 1)
                     first = grams[np.argsort(np.where(known[at] == grams, rank[at], -1), kind="stable")]
                 keep = n - -(-NEAR[0] * n // NEAR[1]) + 1 if n else 0
-                rows.append((doc_id, tid, _set_id(grams), n, first[:keep].view(np.int64), _parities(grams)))
+                rows.append((doc_id, tid, _set_id(grams), _signed(fingerprint(text)), n, first[:keep].view(np.int64), _parities(grams)))
                 size += keep
                 if size > 200_000:
                     yield table(schema, *zip(*rows, strict=True))
@@ -292,7 +294,7 @@ def _set_rows(docs: DataFrame) -> DataFrame:
 
     text = F.coalesce("text", F.lit(""))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("tid"), text.alias("text"))
-    return rows.mapInArrow(run, "doc_id long, tid long, fp long, n int, prefix array<long>, odd array<long>")
+    return rows.mapInArrow(run, "doc_id long, tid long, fp long, mark long, n int, prefix array<long>, odd array<long>")
 
 
 def _whole_sets(docs: DataFrame, asked: DataFrame) -> DataFrame:
@@ -364,9 +366,20 @@ def _hub_pairs(mixed: DataFrame, turn: int) -> DataFrame:
     return large.join(hubs, "h").filter((F.col("root") != F.col("hub_root")) & near).select(F.least("fp", "hub").alias("a"), F.greatest("fp", "hub").alias("b")).distinct()
 
 
-def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
-    """(a, b) links whose components are those of all pairs of different sets with a Jaccard similarity of
-    NEAR or more; every link is such a pair.
+def _marked_links(sets: DataFrame, radius: int) -> DataFrame:
+    """(a, b) links of sets, whose components are those of all texts with fingerprints within radius; sets: fp, mark."""
+    both = cut(sets.select("fp", "mark").distinct(), "marks")
+    heads = cut(both.groupBy("mark").agg(F.min("fp").alias("head")), "heads")  # one set stands for each fingerprint
+    same = both.join(heads, "mark").filter("fp <> head").select(F.col("head").alias("a"), F.col("fp").alias("b"))
+    near = links(heads.select(F.col("mark").alias("fp")), radius)
+    a, b = (heads.select(F.col("mark").alias(m), F.col("head").alias(h)) for m, h in (("a", "ha"), ("b", "hb")))
+    apart = near.join(a, "a").join(b, "b").filter("ha <> hb").select(F.col("ha").alias("a"), F.col("hb").alias("b"))
+    return cut(same.unionByName(apart), "marked-links")
+
+
+def similar_sets(docs: DataFrame, sets: DataFrame, links: DataFrame | None = None) -> DataFrame:
+    """(a, b) links whose components are those of links and of all pairs of different sets with a Jaccard similarity
+    of NEAR or more; every link that is not of links is such a pair.
 
     Sets that share a prefix shingle meet in its bucket. First the members of a bucket are compared with
     one of them, so a large group of near copies becomes one class in work linear in its rows. Turns
@@ -376,8 +389,7 @@ def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
     end of the prefix that ends first), and whole sets decide.
     """
     up, down = NEAR
-    entries = _prefix_rows(sets)
-    links = left = None
+    entries, left = _prefix_rows(sets), None
     for turn in count():
         mixed = _mixed(entries, links)
         rows, pairs = mixed.agg(F.count(F.lit(1)), F.sum(F.col("others").cast("double"))).first()
@@ -408,10 +420,11 @@ def similar_sets(docs: DataFrame, sets: DataFrame) -> DataFrame:
     return found if links is None else links.unionByName(found)
 
 
-def _near_classes(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """As _classes, of shingle sets: fp stands for the set, links are pairs of similarity NEAR or more."""
+def _near_classes(docs: DataFrame, radius: int) -> tuple[DataFrame, DataFrame]:
+    """As _classes, of shingle sets: fp stands for the set; links are those of fingerprints and pairs of similarity
+    NEAR or more."""
     sets = cut(_set_rows(docs), "shingle-sets")
-    found = components(similar_sets(docs, sets))
+    found = components(similar_sets(docs, sets, _marked_links(sets, radius)))
     return sets.select("doc_id", "tid", "fp"), cut(found.select(F.col("node").alias("f"), "root"), "components")
 
 
@@ -457,13 +470,14 @@ def keep_one(docs: DataFrame, radius: int = 2) -> DataFrame:
     return _first_of_each(docs, *_classes(docs, radius))
 
 
-def keep_one_similar(docs: DataFrame) -> DataFrame:
-    """As keep_one, but near duplicates are linked by a Jaccard similarity of NEAR or more.
+def keep_one_similar(docs: DataFrame, radius: int = 2) -> DataFrame:
+    """As keep_one, but near duplicates are linked by fingerprints within radius or by a Jaccard similarity of NEAR
+    or more of their shingle sets.
 
     The sets are those of shingles of NEAR_SHINGLE words. Texts of fewer words are one shingle;
     texts without words are copies of each other.
     """
-    return _first_of_each(docs, *_near_classes(docs))
+    return _first_of_each(docs, *_near_classes(docs, radius))
 
 
 def _first_of_each(docs: DataFrame, fps: DataFrame, linked: DataFrame) -> DataFrame:

@@ -2,7 +2,8 @@
 
 import numpy as np
 
-from pushwave.llm import decontaminate
+import corpus_pipeline
+from pushwave.llm import decontaminate, simhash
 from pushwave.llm.common import prepare
 
 
@@ -31,3 +32,19 @@ def test_the_latent_space_is_fitted_on_every_document(spark, monkeypatch):
     assert n_passages == passages and (frequency == often).all()
     want = want @ decontaminate._test_matrix(n, gram.shape[1])
     assert np.allclose(gram, want, rtol=0, atol=1e-5 * np.abs(want).max())
+
+
+def test_near_dedup_links_by_fingerprints(spark):
+    """Two texts of one refrain have one fingerprint, though few of their different shingles are the same."""
+    prepare(spark)
+    rng = np.random.default_rng(5)
+    own = lambda: " ".join(f"v{int(x)}" for x in rng.integers(0, 9999, 60))
+    rows = [(7, "row the boat " * 400 + own()), (8, "row the boat " * 400 + own()), (9, own()), (10, None), (11, own())]
+    rows.append((12, "at first " + rows[2][1] + " the end"))  # similar to 9, and its fingerprint is further off
+    marks = [simhash.fingerprint((t or "").encode()) for _, t in rows]
+    assert (marks[0] ^ marks[1]).bit_count() <= 2 < (marks[2] ^ marks[5]).bit_count()
+    sets = [set(simhash.shingle_set(t.encode()).tolist()) for _, t in rows[:2]]
+    assert 5 * len(sets[0] & sets[1]) < 4 * len(sets[0] | sets[1])
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    stage = dict(corpus_pipeline.STAGES)["SimHash near-dedup"]
+    assert {r["doc_id"] for r in stage(spark, df, "").collect()} == {7, 9, 10, 11}
