@@ -26,6 +26,8 @@ K1, B = 1.2, 0.75
 SEEDS, DOCS, KEPT = 2048, 512, 8
 #: Share of a block's seeds that hold a term from which on it is a dense column.
 DENSE = 0.04
+#: Ids of documents that are sorted together.
+TOGETHER = 1 << 20
 #: Documents of one in this many, by hash, tighten the floors before all are searched.
 PROBE = 10
 
@@ -49,13 +51,34 @@ class Statistics:
         return (idf[terms] * times * (K1 + 1) / (times + norm)).astype(np.float32)
 
 
-def term_rows(ids: np.ndarray) -> tuple[bytes, bytes]:
-    """(terms, times) of a document that is not empty, packed: terms as its ids are, times in 2 bytes
-    each or, if one needs more, in 4."""
-    flat = np.sort(ids)
-    first = np.flatnonzero(np.concatenate([[True], flat[1:] != flat[:-1]]))
-    times = np.diff(first, append=len(flat))
-    return flat[first].tobytes(), times.astype("<u2" if len(flat) < 65536 else "<u4").tobytes()
+def term_rows(docs: list[bytes], dtype: np.dtype) -> tuple[list[bytes], list[bytes]]:
+    """(terms, times) of documents (packed ids, none empty), packed: terms as ids are, times in 2 bytes each or,
+    if one of the document may need more, in 4. Documents are sorted together, about TOGETHER ids at a time."""
+    sizes = np.fromiter(map(len, docs), np.int64, len(docs)) // dtype.itemsize
+    border, terms, times, s = np.cumsum(sizes), [], [], 0
+    while s < len(docs):
+        e = max(s + 1, int(np.searchsorted(border, (border[s - 1] if s else 0) + TOGETHER, side="right")))
+        bits = 8 * dtype.itemsize
+        e = min(e, s + (1 << bits))
+        wide = np.uint32 if bits == 16 else np.uint64  # document, then id
+        key = np.repeat(np.arange(e - s, dtype=wide) << wide(bits), sizes[s:e])
+        key |= np.frombuffer(b"".join(docs[s:e]), dtype)
+        key.sort()
+        new = np.ones(len(key), bool)
+        np.not_equal(key[1:], key[:-1], out=new[1:])
+        first = np.flatnonzero(new)
+        count = np.diff(first, append=len(key))
+        at = np.searchsorted(first, np.append(0, border[s:e] - border[s] + sizes[s])).tolist()
+        ids, short, long_ = key[first].astype(dtype).tobytes(), count.astype("<u2").tobytes(), None
+        for lo, hi, n in zip(at, at[1:], sizes[s:e].tolist(), strict=False):
+            terms.append(ids[lo * dtype.itemsize : hi * dtype.itemsize])
+            if n < 65536:
+                times.append(short[2 * lo : 2 * hi])
+            else:
+                long_ = count.astype("<u4").tobytes() if long_ is None else long_
+                times.append(long_[4 * lo : 4 * hi])
+        s = e
+    return terms, times
 
 
 def unpack_times(times: list[bytes], sizes: np.ndarray) -> np.ndarray:

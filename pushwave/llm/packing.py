@@ -43,8 +43,7 @@ def tokenized(docs: DataFrame, vocabulary: str, end_id: int) -> DataFrame:
         end = np.array([end_id], ids.dtype).tobytes()
         for b in batches:
             found = [d + end for d in ids.encode(raw(b, "text"))]
-            packed = [bm25.term_rows(np.frombuffer(d, ids.dtype)) for d in found]
-            yield table(schema, np.arange(key, key + len(found)), b.column("doc_id"), [len(d) // ids.dtype.itemsize for d in found], found, [p[0] for p in packed], [p[1] for p in packed])
+            yield table(schema, np.arange(key, key + len(found)), b.column("doc_id"), [len(d) // ids.dtype.itemsize for d in found], found, *bm25.term_rows(found, ids.dtype))
             key += len(found)
 
     return cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, _TOKENS), "tokens", compression="zstd")

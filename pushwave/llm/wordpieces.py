@@ -9,8 +9,11 @@ library's merge model. Every other chunk goes through the whole library.
 
 from __future__ import annotations
 
+import gc
 import json
-import struct
+import re
+from itertools import chain
+from operator import add
 
 import numpy as np
 
@@ -22,6 +25,10 @@ MARKS = ".,!?$%&*#;:)|-"
 LATIN = "\u0250"
 
 
+#: A chunk a line: a word of such letters and marks, or else what is none.
+_LINE = re.compile(f"^(?:([{''.join(c for c in map(chr, range(ord(LATIN))) if c.isalpha() and c != chr(0x130))}]*)([{re.escape(MARKS)}]*)|(.+))$", re.MULTILINE)
+
+
 def vocabulary_path(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
@@ -55,46 +62,54 @@ class ChunkCodec:
         self.plain = _is_plain(path)
         self.letters = _byte_letters()
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 65536 else "<u4")
-        self.code = "H" if self.dtype.itemsize == 2 else "I"
+        every = np.arange(self.tokenizer.get_vocab_size(), dtype=self.dtype).tobytes()
+        self.packed = [every[i : i + self.dtype.itemsize] for i in range(0, len(every), self.dtype.itemsize)]
         self.known: dict[bytes, bytes] = {}
         self.before: dict[bytes, bytes] = {}
+        self.parts: dict[str, bytes] = {"": b""}
+        self.parts_before: dict[str, bytes] = {}
 
     def _merge(self, part: str) -> bytes:
         """Ids of one run of letters or of marks, by the library's model alone."""
         if not part.isascii():
             part = "".join(map(self.letters.__getitem__, part.encode()))
-        ids = [t.id for t in self.model.tokenize(part)]
-        return struct.pack(f"<{len(ids)}{self.code}", *ids)
+        packed = self.packed
+        return b"".join([packed[t.id] for t in self.model.tokenize(part)])
 
     def learn(self, chunks: set[bytes]) -> None:
-        known, before, ask = self.known, self.before, []
-        for c in chunks:
-            if c in known:
-                continue
-            if c in before:
-                known[c] = before[c]
-                continue
-            text = c.decode("utf-8", "replace")
-            word = text.rstrip(MARKS)
-            if not self.plain or (word and not (word.isalpha() and max(word) < LATIN and "\u0130" not in word)):
-                ask.append((c, text))
-                continue
-            low, mark = word.lower(), text[len(word) :]
-            out = b""
-            for part in (low, mark):
-                if part:
-                    key = part.encode()
-                    ids = known.get(key) or before.get(key)
-                    if ids is None:
-                        ids = self._merge(part)
-                    known[key] = ids
-                    out += ids
-            known[c] = out
+        """Ids of chunks, many at once: what can be said of all their letters together is not said chunk by chunk."""
+        known, before = self.known, self.before
+        chunks = chunks - known.keys()
+        old = chunks & before.keys()
+        known.update(zip(old, map(before.__getitem__, old), strict=True))
+        new = list(chunks - old)
+        if not new:
+            return
+        ask = new
+        if self.plain:
+            # Chunks hold no white space, so each is a line; a line that isn't plain is the third group.
+            words, marks, others = zip(*_LINE.findall(b"\n".join(new).decode("utf-8", "replace")), strict=True)
+            low = "\n".join(words).lower().split("\n")
+            parts, merge, kept = self.parts, self._merge, self.parts_before.get
+            for p in set(chain(low, marks)) - parts.keys():
+                parts[p] = kept(p) or merge(p)
+            known.update(zip(new, map(add, map(parts.__getitem__, low), map(parts.__getitem__, marks)), strict=True))
+            ask = [c for c, other in zip(new, others, strict=True) if other]
         if ask:
-            for (c, _), e in zip(ask, self.tokenizer.encode_batch([t for _, t in ask], add_special_tokens=False), strict=True):
+            texts = [c.decode("utf-8", "replace") for c in ask]
+            for c, e in zip(ask, self.tokenizer.encode_batch(texts, add_special_tokens=False), strict=True):
                 known[c] = np.asarray(e.ids, self.dtype).tobytes()
 
     def encode(self, texts: list[bytes | None]) -> list[bytes]:
+        collects = gc.isenabled()
+        gc.disable()  # nothing here is part of a cycle, and the collector would look through all chunks again and again
+        try:
+            return self._encode(texts)
+        finally:
+            if collects:
+                gc.enable()
+
+    def _encode(self, texts: list[bytes | None]) -> list[bytes]:
         split = [(t or b"").split() for t in texts]
         out, s = [], 0
         while s < len(split):
@@ -104,6 +119,7 @@ class ChunkCodec:
                 e += 1
             if len(self.known) > MOST:
                 self.known, self.before = {}, self.known
+                self.parts, self.parts_before = {"": b""}, self.parts
             self.learn(set().union(*split[s:e]))
             get = self.known.__getitem__
             out += [b"".join(map(get, x)) for x in split[s:e]]

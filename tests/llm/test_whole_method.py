@@ -3,8 +3,9 @@
 import numpy as np
 
 import corpus_pipeline
-from pushwave.llm import decontaminate, simhash
+from pushwave.llm import bm25, decontaminate, simhash
 from pushwave.llm.common import prepare
+from pushwave.llm.wordpieces import codec, vocabulary_path
 
 
 def test_the_latent_space_is_fitted_on_every_document(spark, monkeypatch):
@@ -48,3 +49,21 @@ def test_near_dedup_links_by_fingerprints(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string")
     stage = dict(corpus_pipeline.STAGES)["SimHash near-dedup"]
     assert {r["doc_id"] for r in stage(spark, df, "").collect()} == {7, 9, 10, 11}
+
+
+def test_terms_of_many_documents(monkeypatch):
+    monkeypatch.setattr(bm25, "TOGETHER", 500)
+    rng = np.random.default_rng(6)
+    for dtype in (np.dtype("<u2"), np.dtype("<u4")):
+        docs = [rng.integers(0, 900, n).astype(dtype) for n in (1, 70_000, *rng.integers(1, 300, 50), 70_000, 3)]
+        for d, t, c in zip(docs, *bm25.term_rows([d.tobytes() for d in docs], dtype), strict=True):
+            terms, times = np.unique(d, return_counts=True)
+            assert t == terms.tobytes() and c == times.astype("<u2" if len(d) < 65536 else "<u4").tobytes()
+
+
+def test_chunks_learned_together_are_the_librarys():
+    marks = "a \u00c9t\u00e9! Stra\u00dfe, \u0130x \u212aelvin \u00aa \u00b5m 3rd it's don't... ??? e\u0301 \u4e2d\u6587 A.b \u2028x \u0085y \U0001f600"
+    own = codec(vocabulary_path())
+    for text in (marks, "", "\r\x0b\x1c a\x1cb", "Word " * 10 + "word. WORD"):
+        want = own.tokenizer.encode(text, add_special_tokens=False).ids
+        assert np.frombuffer(own.encode([text.encode()])[0], own.dtype).tolist() == want
