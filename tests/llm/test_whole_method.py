@@ -67,3 +67,23 @@ def test_chunks_learned_together_are_the_librarys():
     for text in (marks, "", "\r\x0b\x1c a\x1cb", "Word " * 10 + "word. WORD"):
         want = own.tokenizer.encode(text, add_special_tokens=False).ids
         assert np.frombuffer(own.encode([text.encode()])[0], own.dtype).tolist() == want
+
+
+def test_parts_are_merged_together_as_the_library_does(monkeypatch):
+    from tokenizers import Tokenizer
+
+    from pushwave.llm import wordpieces
+
+    rng = np.random.default_rng(3)
+    t = Tokenizer.from_file(vocabulary_path())
+    letters = list("aaeinorst") + ["é", "ß", "Ñ", "x"]
+    words = ["".join(rng.choice(letters, n)) + "".join(rng.choice(list(".!-;"), n % 3)) for n in rng.integers(1, 70, 3000).tolist()]
+    texts = ["", None, " \t\v\f\r\n", "\x1c", *(sep.join(words[i : i + 40]) for i, sep in enumerate([" ", "\n\n", "\t ", "\f", "\v\r"] * 60))]
+    c, alone = wordpieces.ChunkCodec(vocabulary_path()), []
+    merge = c._merge
+    monkeypatch.setattr(wordpieces, "MOST", 500)  # generations change
+    monkeypatch.setattr(wordpieces, "TOGETHER", 5000)
+    monkeypatch.setattr(c, "_merge", lambda part: alone.append(part) or merge(part))
+    found = c.encode([None if x is None else x.encode() for x in texts])
+    assert [np.frombuffer(f, c.dtype).tolist() for f in found] == [t.encode(x or "", add_special_tokens=False).ids for x in texts]
+    assert alone and all(len(p) > wordpieces.Merges.WIDE for p in alone)  # no other part goes to the model by itself
