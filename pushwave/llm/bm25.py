@@ -18,7 +18,7 @@ from pyarrow import fs as pafs
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from pushwave.llm.common import Batches, table
+from pushwave.llm.common import Batches, table, tidy
 from pushwave.plans.durable import cut, new_folder
 
 K1, B = 1.2, 0.75
@@ -204,7 +204,7 @@ def _search(docs: DataFrame, files: list[str], stats: Statistics, k: int) -> Dat
                     yield table(schema, index.keys[q[use]], d[use], np.full(len(use), -1), x[use].astype(np.float64))
             yield table(schema, pa.nulls(len(keys), pa.int64()), keys, home, best)
 
-    return docs.select("key", "n", "terms", "times").mapInArrow(run, "seed long, key long, home long, score double")
+    return docs.select("key", "n", "terms", "times").mapInArrow(tidy(run), "seed long, key long, home long, score double")
 
 
 def _write_seeds(seeds: DataFrame, count: int) -> list[str]:

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pushwave.llm.common import WORD_BYTES, Batches, raw, table
+from pushwave.llm.common import WORD_BYTES, Batches, raw, table, tidy
 from pushwave.plans.durable import cut
 
 #: Words of a block; blocks of a window; blocks between windows; words of an item passage at most.
@@ -230,7 +230,7 @@ def fit(docs: DataFrame, bench: Benchmark, n_docs: int) -> Space:
         if len(used):
             yield table(schema, used, np.zeros(len(used), np.int64), gram[used].tolist())
 
-    parts = docs.select("text").mapInArrow(run, "word int, n long, row array<double>")
+    parts = docs.select("text").mapInArrow(tidy(run), "word int, n long, row array<double>")
     entries = parts.select("word", "n", F.posexplode_outer("row").alias("i", "x"))
     summed = entries.groupBy("word", "i").agg(F.sum("x").alias("x"), F.sum("n").alias("n"))
     got = summed.toArrow()  # bounded by the block's words times the sketch; columns, not row objects
@@ -440,7 +440,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         return run
 
     wanted = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    parts = [wanted.mapInArrow(search(shared), "doc_id long, item_id long, cosine double, common double, answer boolean, near_word long") for shared in _retrievers(docs, benchmark)]
+    parts = [wanted.mapInArrow(tidy(search(shared)), "doc_id long, item_id long, cosine double, common double, answer boolean, near_word long") for shared in _retrievers(docs, benchmark)]
     return reduce(DataFrame.unionAll, parts)
 
 
@@ -457,7 +457,7 @@ def drop_leaky(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         return run
 
     first, *more = _retrievers(docs, benchmark)  # all fitted on the documents as they come
-    kept = docs.mapInArrow(keep(first), docs.schema)
+    kept = docs.mapInArrow(tidy(keep(first)), docs.schema)
     for shared in more:
-        kept = cut(kept, "clean").mapInArrow(keep(shared), docs.schema)
+        kept = cut(kept, "clean").mapInArrow(tidy(keep(shared)), docs.schema)
     return kept

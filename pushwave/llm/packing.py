@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pushwave.llm import bm25
-from pushwave.llm.common import Batches, raw, table
+from pushwave.llm.common import Batches, raw, table, tidy
 from pushwave.llm.wordpieces import codec
 from pushwave.plans.durable import cut
 
@@ -45,8 +45,9 @@ def tokenized(docs: DataFrame, vocabulary: str, end_id: int) -> DataFrame:
             found = [d + end for d in ids.encode(raw(b, "text"))]
             yield table(schema, np.arange(key, key + len(found)), b.column("doc_id"), [len(d) // ids.dtype.itemsize for d in found], found, *bm25.term_rows(found, ids.dtype))
             key += len(found)
+        ids.forget()
 
-    return cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, _TOKENS), "tokens", compression="zstd")
+    return cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(run), _TOKENS), "tokens", compression="zstd")
 
 
 def neighbours(docs: DataFrame, vocabulary: str, k: int, every: int = SEED_EVERY, end_id: int = 2) -> DataFrame:
@@ -112,4 +113,4 @@ def pack(docs: DataFrame, vocabulary: str, end_id: int = 2, window: int = WINDOW
                 yield table(_ARROW, *zip(*rows, strict=True))
 
     placed = tokens.select("key", "doc_id", "ids").join(_places(homes, lists, tokens, every), "key")
-    return placed.select("doc_id", "ids", "at").mapInArrow(run, PIECES)
+    return placed.select("doc_id", "ids", "at").mapInArrow(tidy(run), PIECES)

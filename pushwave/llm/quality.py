@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from pushwave.llm.common import Batches, crc_mod, fresh, raw
+from pushwave.llm.common import Batches, crc_mod, fresh, raw, tidy
 from pushwave.llm.subwords import Buffer, by_word, in_parts
 
 #: Labelled documents the classifier is fitted on at most, and the longest text among them.
@@ -193,7 +193,7 @@ def score(docs: DataFrame, model: QualityModel, column: str = "score") -> DataFr
             yield pa.RecordBatch.from_arrays([*(b.column(n) for n in names), pa.array(got, pa.float64())], names=[*names, column])
 
     schema = T.StructType([*docs.schema.fields, T.StructField(column, T.DoubleType())])
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(tidy(run), schema)
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.5) -> DataFrame:

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from pushwave.llm.common import Batches, fresh, raw, table
+from pushwave.llm.common import Batches, fresh, raw, table, tidy
 from pushwave.llm.components import components
 from pushwave.plans.durable import cut
 
@@ -84,7 +84,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
             yield table(schema, b.column("doc_id").to_pylist(), b.column("tid").to_pylist(), [_signed(fingerprint(x)) for x in raw(b, "text")])
 
     text = F.coalesce("text", F.lit(""))
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("tid"), text.alias("text")).mapInArrow(run, "doc_id long, tid long, fp long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("tid"), text.alias("text")).mapInArrow(tidy(run), "doc_id long, tid long, fp long")
 
 
 LINK_SCHEMA = "kind int, t int, a long, b long"
@@ -294,7 +294,7 @@ def _set_rows(docs: DataFrame) -> DataFrame:
 
     text = F.coalesce("text", F.lit(""))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("tid"), text.alias("text"))
-    return rows.mapInArrow(run, "doc_id long, tid long, fp long, mark long, n int, prefix array<long>, odd array<long>")
+    return rows.mapInArrow(tidy(run), "doc_id long, tid long, fp long, mark long, n int, prefix array<long>, odd array<long>")
 
 
 def _whole_sets(docs: DataFrame, asked: DataFrame) -> DataFrame:
@@ -309,7 +309,7 @@ def _whole_sets(docs: DataFrame, asked: DataFrame) -> DataFrame:
 
     text = F.coalesce("text", F.lit(""))
     texts = docs.select(F.xxhash64(text).alias("tid"), text.alias("text")).join(asked, "tid", "left_semi").select("text")
-    return texts.mapInArrow(run, "fp long, grams array<long>").groupBy("fp").agg(F.first("grams").alias("grams"))
+    return texts.mapInArrow(tidy(run), "fp long, grams array<long>").groupBy("fp").agg(F.first("grams").alias("grams"))
 
 
 def _alike(docs: DataFrame, sets: DataFrame, pairs: DataFrame) -> DataFrame:

@@ -27,7 +27,7 @@ from pyarrow import fs as pafs
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from pushwave.llm.common import Batches, raw, table
+from pushwave.llm.common import Batches, raw, table, tidy
 from pushwave.llm.wordpieces import codec
 from pushwave.plans.durable import cut, new_folder
 
@@ -103,8 +103,9 @@ def _writer(folder: str, dictionary: bytes, vocabulary: str, end_id: int):
                     out, n_shards = None, n_shards + 1
         if out is not None:
             yield close()
+        ids.forget()
 
-    return write
+    return tidy(write)
 
 
 def _sample(docs: DataFrame) -> list[bytes]:

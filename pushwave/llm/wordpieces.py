@@ -20,7 +20,7 @@ import pyarrow as pa
 #: Chunks in one generation of a worker's dictionary; the generation before stays readable.
 MOST = 300_000
 #: Bytes of text whose chunks are numbered together.
-TOGETHER = 8 << 20
+TOGETHER = 4 << 20
 #: Marks that may follow a word on the short way; no apostrophe, which the tokenizer joins to letters.
 MARKS = ".,!?$%&*#;:)|-"
 #: Letters below this go the short way: they have one lower case and no combining marks.
@@ -197,6 +197,10 @@ class ChunkCodec:
             self.learn(new)
         return list(map(known.__getitem__, chunks))
 
+    def forget(self) -> None:
+        """Let all chunks go: a worker would hold them beside the memory of whatever it does next."""
+        self.known, self.before = {}, {}
+
     def encode(self, texts: list[bytes | None]) -> list[bytes]:
         out, s = [], 0
         while s < len(texts):

@@ -87,3 +87,22 @@ def test_parts_are_merged_together_as_the_library_does(monkeypatch):
     found = c.encode([None if x is None else x.encode() for x in texts])
     assert [np.frombuffer(f, c.dtype).tolist() for f in found] == [t.encode(x or "", add_special_tokens=False).ids for x in texts]
     assert alone and all(len(p) > wordpieces.Merges.WIDE for p in alone)  # no other part goes to the model by itself
+
+
+def test_workers_hold_no_chunks_after_a_task(spark):
+    import pyarrow as pa
+
+    from pushwave.llm import packing
+
+    prepare(spark)
+    path = vocabulary_path()
+    docs = spark.createDataFrame([(i, f"words of text number{i} follow") for i in range(400)], "doc_id long, text string").repartition(4)
+    assert packing.tokenized(docs, path, 2).count() == 400
+
+    def held(batches):
+        for _ in batches:
+            pass
+        own = codec(path)
+        yield pa.RecordBatch.from_arrays([pa.array([len(own.known) + len(own.before)])], names=["n"])
+
+    assert [r["n"] for r in docs.mapInArrow(held, "n long").collect()] == [0] * 4
