@@ -75,3 +75,15 @@ def test_pushes_agree_over_engines_for_a_batch(spark):
     both = [{(r["query_id"], r["v"]): r["p"] for r in forward_push(g, state, 0.001, engine=e).state.collect() if r["p"]} for e in ("kernel", "join")]
     assert both[0].keys() == both[1].keys() and all(abs(both[0][k] - both[1][k]) < 1e-12 for k in both[0])
     assert E.power(g, state, 5).rounds == 5
+
+
+def test_balance_leaves_no_scores(spark):
+    from pushwave.plans import experiments as X
+
+    def scores():
+        return {n for n in os.listdir(D.local_path(spark, D.shared_dir(spark))) if n.startswith("scores-")}
+
+    before = scores()
+    found = X.balance(spark, "/root/testdata/sf0.001")
+    assert {r["method"] for r in found.collect()} == {"push-walk basic", "push-walk pruned", "push-walk tuned"}
+    assert scores() == before
