@@ -1,12 +1,14 @@
 """Arcs are numbered and walks stored in one pass, which fills the files that kernels map as well."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from pushwave.functions.formulas import PprParams
 from pushwave.operators import graph as G
 from pushwave.operators import index as I
 from pushwave.operators import kernels as K
+from pushwave.operators import walks as W
 from tests.test_engine import random_arcs, toy
 
 
@@ -53,3 +55,19 @@ def test_walks_in_steps(monkeypatch, rng):
             at, hops = K.walk(g, PprParams(rng=rng), True, lane, np.arange(300) % 50, np.arange(300), lambda live, now: seen.append((live, now)))
             found.append([at, hops, *(np.concatenate(x) for x in zip(*seen, strict=True))])
     assert all(np.array_equal(a, b) for a, b in zip(found[0] + found[1], found[2] + found[3], strict=True))
+
+
+def test_visits_of_a_query_are_summed_before_they_are_handed_on(monkeypatch):
+    n = 100_000
+    rng = np.random.default_rng(3)
+
+    class Held:
+        value = (np.arange(n), np.arange(n + 1) * 8, rng.integers(0, n, 8 * n).astype(np.int32))
+
+    monkeypatch.setattr(W, "GROUP", 4 * W.BATCH)  # a span a group, for visits
+    spans = 12
+    columns = {"query_id": np.arange(spans) // 6, "start": np.full(spans, 5), "lo": np.arange(spans) % 6 * W.BATCH, "hi": (np.arange(spans) % 6 + 1) * W.BATCH, "weight": np.full(spans, 1.0 / W.BATCH)}
+    batch = pa.RecordBatch.from_arrays([pa.array(c) for c in columns.values()], names=list(columns))
+    out = pa.Table.from_batches(W._kernel(Held, PprParams(), False, False, True)([batch])).to_pandas()
+    assert not out.duplicated(["query_id", "v"]).any()
+    assert out.groupby("query_id")["n"].sum().tolist() == [6 * W.BATCH] * 2 and out.groupby("query_id")["weight"].sum().tolist() == pytest.approx([6, 6], rel=0.02)
