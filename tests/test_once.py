@@ -5,11 +5,13 @@ import pyarrow as pa
 import pytest
 
 from pushwave.functions.formulas import PprParams
+from pushwave.operators import baselines as B
 from pushwave.operators import graph as G
 from pushwave.operators import index as I
 from pushwave.operators import kernels as K
 from pushwave.operators import walks as W
-from tests.test_engine import random_arcs, toy
+from pushwave.operators.push import forward_push, starts
+from tests.test_engine import random_arcs, sources, toy
 
 
 def unread(*_):
@@ -71,3 +73,21 @@ def test_visits_of_a_query_are_summed_before_they_are_handed_on(monkeypatch):
     out = pa.Table.from_batches(W._kernel(Held, PprParams(), False, False, True)([batch])).to_pandas()
     assert not out.duplicated(["query_id", "v"]).any()
     assert out.groupby("query_id")["n"].sum().tolist() == [6 * W.BATCH] * 2 and out.groupby("query_id")["weight"].sum().tolist() == pytest.approx([6, 6], rel=0.02)
+
+
+def test_shell_scores_are_made_where_the_node_is(spark, monkeypatch):
+    g, some = toy(spark, random_arcs(40, 300) + [(3, 99)]), sources(spark, 0, 3)
+    plans, alpha = [], 0.2
+    cut = B.cut
+    monkeypatch.setattr(B, "cut", lambda df, name: (plans.append(df._jdf.queryExecution().optimizedPlan().toString()), cut(df, name))[1])
+    found = {(r["query_id"], r["v"]): r["score"] for r in B.shell_approximation(g, some).scores.collect()}
+    above = plans[-1].split("Join Cross" if "Join Cross" in plans[-1] else "Join Inner")[0]
+    assert "Join" in plans[-1] and "Aggregate" not in above and "Union" not in above  # no exchange of a row a query and node
+    p1, p2 = ({(r["query_id"], r["v"]): r["p"] for r in forward_push(g, starts(g, some), 0.0, alpha, max_rounds=k).state.collect()} for k in (2, 3))
+    wide = {r["v"]: r["score"] for r in B.global_pagerank(g, PprParams(alpha), "power", rounds=30).scores.collect()}
+    scale = sum((1 - alpha) ** i for i in range(1, 6))
+    for q in (0, 1):
+        for v in wide:
+            near = p2.get((q, v), 0.0)
+            assert found[q, v] == pytest.approx(near + scale * (near - p1.get((q, v), 0.0)) + (1 - alpha) ** 8 * wide[v], abs=1e-12)
+    assert len(found) == 2 * len(wide)
